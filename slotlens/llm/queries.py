@@ -6,7 +6,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from slotlens.llm import bpe, packing
+from slotlens.llm import bpe, packing, winnowing
 
 
 def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -23,6 +23,10 @@ def op4_sum_of_squares_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(cut)
 
 
+def op8_winnowing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return winnowing.neighbour_edits(documents(spark, sf_dir))
+
+
 def op10_rank_array_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe.encode_digests(documents(spark, sf_dir), public_tokenizers.path("byte_bpe_50k.json"))
 
@@ -30,6 +34,7 @@ def op10_rank_array_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
 QUERIES = {
     "op2_heap_token_counts": op2_heap_token_counts,
     "op4_sum_of_squares_packing": op4_sum_of_squares_packing,
+    "op8_winnowing": op8_winnowing,
     "op10_rank_array_bpe": op10_rank_array_bpe,
 }
 
