@@ -14,6 +14,7 @@ from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 import regex
 from pyspark.sql import DataFrame
 
@@ -237,7 +238,7 @@ def token_counts(docs: DataFrame, vocabulary: str, doc_id: str = "doc_id", text:
             yield pa.RecordBatch.from_arrays(
                 [
                     batch.column("doc_id"),
-                    pa.compute.cast(pa.compute.binary_length(batch.column("text")), pa.int64()),
+                    pc.cast(pc.binary_length(batch.column("text")), pa.int64()),
                     pa.array(list(count.count_all(texts)), pa.int64()),
                 ],
                 ["doc_id", "n_bytes", "n_tokens"],

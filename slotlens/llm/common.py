@@ -7,6 +7,7 @@ import uuid
 from collections.abc import Callable, Iterator
 
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -45,7 +46,7 @@ def text_rows(docs: DataFrame, *more: str, doc_id: str = "doc_id", text: str = "
 def slices(batches: Iterator[pa.RecordBatch], chars: int = 2_000_000) -> Iterator[tuple[pa.RecordBatch, list[str]]]:
     """Arrow batches cut so that the Python strings alive at once stay near ``chars``."""
     for batch in batches:
-        lengths = pa.compute.binary_length(batch.column("text")).to_pylist()
+        lengths = pc.binary_length(batch.column("text")).to_pylist()
         start = held = 0
         for i, n in enumerate(lengths):
             held += n
