@@ -6,7 +6,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from slotlens.llm import bpe, packing, winnowing
+from slotlens.llm import bpe, packing, quality, winnowing
 
 
 def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -23,6 +23,11 @@ def op4_sum_of_squares_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(cut)
 
 
+def op5_rule_ensemble_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs, labels = documents(spark, sf_dir), spark.read.parquet(f"{sf_dir}/labels.parquet")
+    return quality.score(docs, quality.fit(docs, labels))
+
+
 def op8_winnowing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return winnowing.neighbour_edits(documents(spark, sf_dir))
 
@@ -34,6 +39,7 @@ def op10_rank_array_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
 QUERIES = {
     "op2_heap_token_counts": op2_heap_token_counts,
     "op4_sum_of_squares_packing": op4_sum_of_squares_packing,
+    "op5_rule_ensemble_quality": op5_rule_ensemble_quality,
     "op8_winnowing": op8_winnowing,
     "op10_rank_array_bpe": op10_rank_array_bpe,
 }
