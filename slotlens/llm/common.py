@@ -61,6 +61,24 @@ def crc_remainder(column: str = "doc_id", modulus: int = 5):
     return F.crc32(F.coalesce(F.col(column).cast("string"), F.lit(""))) % modulus
 
 
+def count_below(column, cuts: list[int]):
+    """How many of the sorted cuts lie below a value: two levels of about sqrt(n) comparisons each."""
+    if not cuts:
+        return F.lit(0)
+    width = int(len(cuts) ** 0.5) + 1
+    groups = [cuts[i : i + width] for i in range(0, len(cuts), width)]
+    upper = F.size(F.filter(F.array(*(F.lit(g[-1]) for g in groups)), lambda c: c < column))
+    lower = F.array(*(F.array(*map(F.lit, g)) for g in groups))
+    inner = F.size(F.filter(F.get(lower, upper), lambda c: c < column))
+    return F.when(upper >= len(groups), len(cuts)).otherwise(upper * width + inner)
+
+
+def literal_table(spark: SparkSession, columns: dict[str, tuple[str, list]]) -> DataFrame:
+    """Small table from driver-side lists, as one generated row source without Python on the executors."""
+    zipped = F.arrays_zip(*(F.array(*map(F.lit, v)).cast(f"array<{t}>").alias(n) for n, (t, v) in columns.items()))
+    return spark.range(1, numPartitions=1).select(F.inline(zipped))
+
+
 class WordCache(dict):
     """Bounded memo of pieces between single spaces.
 

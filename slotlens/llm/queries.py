@@ -6,7 +6,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from slotlens.llm import bpe, packing, quality, winnowing
+from slotlens.llm import bpe, packing, quality, sharding, winnowing
 
 
 def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -28,6 +28,10 @@ def op5_rule_ensemble_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.score(docs, quality.fit(docs, labels))
 
 
+def op7_sampled_splitters(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return sharding.by_bytes(documents(spark, sf_dir))
+
+
 def op8_winnowing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return winnowing.neighbour_edits(documents(spark, sf_dir))
 
@@ -40,6 +44,7 @@ QUERIES = {
     "op2_heap_token_counts": op2_heap_token_counts,
     "op4_sum_of_squares_packing": op4_sum_of_squares_packing,
     "op5_rule_ensemble_quality": op5_rule_ensemble_quality,
+    "op7_sampled_splitters": op7_sampled_splitters,
     "op8_winnowing": op8_winnowing,
     "op10_rank_array_bpe": op10_rank_array_bpe,
 }

@@ -9,7 +9,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from slotlens.llm.common import text_rows
+from slotlens.llm.common import count_below, text_rows
 
 #: Grams of 25 characters, windows of 76 grams: any common passage of 100 characters is sure to share a fingerprint.
 GRAM, WINDOW = 25, 76
@@ -115,18 +115,6 @@ def fingerprints(
     )
 
 
-def count_below(column, cuts: list[int]):
-    """How many of the sorted cuts lie below a value: two levels of about sqrt(n) comparisons each."""
-    if not cuts:
-        return F.lit(0)
-    width = int(len(cuts) ** 0.5) + 1
-    groups = [cuts[i : i + width] for i in range(0, len(cuts), width)]
-    upper = F.size(F.filter(F.array(*(F.lit(g[-1]) for g in groups)), lambda c: c < column))
-    lower = F.array(*(F.array(*map(F.lit, g)) for g in groups))
-    inner = F.size(F.filter(F.get(lower, upper), lambda c: c < column))
-    return F.when(upper >= len(groups), len(cuts)).otherwise(upper * width + inner)
-
-
 def with_next(rows: DataFrame, blocks: int) -> DataFrame:
     """Deals (doc_id, text) into blocks of neighbouring ids; each block also gets the head of the block after it.
 
