@@ -6,7 +6,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from slotlens.llm import bpe, packing, quality, sharding, winnowing
+from slotlens.llm import bpe, packing, quality, secrets, sharding, winnowing
 
 
 def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -18,6 +18,10 @@ def op2_heap_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return counts.withColumn("over_limit", F.col("n_tokens") > 2048)
 
 
+def op3_secret_ownership(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return secrets.report(documents(spark, sf_dir))
+
+
 def op4_sum_of_squares_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     cut = packing.pieces(documents(spark, sf_dir), public_tokenizers.path("byte_bpe_50k.json"), with_ids=False)
     return packing.pack(cut)
@@ -42,6 +46,7 @@ def op10_rank_array_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES = {
     "op2_heap_token_counts": op2_heap_token_counts,
+    "op3_secret_ownership": op3_secret_ownership,
     "op4_sum_of_squares_packing": op4_sum_of_squares_packing,
     "op5_rule_ensemble_quality": op5_rule_ensemble_quality,
     "op7_sampled_splitters": op7_sampled_splitters,
