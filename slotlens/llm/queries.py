@@ -6,7 +6,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from slotlens.llm import bpe, packing, quality, secrets, sharding, winnowing
+from slotlens.llm import bpe, near_copies, packing, quality, secrets, sharding, winnowing
 
 
 def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -32,6 +32,10 @@ def op5_rule_ensemble_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.score(docs, quality.fit(docs, labels))
 
 
+def op6_minhash_forest_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return near_copies.join(documents(spark, sf_dir)).drop("row_id")
+
+
 def op7_sampled_splitters(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sharding.by_bytes(documents(spark, sf_dir))
 
@@ -49,6 +53,7 @@ QUERIES = {
     "op3_secret_ownership": op3_secret_ownership,
     "op4_sum_of_squares_packing": op4_sum_of_squares_packing,
     "op5_rule_ensemble_quality": op5_rule_ensemble_quality,
+    "op6_minhash_forest_join": op6_minhash_forest_join,
     "op7_sampled_splitters": op7_sampled_splitters,
     "op8_winnowing": op8_winnowing,
     "op10_rank_array_bpe": op10_rank_array_bpe,
