@@ -6,13 +6,17 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from slotlens.llm import bpe, near_copies, packing, quality, secrets, sharding, winnowing
+from slotlens.llm import bpe, class_lm, near_copies, packing, quality, secrets, sharding, winnowing
 
 
 def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/documents.parquet")
 
 
+def op1_class_ngram_lm(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return class_lm.score(documents(spark, sf_dir))
+
+
 def op2_heap_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     counts = bpe.token_counts(documents(spark, sf_dir), public_tokenizers.path("word_bpe_49k.json"))
     return counts.withColumn("over_limit", F.col("n_tokens") > 2048)
@@ -49,6 +53,7 @@ def op10_rank_array_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES = {
+    "op1_class_ngram_lm": op1_class_ngram_lm,
     "op2_heap_token_counts": op2_heap_token_counts,
     "op3_secret_ownership": op3_secret_ownership,
     "op4_sum_of_squares_packing": op4_sum_of_squares_packing,
