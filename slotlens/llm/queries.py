@@ -6,7 +6,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from slotlens.llm import bpe, class_lm, near_copies, packing, quality, secrets, sharding, winnowing
+from slotlens.llm import bpe, class_lm, near_copies, nearest, packing, quality, secrets, sharding, winnowing
 
 
 def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -48,6 +48,10 @@ def op8_winnowing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return winnowing.neighbour_edits(documents(spark, sf_dir))
 
 
+def op9_learned_partitions(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return nearest.search(spark.read.parquet(f"{sf_dir}/embeddings.parquet"))
+
+
 def op10_rank_array_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe.encode_digests(documents(spark, sf_dir), public_tokenizers.path("byte_bpe_50k.json"))
 
@@ -61,6 +65,7 @@ QUERIES = {
     "op6_minhash_forest_join": op6_minhash_forest_join,
     "op7_sampled_splitters": op7_sampled_splitters,
     "op8_winnowing": op8_winnowing,
+    "op9_learned_partitions": op9_learned_partitions,
     "op10_rank_array_bpe": op10_rank_array_bpe,
 }
 
