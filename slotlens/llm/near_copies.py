@@ -88,7 +88,7 @@ class Sketcher:
 
 
 def sketches(docs: DataFrame, shingle: int, trees: int, length: int, doc_id: str, text: str) -> DataFrame:
-    """doc_id, set_key (digest of the shingle set), shingles, prefixes (64-bit values as bytes)."""
+    """doc_id, text_hash, set_key (digest of the shingle set), shingles (64-bit values as bytes), prefixes."""
 
     def run(batches: Iterator[pa.RecordBatch]):
         sketch = Sketcher(shingle, trees, length)
@@ -98,15 +98,17 @@ def sketches(docs: DataFrame, shingle: int, trees: int, length: int, doc_id: str
             yield pa.RecordBatch.from_arrays(
                 [
                     batch.column("doc_id"),
+                    batch.column("text_hash"),
                     pa.array([blake2b(r, digest_size=16).digest() for r in raw], pa.binary()),
                     pa.array(raw, pa.binary()),
                     pa.array([sketch.prefixes(s).astype("<i8") for s in sets], pa.list_(pa.int64())),
                 ],
-                ["doc_id", "set_key", "shingles", "prefixes"],
+                ["doc_id", "text_hash", "set_key", "shingles", "prefixes"],
             )
 
     rows = docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.coalesce(F.col(text), F.lit("")).alias("text"))
-    return rows.mapInArrow(run, "doc_id long, set_key binary, shingles binary, prefixes array<long>")
+    rows = rows.withColumn("text_hash", F.xxhash64("text"))
+    return rows.mapInArrow(run, "doc_id long, text_hash long, set_key binary, shingles binary, prefixes array<long>")
 
 
 def candidate_pairs(prefixes: np.ndarray) -> Iterator[tuple[int, np.ndarray]]:
@@ -197,16 +199,7 @@ def _cells(sketched: DataFrame, classes: DataFrame) -> DataFrame:
     )
 
 
-def join(
-    docs: DataFrame,
-    threshold: float = LEAST_LIKENESS,
-    shingle: int = SHINGLE,
-    trees: int = TREES,
-    depth: int = DEPTH,
-    target: float = TARGET,
-    doc_id: str = "doc_id",
-    text: str = "text",
-) -> DataFrame:
+def join(docs: DataFrame, **options) -> DataFrame:
     """doc_id, row_id, set_id, class_id, n_links: one row per row of ``docs``.
 
     set_id is the least doc_id with the same shingle set; class_id the least doc_id that a chain of links of at
@@ -219,6 +212,20 @@ def join(
     share a prefix of the forest; each candidate group is verified inside tasks of bounded size on the sets
     themselves, and what leaves a task is one row a member with its count of links, not the pairs.
     """
+    return linked(docs, **options).select("doc_id", "row_id", "set_id", "class_id", "n_links")
+
+
+def linked(
+    docs: DataFrame,
+    threshold: float = LEAST_LIKENESS,
+    shingle: int = SHINGLE,
+    trees: int = TREES,
+    depth: int = DEPTH,
+    target: float = TARGET,
+    doc_id: str = "doc_id",
+    text: str = "text",
+) -> DataFrame:
+    """As ``join``, with text_hash (of the row's text) and root (the class itself, also where ids are null)."""
     sketched = materialise(sketches(docs, shingle, trees, prefix_length(threshold, trees, depth, target), doc_id, text))
     sketched = sketched.withColumn("row_id", F.monotonically_increasing_id())
     classes = sketched.groupBy("set_key").agg(
@@ -265,8 +272,34 @@ def join(
     )
     least = named.groupBy("root").agg(F.min("set_id").alias("class_id"))
     named = named.join(least, "root").select(
-        "set_key", "set_id", "class_id", (F.coalesce("links", F.lit(0)) + F.col("copies") - 1).alias("n_links")
+        "set_key", "root", "set_id", "class_id", (F.coalesce("links", F.lit(0)) + F.col("copies") - 1).alias("n_links")
     )
-    return sketched.select("doc_id", "row_id", "set_key").join(named, "set_key").select(
-        "doc_id", "row_id", "set_id", "class_id", "n_links"
+    rows = sketched.select("doc_id", "row_id", "text_hash", "set_key").join(named, "set_key")
+    return rows.select("doc_id", "row_id", "text_hash", "root", "set_id", "class_id", "n_links")
+
+
+def one_of_each(docs: DataFrame, **options) -> DataFrame:
+    """``docs`` with one row kept of each class: the one of least id (then least hash of the text); columns as they were.
+
+    Only (id, hash of the text) of rows that have links travel to the decision, which an anti join carries out;
+    rows that repeat an id and a text are told apart only where there are any.
+    """
+    names = docs.columns
+    body = F.coalesce(F.col("text"), F.lit(""))
+    rows = docs.select(
+        F.struct(*names).alias("_row"), F.col("doc_id").cast("long").alias("_id"), F.xxhash64(body).alias("_hash")
     )
+    found = materialise(linked(docs, **options).where("n_links > 0").select("root", "doc_id", "text_hash"))
+    mark = F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "text_hash")
+    kept = found.groupBy("root").agg(F.min(mark).alias("kept"))
+    gone = found.join(kept, "root").where(~mark.eqNullSafe(F.col("kept"))).select("doc_id", "text_hash").distinct()
+
+    def same(keys: DataFrame):
+        return rows["_id"].eqNullSafe(keys["doc_id"]) & (rows["_hash"] == keys["text_hash"])
+
+    left = rows.join(gone, same(gone), "left_anti")
+    again = materialise(found.groupBy("doc_id", "text_hash").count().where("count > 1").select("doc_id", "text_hash"))
+    if again.take(1):
+        once = left.join(again, same(again), "left_semi").dropDuplicates(["_id", "_hash"])
+        left = left.join(again, same(again), "left_anti").unionAll(once)
+    return left.select("_row.*")

@@ -21,15 +21,15 @@ PER_GROUP = 40_000
 class LibraryIds:
     """Ids by the tokenizers library; pieces between single spaces are looked up once per worker."""
 
-    def __init__(self, path: str, limit: int = 300_000):
+    def __init__(self, path: str, limit: int = 700_000):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
         self.library = Tokenizer.from_file(path)
         self.library.no_truncation()
         self.library.no_padding()
-        self.rest = WordCache(lambda ws: self.batch([" " + w for w in ws]), limit)
-        self.heads: dict[str, bytes] = {}
+        self.rest = WordCache(self.after_space, limit)
+        self.line_end = self.library.encode("\n", add_special_tokens=False).ids
 
     def batch(self, texts: list[str]) -> list[bytes]:
         out = []
@@ -38,6 +38,23 @@ class LibraryIds:
             out += [np.array(e.ids, "<u4").tobytes() for e in found]
         return out
 
+    def after_space(self, words: list[str]) -> list[bytes]:
+        """Ids of each word with a space before it. Words without inner white space go many to a call, a line each:
+        a line end before a space is a token of its own, so the ids between line ends are those of one word."""
+        found: dict[str, bytes] = {}
+        plain = [w for w in words if len(w.split()) == 1] if len(self.line_end) == 1 else []
+        for at in range(0, len(plain), 512):
+            part = plain[at : at + 512]
+            ids = np.array(self.library.encode_batch_fast(["\n ".join(["", *part])], add_special_tokens=False)[0].ids, "<u4")
+            cut = np.flatnonzero(ids == self.line_end[0])
+            ends = [*(4 * cut[1:]).tolist(), 4 * len(ids)]
+            raw = ids.tobytes()
+            if len(cut) == len(part):
+                found |= {w: raw[4 * a + 4 : b] for w, a, b in zip(part, cut.tolist(), ends, strict=True)}
+        rest = [w for w in words if w not in found]
+        found |= zip(rest, self.batch([" " + w for w in rest]), strict=True)
+        return [found[w] for w in words]
+
     def of(self, texts: list[str]) -> list[bytes]:
         cut = [t.split(" ") for t in texts]
         self.rest.learn(set().union(*(c[1:] for c in cut)))
