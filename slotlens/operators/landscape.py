@@ -14,8 +14,31 @@ def block_vectors(slotted: DataFrame, y: str = "y") -> DataFrame:
     return vectors(slotted, ["series_id", "period_ix"], y)
 
 
-def build_virtual(slotted: DataFrame, n: int | None = None, s0: float | None = None, rule: str = "chord", y: str = "y") -> DataFrame:
-    """(series_id, period_ix, vld_id): periods merged at a given threshold, to a given number of groups, or by the elbow."""
+def build_virtual(slotted: DataFrame, n: int | None = None, s0: float | None = None, rule: str = "chord", y: str = "y", least: int = 1) -> DataFrame:
+    """(series_id, period_ix, vld_id): periods merged at a given threshold, to a given number of groups, or by the elbow.
+
+    ``least`` above 1 gives groups of fewer periods to the nearest larger group: days lost as a whole would
+    otherwise be a group of their own, whose fences hold nothing but the loss.
+    """
+    found = _merge(slotted, n, s0, rule, y)
+    return found if least <= 1 else absorb_small(slotted, found, least, y)
+
+
+def absorb_small(slotted: DataFrame, groups: DataFrame, least: int, y: str = "y") -> DataFrame:
+    """Groups under ``least`` periods take the number of the nearest group that has them; a series without any keeps its own."""
+    v = vectors(attach(slotted, groups), ["series_id", "vld_id"], y)
+    size = groups.groupBy("series_id", "vld_id").agg(F.count("*").alias("periods"))
+    told = v.join(size, ["series_id", "vld_id"])
+    small = told.where(F.col("periods") < least).select("series_id", F.col("vld_id").alias("s_id"), F.col("theta").alias("s_t"), F.col("mad").alias("s_m"))
+    large = told.where(F.col("periods") >= least).select(F.col("series_id").alias("l_series"), F.col("vld_id").alias("l_id"), "theta", "mad")
+    away = F.hypot(F.col("s_t") - F.col("theta"), F.col("s_m") - F.col("mad"))
+    near = small.join(large, F.col("series_id") == F.col("l_series")).groupBy("series_id", "s_id").agg(F.min_by("l_id", F.struct(away, F.col("l_id"))).alias("to_id"))
+    near = near.withColumnRenamed("series_id", "n_series")
+    moved = groups.join(near, (F.col("series_id") == F.col("n_series")) & (F.col("vld_id") == F.col("s_id")), "left")
+    return moved.select("series_id", "period_ix", F.coalesce("to_id", "vld_id").alias("vld_id"))
+
+
+def _merge(slotted: DataFrame, n: int | None, s0: float | None, rule: str, y: str) -> DataFrame:
     v = block_vectors(slotted, y)
     if s0 is not None:
         return cliquecover.greedy(v, s0, "period_ix", "vld_id", kind="bigint")

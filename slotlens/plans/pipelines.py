@@ -31,10 +31,10 @@ def stationary(series: DataFrame, period: int, model: str = "iqr", s0: float | N
     return cleanse.replace(cleanse.detect(joined, fences.build(model, joined, by, y=y, **options), by, y), y=y)
 
 
-def nonstationary(series: DataFrame, period: int, model: str = "gamma", vlds: int | None = None, s0: float | None = None, portrait_s0: float | None = None, y: str = "y", n_min: int = fences.SMALL_GROUP, **options) -> DataFrame:
+def nonstationary(series: DataFrame, period: int, model: str = "gamma", vlds: int | None = None, s0: float | None = None, portrait_s0: float | None = None, y: str = "y", n_min: int = fences.SMALL_GROUP, least: int = 1, **options) -> DataFrame:
     """Merged periods first, then slots merged inside each of them; small groups fall to the boxplot."""
     slotted = portraits.by_tick(series, period)
-    blocks = landscape.build_virtual(slotted, vlds, s0, y=y)
+    blocks = landscape.build_virtual(slotted, vlds, s0, y=y, least=least)
     staged = landscape.attach(slotted, blocks)
     groups = virtual_portraits(staged, ["series_id", "vld_id"], portrait_s0, y=y)
     joined = staged.join(groups, ["series_id", "vld_id", "slot"])

@@ -549,13 +549,15 @@ def smoother_underfit(spark, sf_dir):
 def outage_recall(spark, sf_dir):
     s = X.outage(spark, sf_dir)
     a = metrics.outage_recall(pipelines.nonstationary(s, 24, "iqr", 7), 3920, 3975).withColumn("method", F.lit("portrait iqr 7"))
+    c = metrics.outage_recall(pipelines.nonstationary(s, 24, "iqr", 7, least=5), 3920, 3975).withColumn("method", F.lit("portrait iqr 7, small groups absorbed"))
     b = metrics.outage_recall(smoother.detect(smoother.fit(s, 100), 100), 3920, 3975).withColumn("method", F.lit("smoother 100"))
-    return a.unionByName(b).drop("series_id")
+    return _union([a, c, b]).drop("series_id")
 
 
 def holiday_recall(spark, sf_dir):
     s = X.holidays(spark, sf_dir)
-    return _union([_score(pipelines.nonstationary(s, 24, "iqr", 7), "portrait iqr 7"), _score(smoother.detect(smoother.fit(s, 100), 100), "smoother 100")])
+    absorbed = _score(pipelines.nonstationary(s, 24, "iqr", 7, least=5), "portrait iqr 7, small groups absorbed")
+    return _union([_score(pipelines.nonstationary(s, 24, "iqr", 7), "portrait iqr 7"), absorbed, _score(smoother.detect(smoother.fit(s, 100), 100), "smoother 100")])
 
 
 def hidden_outliers(spark, sf_dir):
