@@ -245,14 +245,17 @@ def score(docs: DataFrame, heads: int = HEADS, endings: int = ENDINGS, classes:
     )
 
     def pairs_in(batches):
-        counts = np.zeros(items * items, np.int64)
+        counts, codes, held = np.zeros(items * items, np.int64), [], 0
         for batch in batches:
             for raw in batch.column("items"):
                 a = np.frombuffer(raw.as_py(), "<u2").astype(np.int64)
-                code = np.concatenate([[0], a[:-1]]) * items + a
-                counts += np.bincount(code, minlength=len(counts)) if len(code) > len(counts) // 8 else 0
-                if len(code) <= len(counts) // 8:
-                    np.add.at(counts, code, 1)
+                codes.append(np.concatenate([[0], a[:-1]]) * items + a)
+                held += len(a)
+                if held >= 1 << 21:  # one count over many texts: each costs a pass over the whole square
+                    counts += np.bincount(np.concatenate(codes), minlength=len(counts))
+                    codes, held = [], 0
+        if codes:
+            counts += np.bincount(np.concatenate(codes), minlength=len(counts))
         at = np.flatnonzero(counts)
         yield pa.RecordBatch.from_arrays([pa.array(at), pa.array(counts[at])], ["pair", "n"])
 
