@@ -43,7 +43,7 @@ class Sketcher:
 
     def words(self, text: str) -> np.ndarray:
         tokens, known = text.split(), self.known
-        new = set(tokens) - known.keys()
+        new = set(tokens).difference(known)
         if new:
             if len(known) + len(new) > self.limit:
                 known.clear()
