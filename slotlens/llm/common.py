@@ -92,7 +92,7 @@ class WordCache(dict):
         self.many, self.limit = many, limit
 
     def learn(self, pieces: set[str]) -> None:
-        new = pieces - self.keys()
+        new = {w for w in pieces if w not in self}
         if len(self) + len(new) > self.limit:
             self.clear()
             new = pieces
