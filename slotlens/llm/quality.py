@@ -59,10 +59,10 @@ class Rule:
             out &= v > cut if above else v <= cut
         return out
 
-    def column(self) -> Column:
+    def column(self, figures: Column) -> Column:
         out = None
         for name, above, cut in self.tests:
-            test = F.col(name) > F.lit(cut) if above else F.col(name) <= F.lit(cut)
+            test = figures[name] > F.lit(cut) if above else figures[name] <= F.lit(cut)
             out = test if out is None else out & test
         return out
 
@@ -81,12 +81,24 @@ class RuleModel:
     rules: tuple[Rule, ...]
     weights: tuple[float, ...]
 
-    def score(self) -> Column:
-        """Probability of the good class over columns named as the statistics."""
-        z = F.lit(self.intercept)
-        for rule, weight in zip(self.rules, self.weights, strict=True):
-            z = z + F.when(rule.column(), F.lit(weight)).otherwise(F.lit(0.0))
-        return F.lit(1.0) / (F.lit(1.0) + F.exp(-z))
+    def score(self, text: Column) -> Column:
+        """Probability of the good class.
+
+        The statistics are bound once, as the one element that a lambda sees: no pushed-down filter or merged
+        projection can then copy their expressions into every rule.
+        """
+
+        def ensemble(figures: Column) -> Column:
+            z = F.lit(self.intercept)
+            for rule, weight in zip(self.rules, self.weights, strict=True):
+                z = z + F.when(rule.column(figures), F.lit(weight)).otherwise(F.lit(0.0))
+            return F.lit(1.0) / (F.lit(1.0) + F.exp(-z))
+
+        used = {name for rule in self.rules for name, _, _ in rule.tests}
+        if not used:
+            return ensemble(text)
+        bound = F.array(F.struct(*(c.alias(n) for n, c in statistics(text).items() if n in used)))
+        return F.get(F.transform(bound, ensemble), F.lit(0))
 
 
 def _grow(x, gradient, hessian, cuts, names, rng) -> tuple[list[Rule], np.ndarray]:
@@ -198,17 +210,11 @@ def fit(docs: DataFrame, labels: DataFrame, label: str = "quality", limit: int =
 
 def score(docs: DataFrame, model: RuleModel, threshold: float = ACCEPT_AT) -> DataFrame:
     """doc_id, held_out, score, predicted of every row; null text scores as the empty text. No shuffle, no Python."""
-    return with_statistics(docs).select(
-        "doc_id",
-        (crc_remainder() == 0).alias("held_out"),
-        model.score().alias("score"),
-        F.when(model.score() >= threshold, 1).otherwise(0).alias("predicted"),
-    )
+    body = F.coalesce(F.col("text"), F.lit(""))
+    scored = docs.select("doc_id", (crc_remainder() == 0).alias("held_out"), model.score(body).alias("score"))
+    return scored.withColumn("predicted", F.when(F.col("score") >= threshold, 1).otherwise(0))
 
 
 def accepted(docs: DataFrame, model: RuleModel, threshold: float = ACCEPT_AT) -> DataFrame:
     """The rows of ``docs`` whose score reaches the threshold, columns as they were."""
-    names = docs.columns
-    held = docs.select(F.struct(*names).alias("_row"), F.coalesce(F.col("text"), F.lit("")).alias("_text"))
-    figures = held.select("_row", *(c.alias(n) for n, c in statistics(F.col("_text")).items()))
-    return figures.where(model.score() >= threshold).select("_row.*")
+    return docs.where(model.score(F.coalesce(F.col("text"), F.lit(""))) >= threshold)
