@@ -69,4 +69,4 @@ QUERIES = {
     "op10_rank_array_bpe": op10_rank_array_bpe,
 }
 
-ORACLES: dict[str, str] = {}
+ORACLES: dict[str, str] = {"op3_secret_ownership": secrets.REPORT_SQL}

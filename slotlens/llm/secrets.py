@@ -13,7 +13,7 @@ KINDS = {
     "access": (r"AKIA[A-Z0-9]+", 0, 20),
     "hex": (r"[0-9a-f]+", 0, 24),
     # Kinds that the method adds to the base ones.
-    "upper": (r"(?<![A-Za-z0-9])(?=[0-9]*[A-F])[0-9A-F]{32,}(?![A-Za-z0-9])", 0, 32),
+    "upper": (r"[0-9A-F]{32,}", 0, 32),
     "jwt": (r"eyJ[A-Za-z0-9_-]{8,}\.[A-Za-z0-9_-]{8,}\.[A-Za-z0-9_-]{8,}", 0, 28),
     "pem": (r"-----BEGIN [A-Z ]*PRIVATE KEY-----", 0, 10),
 }
@@ -65,7 +65,11 @@ def _spans(rows: DataFrame, kind: str) -> DataFrame:
             at.alias("at"), F.lit(number).alias("kind_no"), (at + F.length(h)).alias("end"), F.get("_values", i).alias("value")
         )
 
-    good = F.filter(F.transform("_hits", one), lambda s: F.length(s["value"]) >= least)
+    def fine(s: Column) -> Column:
+        long_enough = F.length(s["value"]) >= least
+        return long_enough & s["value"].rlike("[A-F]") if kind == "upper" else long_enough
+
+    good = F.filter(F.transform("_hits", one), fine)
     return out.withColumn(kind, good).drop("_gaps", "_hits", "_values", "_sizes", "_width", "_runs")
 
 
@@ -155,6 +159,7 @@ def _masked(text: Column, kind: str, live: Column) -> Column:
 
     def rewrite(z: Column) -> Column:
         hit, value = z["hits"], z["values"]
+        # Values that ``find`` passed over are in no live set.
         bad = (F.length(value) >= least) & F.array_contains(live, F.sha2(value, 256))
         kept = F.substring(hit, F.lit(1), F.length(hit) - F.length(value))
         return F.concat(z["gaps"], F.when(bad, F.concat(kept, F.lit(MASK))).otherwise(F.coalesce(hit, F.lit(""))))
@@ -175,3 +180,25 @@ def redact(docs: DataFrame, copied_at: int = COPIED_AT, **columns) -> DataFrame:
     if "n_chars" in docs.columns:
         joined = joined.withColumn("n_chars", F.when(F.col("live").isNull(), F.col("n_chars")).otherwise(F.length(body).cast("long")))
     return joined.select(*docs.columns)
+
+
+def _sql_spans(number: int, kind: str) -> str:
+    pattern, group, least = KINDS[kind]
+    quoted = pattern.replace("'", "''")
+    letters = " AND regexp_matches(vals[i], '[A-F]')" if kind == "upper" else ""
+    return f"""SELECT rid, {number} AS no, '{kind}' AS kind, vals[i] AS val, length(hits[i]) AS n,
+  list_sum(list_transform(gaps[1:i], lambda x: length(x))) + coalesce(list_sum(list_transform(hits[1:i-1], lambda x: length(x))), 0) AS start
+ FROM (SELECT rid, hits, gaps, vals, unnest(range(1, len(hits) + 1)) AS i FROM (SELECT rid, string_split_regex(t, '{quoted}') AS gaps,
+  regexp_extract_all(t, '{quoted}', 0) AS hits, regexp_extract_all(t, '{quoted}', {group}) AS vals FROM d)) WHERE length(vals[i]) >= {least}{letters}"""
+
+
+#: DuckDB SQL for ``report`` over the documents.
+REPORT_SQL = f"""WITH d AS (SELECT row_number() OVER () AS rid, doc_id, coalesce(text, '') AS t, coalesce(source, '') AS owner FROM documents),
+s AS ({" UNION ALL ".join(_sql_spans(i, k) for i, k in enumerate(KINDS))}),
+own AS (SELECT val, count(DISTINCT owner) AS owners FROM s JOIN d USING (rid) GROUP BY val),
+a AS (SELECT rid, count(*) FILTER (no = 0) AS n_assign, count(*) FILTER (no = 1) AS n_access, count(*) FILTER (no = 2) AS n_hex,
+  string_agg(kind || ':' || start::BIGINT || ':' || (start + n)::BIGINT, ',' ORDER BY start, no) FILTER (no < 3) AS base,
+  string_agg(kind || ':' || start::BIGINT || ':' || (start + n)::BIGINT, ',' ORDER BY start, no) AS spans,
+  count(*) FILTER (owners < {COPIED_AT}) AS n_live, count(*) FILTER (owners >= {COPIED_AT}) AS n_copied FROM s JOIN own USING (val) GROUP BY rid)
+SELECT doc_id, coalesce(n_assign, 0) AS n_assign, coalesce(n_access, 0) AS n_access, coalesce(n_hex, 0) AS n_hex, sha256(coalesce(base, '')) AS base_sha256,
+  coalesce(spans, '') AS spans, coalesce(n_live, 0) AS n_live, coalesce(n_copied, 0) AS n_copied FROM d LEFT JOIN a USING (rid)"""
