@@ -7,6 +7,7 @@ from hashlib import blake2b
 
 import numpy as np
 import pyarrow as pa
+from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -88,27 +89,33 @@ class Sketcher:
 
 
 def sketches(docs: DataFrame, shingle: int, trees: int, length: int, doc_id: str, text: str) -> DataFrame:
-    """doc_id, text_hash, set_key (digest of the shingle set), shingles (64-bit values as bytes), prefixes."""
+    """doc_id, row_id, text_hash, set_key (digest of the shingle set), shingles (64-bit values as bytes), prefixes.
+
+    row_id is the task's number and a count in it: fixed once the rows are written, which the caller does.
+    """
 
     def run(batches: Iterator[pa.RecordBatch]):
         sketch = Sketcher(shingle, trees, length)
+        row = TaskContext.get().partitionId() << 36
         for batch, texts in slices(batches):
             sets = [sketch.shingles(t) for t in texts]
             raw = [s.astype("<u8").tobytes() for s in sets]
             yield pa.RecordBatch.from_arrays(
                 [
                     batch.column("doc_id"),
+                    pa.array(np.arange(row, row + len(sets))),
                     batch.column("text_hash"),
                     pa.array([blake2b(r, digest_size=16).digest() for r in raw], pa.binary()),
                     pa.array(raw, pa.binary()),
                     pa.array([sketch.prefixes(s).astype("<i8") for s in sets], pa.list_(pa.int64())),
                 ],
-                ["doc_id", "text_hash", "set_key", "shingles", "prefixes"],
+                ["doc_id", "row_id", "text_hash", "set_key", "shingles", "prefixes"],
             )
+            row += len(sets)
 
     rows = docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.coalesce(F.col(text), F.lit("")).alias("text"))
     rows = rows.withColumn("text_hash", F.xxhash64("text"))
-    return rows.mapInArrow(run, "doc_id long, text_hash long, set_key binary, shingles binary, prefixes array<long>")
+    return rows.mapInArrow(run, "doc_id long, row_id long, text_hash long, set_key binary, shingles binary, prefixes array<long>")
 
 
 def candidate_pairs(prefixes: np.ndarray) -> Iterator[tuple[int, np.ndarray]]:
@@ -178,24 +185,24 @@ def _roots(n: int, left: np.ndarray, right: np.ndarray) -> np.ndarray:
         root = new
 
 
-def _cells(sketched: DataFrame, classes: DataFrame) -> DataFrame:
-    """Classes that share a prefix with another, as (cell, side, set_key): the tasks of the verification.
+def _cells(classes: DataFrame) -> DataFrame:
+    """Classes that share a prefix with another, as (node, component, blocks, mine, a, b): the tasks of the verification.
 
     A class belongs to the candidate group its prefixes connect it to. Groups up to a block are one cell; larger
     ones are cut into blocks by hash, and each pair of blocks is a cell, so that no task holds a whole hot group.
     """
-    keys = classes.select("set_key", F.explode("prefixes").alias("prefix"))
-    firsts = keys.groupBy("prefix").agg(F.min("set_key").alias("u"), F.max("set_key").alias("w")).where("u != w")
-    edges = keys.join(firsts, "prefix").where("set_key != u").select("u", F.col("set_key").alias("v"))
+    keys = classes.select("node", F.explode("prefixes").alias("prefix"))
+    firsts = keys.groupBy("prefix").agg(F.min("node").alias("u"), F.max("node").alias("w")).where("u != w")
+    edges = keys.join(firsts, "prefix").where("node != u").select("u", F.col("node").alias("v"))
     member = materialise(components(edges))
     sizes = member.groupBy("component").count()
     blocks = F.ceil(F.col("count") / F.lit(BLOCK)).cast("int")
     dealt = member.join(sizes.select("component", blocks.alias("blocks")), "component").select(
-        F.col("node").alias("set_key"), "component", "blocks", F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int").alias("mine")
+        "node", "component", "blocks", F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int").alias("mine")
     )
     other = F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))
     return dealt.withColumn("other", other).select(
-        "set_key", "component", "blocks", "mine", F.least("mine", "other").alias("a"), F.greatest("mine", "other").alias("b")
+        "node", "component", "blocks", "mine", F.least("mine", "other").alias("a"), F.greatest("mine", "other").alias("b")
     )
 
 
@@ -227,18 +234,17 @@ def linked(
 ) -> DataFrame:
     """As ``join``, with text_hash (of the row's text) and root (the class itself, also where ids are null)."""
     sketched = materialise(sketches(docs, shingle, trees, prefix_length(threshold, trees, depth, target), doc_id, text))
-    sketched = sketched.withColumn("row_id", F.monotonically_increasing_id())
     classes = sketched.groupBy("set_key").agg(
-        F.min("doc_id").alias("set_id"), F.count("*").alias("copies"), F.min("row_id").alias("row_id"), F.first("prefixes").alias("prefixes")
+        F.min("doc_id").alias("set_id"), F.count("*").alias("copies"), F.min("row_id").alias("node"), F.first("prefixes").alias("prefixes")
     )
     classes = materialise(classes)
-    cells = materialise(_cells(sketched, classes))
-    wanted = cells.select("set_key").distinct().join(classes, "set_key").select("set_key", "row_id", "copies", "prefixes")
-    sets = sketched.select("row_id", "shingles").join(wanted.select("row_id", "set_key", "copies", "prefixes"), "row_id")
-    loaded = cells.join(sets.drop("row_id"), "set_key")
+    cells = materialise(_cells(classes))
+    wanted = cells.select("node").distinct().join(classes, "node").select("node", "copies", "prefixes")
+    sets = sketched.select(F.col("row_id").alias("node"), "shingles").join(wanted, "node")
+    loaded = cells.join(sets, "node")
 
     def run(table: pa.Table) -> pa.Table:
-        table = table.sort_by("set_key")
+        table = table.sort_by("node")
         a, b = table.column("a")[0].as_py(), table.column("b")[0].as_py()
         mine = table.column("mine").to_numpy()
         # In a cell of two blocks only pairs across them count: those inside a block are its own cell's.
@@ -248,27 +254,27 @@ def linked(
         left, right, _ = verified(found, prefixes, threshold, allowed)
         copies = table.column("copies").to_numpy()
         links = np.bincount(left, copies[right], len(found)) + np.bincount(right, copies[left], len(found))
-        root = table.column("set_key").take(pa.array(_roots(len(found), left, right)))
+        root = table.column("node").take(pa.array(_roots(len(found), left, right)))
         return pa.table(
-            {"set_key": table.column("set_key"), "root": root, "links": pa.array(links.astype(np.int64)), "blocks": table.column("blocks")}
+            {"node": table.column("node"), "root": root, "links": pa.array(links.astype(np.int64)), "blocks": table.column("blocks")}
         )
 
     local = materialise(
-        loaded.groupBy("component", "a", "b").applyInArrow(run, "set_key binary, root binary, links long, blocks int")
+        loaded.groupBy("component", "a", "b").applyInArrow(run, "node long, root long, links long, blocks int")
     )
     # One cell: its roots are final. Several: they are edges of the group's own small graph.
-    whole = local.where("blocks = 1").select("set_key", "root")
-    spread = local.where("blocks > 1 and set_key != root").select(F.col("set_key").alias("u"), F.col("root").alias("v"))
+    whole = local.where("blocks = 1").select("node", "root")
+    spread = local.where("blocks > 1 and node != root").select(F.col("node").alias("u"), F.col("root").alias("v"))
     merged = whole
     if spread.take(1):
-        found = components(spread).select(F.col("node").alias("set_key"), F.col("component").alias("root"))
+        found = components(spread).select("node", F.col("component").alias("root"))
         merged = whole.unionAll(found)
-    links = local.groupBy("set_key").agg(F.sum("links").alias("links"))
+    links = local.groupBy("node").agg(F.sum("links").alias("links"))
     named = (
-        classes.select("set_key", "set_id", "copies")
-        .join(merged, "set_key", "left")
-        .join(links, "set_key", "left")
-        .withColumn("root", F.coalesce("root", "set_key"))
+        classes.select("set_key", "node", "set_id", "copies")
+        .join(merged, "node", "left")
+        .join(links, "node", "left")
+        .withColumn("root", F.coalesce("root", "node"))
     )
     least = named.groupBy("root").agg(F.min("set_id").alias("class_id"))
     named = named.join(least, "root").select(
