@@ -19,6 +19,8 @@ SHINGLE, LEAST_LIKENESS = 5, 0.8
 TREES, DEPTH, TARGET = 16, 6, 0.9999
 #: Members verified together in one task; larger candidate groups are dealt as pairs of blocks of this size.
 BLOCK = 2000
+#: Row numbers (8 bytes each) that may be broadcast.
+BROADCAST_ROWS = 1_000_000
 
 
 def prefix_length(threshold: float = LEAST_LIKENESS, trees: int = TREES, depth: int = DEPTH, target: float = TARGET) -> int:
@@ -240,7 +242,11 @@ def linked(
     classes = materialise(classes)
     cells = materialise(_cells(classes))
     wanted = cells.select("node").distinct().join(classes, "node").select("node", "copies", "prefixes")
-    sets = sketched.select(F.col("row_id").alias("node"), "shingles").join(wanted, "node")
+    sets = sketched.select(F.col("row_id").alias("node"), "shingles")
+    ids = wanted.select("node")
+    if ids.count() <= BROADCAST_ROWS:  # then only the sets that are needed travel; beyond it the join below deals both
+        sets = sets.join(F.broadcast(ids), "node", "left_semi")
+    sets = sets.join(wanted, "node")
     loaded = cells.join(sets, "node")
 
     def run(table: pa.Table) -> pa.Table:
