@@ -304,7 +304,9 @@ def one_of_each(docs: DataFrame, **options) -> DataFrame:
     found = materialise(linked(docs, **options).where("n_links > 0").select("root", "doc_id", "text_hash"))
     mark = F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "text_hash")
     kept = found.groupBy("root").agg(F.min(mark).alias("kept"))
-    gone = found.join(kept, "root").where(~mark.eqNullSafe(F.col("kept"))).select("doc_id", "text_hash").distinct()
+    gone = materialise(found.join(kept, "root").where(~mark.eqNullSafe(F.col("kept"))).select("doc_id", "text_hash").distinct())
+    if gone.count() <= BROADCAST_ROWS:
+        gone = F.broadcast(gone)
 
     def same(keys: DataFrame):
         return rows["_id"].eqNullSafe(keys["doc_id"]) & (rows["_hash"] == keys["text_hash"])

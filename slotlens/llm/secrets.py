@@ -23,6 +23,8 @@ ANY = r"(?i:password|passwd|secret|token|api_?key)|AKIA|[0-9a-f]{24}|[0-9A-F]{32
 #: A value seen with so many owners is a widely copied example rather than somebody's credential.
 COPIED_AT = 5
 MASK = "<secret>"
+#: Live value hashes (about 100 bytes each) that may be broadcast.
+BROADCAST_VALUES = 200_000
 
 
 def _shorter(kind: str) -> str:
@@ -171,7 +173,9 @@ def _masked(text: Column, kind: str, live: Column) -> Column:
 def redact(docs: DataFrame, copied_at: int = COPIED_AT, **columns) -> DataFrame:
     """``docs`` with live values masked in the text (and n_chars, where there is one, counted again); no row goes."""
     verdict = judged(materialise(find(docs, **columns)), copied_at)
-    verdict = verdict.where(F.col("n_live") > 0).select(F.col("doc_id").alias("_id"), "text_hash", "live")
+    verdict = materialise(verdict.where(F.col("n_live") > 0).select(F.col("doc_id").alias("_id"), "text_hash", "live"))
+    if (verdict.agg(F.sum(F.size("live"))).first()[0] or 0) <= BROADCAST_VALUES:
+        verdict = F.broadcast(verdict)
     body = F.coalesce(F.col("text"), F.lit(""))
     same = F.col("doc_id").eqNullSafe(F.col("_id")) & (F.xxhash64(body) == F.col("text_hash"))
     joined = docs.join(verdict, same, "left")
