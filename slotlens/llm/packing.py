@@ -29,7 +29,7 @@ class LibraryIds:
         self.library.no_truncation()
         self.library.no_padding()
         self.rest = WordCache(self.after_space, limit)
-        self.line_end = self.library.encode("\n", add_special_tokens=False).ids
+        self.tab = self.library.encode("\t", add_special_tokens=False).ids
 
     def batch(self, texts: list[str]) -> list[bytes]:
         out = []
@@ -39,14 +39,14 @@ class LibraryIds:
         return out
 
     def after_space(self, words: list[str]) -> list[bytes]:
-        """Ids of each word with a space before it. Words without inner white space go many to a call, a line each:
-        a line end before a space is a token of its own, so the ids between line ends are those of one word."""
+        """Ids of each word with a space before it. Words go many to a call, a tab before each: a tab before a space is
+        a token of its own, so the ids between tabs are those of one word. Words that hold a tab go alone."""
         found: dict[str, bytes] = {}
-        plain = [w for w in words if len(w.split()) == 1] if len(self.line_end) == 1 else []
+        plain = [w for w in words if "\t" not in w] if len(self.tab) == 1 else []
         for at in range(0, len(plain), 512):
             part = plain[at : at + 512]
-            ids = np.array(self.library.encode_batch_fast(["\n ".join(["", *part])], add_special_tokens=False)[0].ids, "<u4")
-            cut = np.flatnonzero(ids == self.line_end[0])
+            ids = np.array(self.library.encode_batch_fast(["\t ".join(["", *part])], add_special_tokens=False)[0].ids, "<u4")
+            cut = np.flatnonzero(ids == self.tab[0])
             ends = [*(4 * cut[1:]).tolist(), 4 * len(ids)]
             raw = ids.tobytes()
             if len(cut) == len(part):
