@@ -120,7 +120,7 @@ ORACLES: dict[str, str] = {
     "w_month_series": _M + "SELECT tick, round(y_true, 6) AS y_true, round(y, 6) AS y, is_polluted, style FROM month",
     "w_year_series": _Y + "SELECT tick, round(y_true, 6) AS y_true, round(y, 6) AS y, is_polluted, style FROM year",
     "w_year_mild_series": f"WITH {_year(_MILD)} SELECT tick, round(y_true, 6) AS y_true, round(y, 6) AS y, is_polluted, style FROM year",
-    "w_weekly_series": f"WITH {_days('1995-01-02', 2499)}, {_z('days', 'day')} SELECT day AS tick, round({_WEEK}[(day % 7 + 1)::INTEGER]::DOUBLE / 100.0 * (1.0::DOUBLE + 0.03::DOUBLE * z) * ({_SEASON}[month(DATE '1995-01-02' + day::INTEGER)]::DOUBLE / 100.0), 8) AS y FROM z",
+    "w_weekly_series": f"WITH {_days('1995-01-02', 2499)}, {_z('days', 'day')} SELECT day AS tick, round({_WEEK}[(day % 7 + 1)::INTEGER]::DOUBLE / 100.0 * (1.0::DOUBLE + 0.03::DOUBLE * z) * ({_SEASON}[month(DATE '1995-01-02' + day::INTEGER)]::DOUBLE / 100.0), 10) AS y FROM z",
     "w_house_series": f"WITH {_FLEET} SELECT tick, round(y, 6) AS y FROM fleet WHERE series_id = (SELECT min(series_id) FROM fleet) AND tick BETWEEN 24 AND 551",
     "polluted_series": _M + "SELECT tick, style, round(y_true, 6) AS y_true, round(y, 6) AS y FROM month WHERE is_polluted",
     "resample_hourly": f"WITH {_HOURLY} SELECT tick, round(v, 6) AS y FROM hourly",

@@ -80,7 +80,7 @@ def w_year_mild_series(spark, sf_dir):
 
 
 def w_weekly_series(spark, sf_dir):
-    return X.weekly(spark, sf_dir).select("tick", F.round("y", 8).alias("y"))
+    return X.weekly(spark, sf_dir).select("tick", F.round("y", 10).alias("y"))
 
 
 def w_house_series(spark, sf_dir):
