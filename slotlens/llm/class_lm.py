@@ -2,18 +2,20 @@
 
 from __future__ import annotations
 
-from dataclasses import dataclass
+from contextlib import contextmanager
 
 import numpy as np
 import pyarrow as pa
 from pyspark import TaskContext
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from slotlens.llm.common import crc_remainder, materialise, slices
 
-#: Words clustered one by one, groups of all other words by their ending, classes. These bound the model, not the data.
+#: The start of the clustering: words exchanged one by one and groups of all others by their ending; classes; sweeps over that table.
 HEADS, ENDINGS, CLASSES, SWEEPS = 1500, 500, 48, 4
+#: Parallel sweeps over all words that follow.
+WORD_SWEEPS = 2
 #: UTF-8 bytes of text per block; a block's own word list is what a task holds.
 BLOCK_BYTES = 24 << 20
 #: The end of a text in the word list; no word holds white space.
@@ -143,44 +145,246 @@ def exchange(pairs: np.ndarray, fixed: int, classes: int, sweeps: int = SWEEPS)
     return cls
 
 
-@dataclass(frozen=True)
-class ClassModel:
-    """log10 figures: class after class, item within class."""
+def _f(x: np.ndarray) -> np.ndarray:
+    return x * np.log(np.maximum(x, 1))
 
-    cls: np.ndarray
-    follow: np.ndarray
-    emit: np.ndarray
 
-    @staticmethod
-    def fit(pairs: np.ndarray, end: int, classes: int = CLASSES) -> ClassModel:
-        cls = exchange(pairs, end, classes)
-        counts = pairs.sum(axis=0)
-        onehot = np.zeros((len(pairs), classes))
-        onehot[np.arange(len(pairs)), cls] = 1
-        grid, per_class, members = onehot.T @ pairs @ onehot, onehot.T @ counts, onehot.sum(axis=0)
-        share = (per_class + 0.5) / (per_class.sum() + 0.5 * classes)
-        follow = (grid + PRIOR * share) / (grid.sum(axis=1, keepdims=True) + PRIOR)
-        emit = (counts + 0.5) / (per_class + 0.5 * members)[cls]
-        return ClassModel(cls, np.log10(follow), np.log10(emit))
+def likelihood(grid: np.ndarray) -> float:
+    """The part of the training likelihood that depends on the classes."""
+    return float(_f(grid).sum() - _f(grid.sum(axis=1)).sum() - _f(grid.sum(axis=0)).sum())
+
+
+def contexts(words: np.ndarray, cls: np.ndarray, classes: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(word, code, n) of a run of texts, sorted. Codes: class after, ``classes`` + class before, 2 * ``classes`` the word itself."""
+    width = 2 * classes + 1
+    a = words.astype(np.int64)
+    b = np.concatenate([[0], a])[:-1]  # the end of a text stands before the next one
+    same = a == b
+    x, y = a[~same], b[~same]
+    keys = np.concatenate([y * width + cls[x], x * width + classes + cls[y], a[same] * width + 2 * classes])
+    keys, n = np.unique(keys, return_counts=True)
+    return keys // width, keys % width, n
+
+
+def moves(grid: np.ndarray, own: np.ndarray, word: np.ndarray, code: np.ndarray, n: np.ndarray) -> np.ndarray:
+    """New class of each word of a parallel sweep, from its sparse (word, code, n) and the grid at the sweep's start.
+
+    The word is taken out of its own class and put where the likelihood gains most; other words stay in the grid
+    as they were. Words without counts and class 0 (the end of a text) stay.
+    """
+    k = len(grid)
+    cells = np.vstack([grid.T, grid, np.diag(grid)[None]])  # code x candidate class
+    logs = _f(cells)
+    order = np.argsort(word, kind="stable")
+    word, code, n = word[order], code[order], n[order].astype(float)
+    who, start = np.unique(word, return_index=True)
+    if not len(who):
+        return own.copy()
+    mine = own[word]
+    gain = _f(cells[code] + n[:, None]) - logs[code]
+    at = np.arange(len(word))
+    gain[at, mine] = logs[code, mine] - _f(cells[code, mine] - n)
+    total = np.add.reduceat(gain, start, axis=0)
+    home, at = own[who], np.arange(len(who))
+    for side, sums in ((code < k, grid.sum(axis=1)), ((code >= k) & (code < 2 * k), grid.sum(axis=0))):
+        m = np.add.reduceat(np.where(side | (code == 2 * k), n, 0.0), start)
+        cost = _f(sums + m[:, None]) - _f(sums)
+        cost[at, home] = _f(sums[home]) - _f(sums[home] - m)
+        total -= cost
+    total[:, 0] = -np.inf
+    best = total.argmax(axis=1)
+    stay = (home == 0) | (total[at, best] <= total[at, home] + 1e-9)
+    out = own.copy()
+    out[who] = np.where(stay, home, best)
+    return out
+
+
+@contextmanager
+def _tidy(spark: SparkSession):
+    """Shuffle files of a finished write go at once: every step here reads the written table, not the shuffle."""
+    name = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+    old = spark.conf.get(name, None)
+    spark.conf.set(name, "true")
+    try:
+        yield
+    finally:
+        spark.conf.unset(name) if old is None else spark.conf.set(name, old)
+
+
+def _settled(df: DataFrame) -> DataFrame:
+    with _tidy(df.sparkSession):
+        return materialise(df)
+
+
+def _forget(df: DataFrame) -> None:
+    """Deletes a table of ``materialise`` that no later step reads."""
+    jvm = df.sparkSession._jvm
+    for folder in {f.rsplit("/", 1)[0] for f in df.inputFiles()}:
+        path = jvm.org.apache.hadoop.fs.Path(folder)
+        path.getFileSystem(df.sparkSession._jsparkSession.sessionState().newHadoopConf()).delete(path, True)
+
+
+def _grid(sums: DataFrame, size: int) -> np.ndarray:
+    """Sums of (pair, n) rows as a square table."""
+    table = sums.groupBy("pair").agg(F.sum("n").alias("n")).toArrow()
+    out = np.zeros(size * size)
+    out[table.column("pair").to_numpy()] = table.column("n").to_numpy()
+    return out.reshape(size, size)
+
+
+def _pair_table(counts: np.ndarray) -> pa.Table:
+    at = np.flatnonzero(counts)
+    return pa.table([pa.array(at), pa.array(counts.ravel()[at].astype(np.int64))], ["pair", "n"])
+
+
+def _run_of(texts: pa.Table) -> np.ndarray:
+    """The training texts of a block, one after the other."""
+    raw = [r.as_py() for r, h in zip(texts.column("numbers"), texts.column("held_out").to_pylist(), strict=True) if not h]
+    return np.frombuffer(b"".join(raw), "<u4")
+
+
+def _by_number(known: pa.Table, column: str, kind: type) -> np.ndarray:
+    number = known.column("number").to_numpy()
+    out = np.zeros(len(number), kind)
+    out[number] = known.column(column).to_numpy()
+    return out
+
+
+LISTS = "block long, number int, word_key long, c long, first boolean, item int, cls int"
+KEPT = ["block", "number", "word_key", "c", "first", "item", "cls"]
+
+
+def sweep(texts: DataFrame, lists: DataFrame, classes: int) -> tuple[DataFrame, float]:
+    """One parallel exchange of every training word: the lists with new classes, and the likelihood before it.
+
+    A word's counts of classes around it are sparse, come from every block that holds the word and meet by the
+    word's 64-bit hash: one row a block at most.
+    """
+
+    def look(left: pa.Table, right: pa.Table) -> pa.Table:
+        cls = _by_number(right, "cls", np.int64)
+        word, code, n = contexts(_run_of(left), cls, classes)
+        packed = np.stack([code, n], axis=1).astype("<u4")
+        ends = np.searchsorted(word, np.arange(len(cls) + 1)) * 8
+        buffers = [None, pa.py_buffer(ends.astype("<i4").tobytes()), pa.py_buffer(packed.tobytes())]
+        around = pa.Array.from_buffers(pa.binary(), len(cls), buffers)
+        return right.select(KEPT).sort_by("number").append_column("around", around)
+
+    def entries(batch) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        raw = batch.column("around").to_pylist()
+        found = np.frombuffer(b"".join(raw), "<u4").reshape(-1, 2).astype(np.int64)
+        return np.repeat(np.arange(len(raw)), [len(r) // 8 for r in raw]), found[:, 0], found[:, 1]
+
+    def add(batches):
+        counts = np.zeros(classes * classes)
+        for batch in batches:
+            row, code, n = entries(batch)
+            own = batch.column("cls").to_numpy().astype(np.int64)[row]
+            after, self_ = code < classes, code == 2 * classes
+            counts += np.bincount(own[after] * classes + code[after], n[after], len(counts))
+            counts += np.bincount(own[self_] * (classes + 1), n[self_], len(counts))
+        yield from _pair_table(counts).to_batches()
+
+    seen = _settled(texts.groupBy("block").cogroup(lists.groupBy("block")).applyInArrow(look, f"{LISTS}, around binary"))
+    grid = _grid(seen.select("cls", "around").mapInArrow(add, "pair long, n long"), classes)
+
+    def exchange_all(batches):
+        def move(table: pa.Table) -> list[pa.RecordBatch]:
+            table = table.combine_chunks()
+            _, first, word = np.unique(table.column("word_key").to_numpy(), return_index=True, return_inverse=True)
+            row, code, n = entries(table)
+            # The same code from several blocks is one count.
+            keys, at = np.unique(word[row] * (2 * classes + 1) + code, return_inverse=True)
+            n = np.bincount(at, n, len(keys)) if len(keys) else np.zeros(0)
+            own = table.column("cls").to_numpy().astype(np.int64)[first]
+            new = moves(grid, own, keys // (2 * classes + 1), keys % (2 * classes + 1), n)[word]
+            out = table.select(KEPT[:-1]).append_column("cls", pa.array(new.astype(np.int32)))
+            return out.to_batches(max_chunksize=20_000)
+
+        held: list[pa.RecordBatch] = []
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            key = batch.column("word_key").to_numpy()
+            # The last word may go on in the next batch.
+            cut = int(np.searchsorted(key, key[-1]))
+            if cut or held and held[-1].column("word_key")[-1].as_py() != key[-1]:
+                yield from move(pa.Table.from_batches([*held, batch.slice(0, cut)]))
+                held = []
+            held.append(batch.slice(cut))
+        if held:
+            yield from move(pa.Table.from_batches(held))
+
+    by_word = seen.repartition("word_key").sortWithinPartitions("word_key")
+    new = _settled(by_word.mapInArrow(exchange_all, LISTS))
+    _forget(seen)
+    return new, likelihood(grid)
+
+
+def classed(texts: DataFrame, lists: DataFrame, of_item: np.ndarray, first_ending: int, classes: int, n: int, v: int) -> tuple[DataFrame, np.ndarray, np.ndarray]:
+    """Texts as class numbers with their word-level figures, the table of class pairs and the tokens of each class."""
+    trained = lists.where(F.col("first") & (F.col("c") > 0))
+    total, members = np.zeros(classes), np.zeros(classes)
+    for r in trained.groupBy("cls").agg(F.sum("c").alias("n"), F.count("*").alias("v")).collect():
+        total[r.cls], members[r.cls] = r.n, r.v
+    votes = np.zeros((len(of_item), classes))
+    for r in trained.where(F.col("item") >= first_ending).groupBy("item", "cls").count().collect():
+        votes[r.item, r.cls] = r["count"]
+    unseen = np.where(votes.any(axis=1), votes.argmax(axis=1), of_item)
+    base_floor, floor = n + 0.5 * (v + 1), total + 0.5 * (members + 1)
+
+    def look_up(left: pa.Table, right: pa.Table) -> pa.Table:
+        c, cls = _by_number(right, "c", np.int64), _by_number(right, "cls", np.int64)
+        cls = np.where(c > 0, cls, unseen[_by_number(right, "item", np.int64)])
+        base, share = np.log10((c + 0.5) / base_floor), np.log10((c + 0.5) / floor[cls])
+        out = []
+        for raw in left.column("numbers"):
+            ids = np.frombuffer(raw.as_py(), "<u4")
+            out.append((len(ids), int((c[ids] > 0).sum()), float(base[ids].sum()), float(share[ids].sum()), cls[ids].astype("<u2").tobytes()))
+        columns = list(zip(*out, strict=True)) or [[]] * 5
+        return pa.table(
+            [
+                left.column("doc_id"),
+                left.column("held_out"),
+                *(pa.array(x, t) for x, t in zip(columns, (pa.int64(), pa.int64(), pa.float64(), pa.float64(), pa.binary()), strict=True)),
+            ],
+            ["doc_id", "held_out", "n_tokens", "n_known", "base_score", "share", "classes"],
+        )
+
+    schema = "doc_id long, held_out boolean, n_tokens long, n_known long, base_score double, share double, classes binary"
+    seen = _settled(texts.groupBy("block").cogroup(lists.groupBy("block")).applyInArrow(look_up, schema))
+
+    def add(batches):
+        counts = np.zeros(classes * classes)
+        for batch in batches:
+            for raw in batch.column("classes"):
+                k = np.frombuffer(raw.as_py(), "<u2").astype(np.int64)
+                counts += np.bincount(np.concatenate([[0], k])[:-1] * classes + k, minlength=len(counts))
+        yield from _pair_table(counts).to_batches()
+
+    return seen, _grid(seen.where("not held_out").select("classes").mapInArrow(add, "pair long, n long"), classes), total
 
 
 def score(docs: DataFrame, heads: int = HEADS, endings: int = ENDINGS, classes: int = CLASSES, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
     """doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score (log10) and perplexity of every text.
 
-    Trains on the rows whose crc32(doc_id) mod 5 is not 1. Every word has a class: the ``heads`` most frequent
-    ones each move alone in the exchange, all others move with the words of like ending (last two characters, in
-    ``endings`` hash groups), so that words never seen in training have a class too. A text's probability is the
-    product of P(class | class before), P(item | class) and, inside an ending, the word's smoothed share of it.
+    Trains on the rows whose crc32(doc_id) mod 5 is not 1. Every word of the training rows has a class of its own
+    choice: a first exchange deals the ``heads`` most frequent words one by one and all others by their ending (last
+    two characters, in ``endings`` hash groups); from there parallel sweeps move every word by its own sparse counts
+    of classes before and after it. A sweep that does not raise the likelihood is taken back. Only words never seen
+    in training go by their ending: to the class that most trained words of that ending group have. A text's
+    probability is the product of P(class | class before) and P(word | class), each class with room for one unseen word.
     Ties in frequency go by word. Null text is empty and scores its end alone; repeated rows count again; with no
     training row every known count is 0 and the scores stay finite.
 
-    Counts cover the whole corpus: words are summed in one shuffle of (block, word) rows, which carry at most one
-    row a block for the commonest word, and return to their block in a second; texts move as numbers, once.
+    Counts cover the whole corpus and grow with its vocabulary: words are summed in one shuffle of (block, word)
+    rows, at most one row a block for the commonest word; a sweep sends the classes to the blocks and the counts
+    back. Only tables of classes and of the start's items come to the driver.
     """
-    parts = materialise(blocks(docs, doc_id, text))
+    parts = _settled(blocks(docs, doc_id, text))
     words = parts.where("word is not null").select("block", "word", "number", "n_train")
     by_word = Window.partitionBy("word")
-    counted = materialise(
+    counted = _settled(
         words.select(
             "block",
             "word",
@@ -206,77 +410,44 @@ def score(docs: DataFrame, heads: int = HEADS, endings: int = ENDINGS, classes:
             "item", F.coalesce("head", ending)
         )
 
-    inside = named(each).where(F.col("item") >= first_ending).groupBy("item")
-    tail_n, tail_v = np.zeros(items), np.zeros(items)
-    for r in inside.agg(F.sum("c").alias("n"), F.count(F.when(F.col("c") > 0, 1)).alias("v")).collect():
-        tail_n[r.item], tail_v[r.item] = r.n, r.v
-    base_floor = n + 0.5 * (v + 1)
-    tail_floor = tail_n + 0.5 * (tail_v + 1)
-
-    def look_up(texts: pa.Table, known: pa.Table) -> pa.Table:
-        number = known.column("number").to_numpy()
-        c, item = np.zeros(len(number), np.int64), np.zeros(len(number), np.uint16)
-        c[number], item[number] = known.column("c").to_numpy(), known.column("item").to_numpy()
-        base = np.log10((c + 0.5) / base_floor)
-        share = np.where(item >= first_ending, np.log10((c + 0.5) / tail_floor[item]), 0.0)
-        out = []
-        for raw in texts.column("numbers"):
-            ids = np.frombuffer(raw.as_py(), "<u4")
-            out.append((len(ids), int((c[ids] > 0).sum()), float(base[ids].sum()), float(share[ids].sum()), item[ids].tobytes()))
-        columns = list(zip(*out, strict=True)) or [[]] * 5
-        return pa.table(
-            [
-                texts.column("doc_id"),
-                texts.column("held_out"),
-                *(pa.array(x, t) for x, t in zip(columns, (pa.int64(), pa.int64(), pa.float64(), pa.float64(), pa.binary()), strict=True)),
-            ],
-            ["doc_id", "held_out", "n_tokens", "n_known", "base_score", "share", "items"],
-        )
-
     texts = parts.where("word is null").select("block", "doc_id", "held_out", "numbers")
-    lists = named(counted).select("block", "number", "c", "item")
-    seen = materialise(
-        texts.groupBy("block")
-        .cogroup(lists.groupBy("block"))
-        .applyInArrow(
-            look_up,
-            "doc_id long, held_out boolean, n_tokens long, n_known long, base_score double, share double, items binary",
-        )
+    lists = _settled(
+        named(counted).select("block", "number", F.xxhash64("word").alias("word_key"), "c", "first", "item", F.lit(0).alias("cls"))
     )
+    _forget(counted)
 
-    def pairs_in(batches):
-        counts, codes, held = np.zeros(items * items, np.int64), [], 0
-        for batch in batches:
-            for raw in batch.column("items"):
-                a = np.frombuffer(raw.as_py(), "<u2").astype(np.int64)
-                codes.append(np.concatenate([[0], a[:-1]]) * items + a)
-                held += len(a)
-                if held >= 1 << 21:  # one count over many texts: each costs a pass over the whole square
-                    counts += np.bincount(np.concatenate(codes), minlength=len(counts))
-                    codes, held = [], 0
-        if codes:
-            counts += np.bincount(np.concatenate(codes), minlength=len(counts))
-        at = np.flatnonzero(counts)
-        yield pa.RecordBatch.from_arrays([pa.array(at), pa.array(counts[at])], ["pair", "n"])
+    def start(left: pa.Table, right: pa.Table) -> pa.Table:
+        a = _by_number(right, "item", np.int64)[_run_of(left)]
+        return _pair_table(np.bincount(np.concatenate([[0], a])[:-1] * items + a, minlength=items * items))
 
     # Bounded by the square of the item count, whatever the corpus.
-    sums = seen.where("not held_out").select("items").mapInArrow(pairs_in, "pair long, n long").groupBy("pair").agg(F.sum("n").alias("n"))
-    table = sums.toArrow()
-    pairs = np.zeros(items * items)
-    pairs[table.column("pair").to_numpy()] = table.column("n").to_numpy()
-    model = ClassModel.fit(pairs.reshape(items, items), 0, classes)
+    with _tidy(spark):
+        pairs = _grid(texts.groupBy("block").cogroup(lists.groupBy("block")).applyInArrow(start, "pair long, n long"), items)
+    of_item = exchange(pairs, 0, classes)
+    lists = lists.withColumn("cls", F.get(F.lit(of_item.astype(np.int32).tolist()), F.col("item")))
+
+    kept, best = lists, -np.inf
+    for _ in range(WORD_SWEEPS):
+        new, before = sweep(texts, lists, classes)
+        if before <= best:
+            lists = kept
+            break
+        kept, best, lists = lists, before, new
+    seen, grid, total = classed(texts, lists, of_item, first_ending, classes, n, v)
+    if likelihood(grid) < best:
+        seen, grid, total = classed(texts, kept, of_item, first_ending, classes, n, v)
+    share = (total + 0.5) / (total.sum() + 0.5 * classes)
+    follow = np.log10((grid + PRIOR * share) / (grid.sum(axis=1, keepdims=True) + PRIOR))
 
     def finish(batches):
         for batch in batches:
             out = []
-            for raw in batch.column("items"):
-                a = np.frombuffer(raw.as_py(), "<u2")
-                k = model.cls[a]
-                before = np.concatenate([model.cls[:1], k[:-1]])
-                out.append(float(model.follow[before, k].sum() + model.emit[a].sum()))
-            total = pa.array(np.array(out) + batch.column("share").to_numpy())
+            for raw in batch.column("classes"):
+                k = np.frombuffer(raw.as_py(), "<u2").astype(np.int64)
+                out.append(float(follow[np.concatenate([[0], k])[:-1], k].sum()))
+            score = pa.array(np.array(out) + batch.column("share").to_numpy())
             names = ["doc_id", "held_out", "n_tokens", "n_known", "base_score"]
-            yield pa.RecordBatch.from_arrays([*(batch.column(x) for x in names), total], [*names, "score"])
+            yield pa.RecordBatch.from_arrays([*(batch.column(x) for x in names), score], [*names, "score"])
 
     scored = seen.mapInArrow(finish, "doc_id long, held_out boolean, n_tokens long, n_known long, base_score double, score double")
     return scored.select(

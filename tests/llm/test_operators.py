@@ -324,3 +324,32 @@ def test_exchange_separates_two_languages():
                 pairs[a, b] = 20
     cls = class_lm.exchange(pairs, 0, 3)
     assert cls[0] == 0 and len(set(cls[1:5])) == 1 and len(set(cls[5:])) == 1 and cls[1] != cls[5]
+
+
+def test_rare_words_have_classes_of_their_own(spark):
+    # Two kinds of words take turns; all but two of them share the only ending group.
+    rng = np.random.default_rng(3)
+    rows = [(i, " ".join(f"{'ab'[k % 2]}{rng.integers(30)}" for k in range(60))) for i in range(200)]
+    df = spark.createDataFrame(rows, "doc_id bigint, text string")
+    held = class_lm.score(df, heads=2, endings=1, classes=4).where("held_out").collect()
+    gain = sum(r.score - r.base_score for r in held) / sum(r.n_tokens for r in held)
+    assert gain > 0.2
+
+
+def test_a_move_takes_the_largest_gain_in_likelihood():
+    rng = np.random.default_rng(5)
+    words, cls = rng.integers(0, 12, 400), np.array([0, *rng.integers(1, 4, 11)])
+
+    def grid_of(c):
+        out = np.zeros((4, 4))
+        np.add.at(out, (c[np.concatenate([[0], words[:-1]])], c[words]), 1)
+        return out
+
+    word, code, n = class_lm.contexts(words, cls, 4)
+    new = class_lm.moves(grid_of(cls), cls, word, code, n)
+    assert new[0] == 0 and (new[1:] > 0).all() and (new != cls).any()
+    assert class_lm.likelihood(grid_of(new)) != class_lm.likelihood(grid_of(cls))
+    for w in range(1, 12):
+        one = cls.copy()
+        one[w] = new[w]
+        assert class_lm.likelihood(grid_of(one)) >= class_lm.likelihood(grid_of(cls)) - 1
