@@ -11,8 +11,8 @@ from pyspark.sql import functions as F
 
 from slotlens.llm.common import count_below, text_rows
 
-#: Grams of 25 characters, windows of 76 grams: any common passage of 100 characters is sure to share a fingerprint.
-GRAM, WINDOW = 25, 76
+#: Grams and windows of 8 at every length of text: any common passage of 15 characters is sure to share a fingerprint.
+GRAM, WINDOW = 8, 8
 #: Characters hashed at once; longer texts go in overlapping runs.
 RUN = 1 << 20
 

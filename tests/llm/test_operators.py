@@ -353,3 +353,18 @@ def test_a_move_takes_the_largest_gain_in_likelihood():
         one = cls.copy()
         one[w] = new[w]
         assert class_lm.likelihood(grid_of(one)) >= class_lm.likelihood(grid_of(cls)) - 1
+
+
+def test_short_edited_texts_still_match(spark):
+    rows = [(i, f"note {i}: the {w} harbour opens at nine") for i, w in enumerate(("old", "new", "east", "west", "far"))]
+    got = winnowing.neighbour_edits(spark.createDataFrame(rows, "doc_id bigint, text string")).collect()
+    assert max(r.n_chars for r in got) < 50
+    first = [(r.near_edited, r.doc_id) for r in got]
+    # Half of each text (17 characters or more) is kept; what follows it is the beginning of another text.
+    assert sum(x > 0 for x, _ in first) == len(first)
+    rng = np.random.default_rng(6)
+    w = winnowing.Winnower()
+    for n in (15, 30, 60):
+        kept = rng.integers(97, 123, n).astype(np.uint32)
+        a, b = (np.concatenate([kept, rng.integers(97, 123, n).astype(np.uint32)]) for _ in "ab")
+        assert set(w.fingerprint(a)[0].tolist()) & set(w.fingerprint(b)[0].tolist())
