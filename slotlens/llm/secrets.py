@@ -15,7 +15,13 @@ KINDS = {
     # Kinds that the method adds to the base ones.
     "upper": (r"[0-9A-F]{32,}", 0, 32),
     "jwt": (r"eyJ[A-Za-z0-9_-]{8,}\.[A-Za-z0-9_-]{8,}\.[A-Za-z0-9_-]{8,}", 0, 28),
-    "pem": (r"-----BEGIN [A-Z ]*PRIVATE KEY-----", 0, 10),
+    # The whole key: header, attribute lines and body to the END line, or to the last full line where that is missing.
+    "pem": (
+        r"-----BEGIN [A-Z ]*PRIVATE KEY-----(?:[\x20\t\r\n]+[A-Za-z-]+: [^\r\n]+){0,5}"
+        r"(?:[A-Za-z0-9+/=\x20\t\r\n\\]*-----END [A-Z ]*PRIVATE KEY-----|(?:[\x20\t\r\n]*[A-Za-z0-9+/=]{16,}){0,100})",
+        0,
+        10,
+    ),
 }
 BASE = ("assign", "access", "hex")
 #: One quick look that every text with a span passes.
@@ -179,7 +185,8 @@ def redact(docs: DataFrame, copied_at: int = COPIED_AT, **columns) -> DataFrame:
     body = F.coalesce(F.col("text"), F.lit(""))
     same = F.col("doc_id").eqNullSafe(F.col("_id")) & (F.xxhash64(body) == F.col("text_hash"))
     joined = docs.join(verdict, same, "left")
-    for kind in KINDS:
+    # Whole keys first: a value masked inside one would change it.
+    for kind in sorted(KINDS, key=lambda k: k != "pem"):
         joined = joined.withColumn("text", F.when(F.col("live").isNull(), F.col("text")).otherwise(_masked(body, kind, F.col("live"))))
     if "n_chars" in docs.columns:
         joined = joined.withColumn("n_chars", F.when(F.col("live").isNull(), F.col("n_chars")).otherwise(F.length(body).cast("long")))

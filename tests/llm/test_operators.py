@@ -368,3 +368,19 @@ def test_short_edited_texts_still_match(spark):
         kept = rng.integers(97, 123, n).astype(np.uint32)
         a, b = (np.concatenate([kept, rng.integers(97, 123, n).astype(np.uint32)]) for _ in "ab")
         assert set(w.fingerprint(a)[0].tolist()) & set(w.fingerprint(b)[0].tolist())
+
+
+def test_private_keys_are_masked_with_their_body(spark):
+    rng = np.random.default_rng(7)
+
+    def key(end=True, head=""):
+        lines = ["".join(rng.choice(list("ABCDwxyz0189+/"), 64)) for _ in range(20)]
+        return "-----BEGIN RSA PRIVATE KEY-----\n" + head + "\n".join(lines) + ("\n-----END RSA PRIVATE KEY-----" if end else "\n")
+
+    keys = [key(), key(), key(), key(), key(), key(end=False), key(head="Proc-Type: 4,ENCRYPTED\nDEK-Info: AES-128-CBC,00112233445566778899AABBCCDDEEFF\n\n")]
+    rows = [(i, f"see {k} done.", f"s{i}", "en") for i, k in enumerate(keys)]
+    df = spark.createDataFrame(rows, "doc_id bigint, text string, source string, lang string")
+    assert all(r.n_copied == 0 and r.n_live >= 1 for r in secrets.report(df).collect())
+    for r in secrets.redact(df).collect():
+        assert not any(line in r.text for line in keys[r.doc_id].split("\n")[1:] if line)
+        assert r.text.startswith("see <secret>") and r.text.endswith(" done.")
