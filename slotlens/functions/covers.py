@@ -27,9 +27,8 @@ def greedy(adjacent: np.ndarray, degree: str = "residual", order: str = "id", d:
     """
     n = len(adjacent)
     label, free, group = np.full(n, -1), np.ones(n, bool), 0
-    static = adjacent.sum(axis=1)
+    deg = adjacent.sum(axis=1)
     while free.any():
-        deg = adjacent[:, free].sum(axis=1) if degree == "residual" else static
         v = int(np.where(free, deg, -1).argmax())
         around = np.flatnonzero(adjacent[v] & free)
         if order == "degree":
@@ -42,6 +41,8 @@ def greedy(adjacent: np.ndarray, degree: str = "residual", order: str = "id", d:
             if fits[w]:
                 label[w], free[w] = group, False
                 fits &= adjacent[w]
+        if degree == "residual":
+            deg = deg - adjacent[:, np.flatnonzero(label == group)].sum(axis=1)
         group += 1
     return label
 
@@ -73,13 +74,15 @@ def exact(adjacent: np.ndarray) -> np.ndarray:
 
 
 def cover_curve(v: np.ndarray, grid: np.ndarray | None = None, most_groups: int | None = None, **how) -> list[tuple[float, np.ndarray]]:
-    """(s0, labels) from small to large thresholds, one per distinct number of groups met first, until every vertex is alone."""
+    """(s0, labels) from small to large thresholds, one per distinct number of groups met first, until every vertex is alone.
+
+    Without a grid every distinct distance is tried, at every size: the number of groups may fall again between two
+    thresholds, so that none can be left out. That is about n * n / 2 covers.
+    """
     d = distances(v)
     if grid is None:
         pairs = np.unique(d[np.triu_indices(len(v), 1)])
         pairs = pairs[pairs > 0]
-        if len(pairs) > 400:
-            pairs = np.quantile(pairs, np.linspace(0, 1, 400))
         # Thresholds lie between pair values, so that no pair sits exactly on one.
         grid = 1 / np.concatenate([[pairs[-1] * 1.01], ((pairs[1:] + pairs[:-1]) / 2)[::-1], [pairs[0] / 2]]) if len(pairs) else np.array([1.0])
     out, met = [], set()

@@ -54,7 +54,7 @@ def sweep(values: DataFrame, vectors: DataFrame, item: str = "slot", most_groups
     def run(left: pd.DataFrame, right: pd.DataFrame) -> pd.DataFrame:
         right = right.sort_values(item)
         v = right[["theta", "mad"]].to_numpy(float)
-        limit = most_groups or max(2, int(2 * np.sqrt(len(v))) if len(v) > 40 else len(v))
+        limit = most_groups or len(v)
         rows = {i: g["y"].to_numpy(float) for i, g in left.groupby(item)}
         out = []
         for s0, label in covers.cover_curve(v, None if grid is None else np.array(grid), limit):
@@ -115,7 +115,7 @@ def build(values: DataFrame, vectors: DataFrame, item: str, group: str, kind: st
     def run(left: pd.DataFrame, right: pd.DataFrame) -> pd.DataFrame:
         right = right.sort_values(item)
         v = right[["theta", "mad"]].to_numpy(float)
-        limit = most_groups or (max(2, int(2 * np.sqrt(len(v)))) if len(v) > 40 else len(v))
+        limit = most_groups or len(v)
         if rule == "fixed_n":
             limit = max(limit, int(fixed))
         rows = {i: g["y"].to_numpy(float) for i, g in left.groupby(item)}

@@ -333,7 +333,7 @@ def elbow_choice(spark, sf_dir):
 
 def landscape_curve(spark, sf_dir):
     s = _slots(X.year(spark, sf_dir))
-    return threshold.sweep(s.select("series_id", "period_ix", "y"), landscape.block_vectors(s), "period_ix", most_groups=40).drop("series_id")
+    return threshold.sweep(s.select("series_id", "period_ix", "y"), landscape.block_vectors(s), "period_ix").drop("series_id")
 
 
 def separation_fixed(spark, sf_dir):

@@ -63,3 +63,24 @@ def test_extremes():
     assert covers.greedy(covers.threshold_graph(covers.distances(v), 1e9)).max() == 2
     assert covers.greedy(covers.threshold_graph(covers.distances(v), 1e-9)).max() == 0
     assert covers.greedy(covers.threshold_graph(covers.distances(v[:1]), 1.0)).tolist() == [0]
+
+
+def test_curve_of_many_items_reaches_every_number_of_groups():
+    v = np.random.default_rng(8).gamma(2, 1, (60, 2))
+    d = covers.distances(v)
+    every = np.unique(d[np.triu_indices(60, 1)])
+    grid = 1 / np.concatenate([[every[-1] * 1.01], ((every[1:] + every[:-1]) / 2)[::-1], [every[0] / 2]])
+    want = {int(label.max()) + 1 for _, label in covers.cover_curve(v, grid)}
+    got = [int(label.max()) + 1 for _, label in covers.cover_curve(v)]
+    assert len(every) > 400 and set(got) == want and max(got) == 60
+
+
+def test_threshold_curve_of_more_than_forty_slots_is_whole(spark):
+    import pandas as pd
+
+    from slotlens.operators import threshold
+
+    v = np.random.default_rng(9).gamma(2, 1, (44, 2))
+    values = spark.createDataFrame(pd.DataFrame({"series_id": "s", "slot": range(44), "y": v[:, 0]}))
+    vectors = spark.createDataFrame(pd.DataFrame({"series_id": "s", "slot": range(44), "theta": v[:, 0], "mad": v[:, 1]}))
+    assert threshold.sweep(values, vectors).toPandas()["n_groups"].max() == 44
