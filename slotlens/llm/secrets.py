@@ -15,10 +15,10 @@ KINDS = {
     # Kinds that the method adds to the base ones.
     "upper": (r"[0-9A-F]{32,}", 0, 32),
     "jwt": (r"eyJ[A-Za-z0-9_-]{8,}\.[A-Za-z0-9_-]{8,}\.[A-Za-z0-9_-]{8,}", 0, 28),
-    # The whole key: header, attribute lines and body to the END line, or to the last full line where that is missing.
+    # The whole key: header, attribute lines and body to the END line, or as far as the body goes where that is missing.
     "pem": (
         r"-----BEGIN [A-Z ]*PRIVATE KEY-----(?:[\x20\t\r\n]+[A-Za-z-]+: [^\r\n]+){0,5}"
-        r"(?:[A-Za-z0-9+/=\x20\t\r\n\\]*-----END [A-Z ]*PRIVATE KEY-----|(?:[\x20\t\r\n]*[A-Za-z0-9+/=]{16,}){0,100})",
+        r"(?:[A-Za-z0-9+/=\x20\t\r\n\\]*-----END [A-Z ]*PRIVATE KEY-----|(?:[\x20\t\r\n]*[A-Za-z0-9+/=]{16,}[A-Za-z0-9+/=\r\n\\]*)?)",
         0,
         10,
     ),
