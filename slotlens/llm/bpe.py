@@ -1,7 +1,7 @@
 """Byte-pair encoding: rank-array encoder with decoder (op 10) and heap-based token counter (op 2).
 
 Both read the public vocabulary file given by path and agree with the library's own results.
-Both memoise per distinct piece of text in bounded caches that live as long as the Python worker.
+Both memoise per distinct piece of text, in bounded caches that the tasks of a Python worker share.
 """
 
 from __future__ import annotations
@@ -10,7 +10,6 @@ import heapq
 import json
 import unicodedata
 from collections.abc import Iterator
-from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
@@ -18,11 +17,13 @@ import pyarrow.compute as pc
 import regex
 from pyspark.sql import DataFrame
 
-from slotlens.llm.common import WordCache, slices, text_rows
+from slotlens.llm.common import WordCache, per_worker, slices, text_rows
 
 NO_PAIR = 1 << 40
 #: Words above this many bytes take the heap, whose cost is n log n; the scan is quadratic.
 SHORT_WORD = 128
+#: Words memoised under the pieces that hold them (each at most as long as a short word).
+MOST_WORDS = 150_000
 
 
 def byte_symbols() -> list[str]:
@@ -115,12 +116,11 @@ class Encoder:
     #: Fixed value: the pre-tokenizer's pattern.
     PATTERN = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
 
-    def __init__(self, path: str, limit: int = 300_000):
+    def __init__(self, path: str):
         self.v = Vocabulary(path)
         self.find = regex.compile(self.PATTERN).findall
         self.words: dict[str, bytes] = {}
-        self.limit = limit
-        self.rest = WordCache(lambda ws: [self.exact(" " + w) for w in ws], limit)
+        self.rest = WordCache(lambda ws: [(ws, [self.exact(" " + w) for w in ws])])
 
     def word(self, w: str) -> bytes:
         found = self.words.get(w)
@@ -132,9 +132,9 @@ class Encoder:
                 merge_by_heap(ids, self.v)
                 ids = [i for i in ids if i >= 0]
             found = np.array(ids, "<u4").tobytes()
-            if len(self.words) >= self.limit:
+            if len(self.words) >= MOST_WORDS:
                 self.words.clear()
-            if len(w) <= 64:
+            if len(w) <= SHORT_WORD:
                 self.words[w] = found
         return found
 
@@ -150,9 +150,9 @@ class Encoder:
     def encode_all(self, texts: list[str]) -> Iterator[bytes]:
         """Little-endian 32-bit ids of each text."""
         cut = [t.split(" ") for t in texts]
-        self.rest.learn(set().union(*(c[1:] for c in cut)))
-        get = self.rest.__getitem__
-        for text, (head, *tail) in zip(texts, cut, strict=True):
+        heads = [c.pop(0) for c in cut]
+        get = self.rest.learn(set().union(*cut))
+        for text, head, tail in zip(texts, heads, cut, strict=True):
             if head and head[-1].isspace():
                 yield self.exact(text)
                 continue
@@ -172,21 +172,20 @@ class Counter:
     #: Fixed value: the pre-tokenizer's pattern.
     PATTERN = r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+"
 
-    def __init__(self, path: str, limit: int = 300_000):
+    def __init__(self, path: str):
         self.v = Vocabulary(path)
         self.find = regex.compile(self.PATTERN).findall
         self.words: dict[str, int] = {}
-        self.limit = limit
-        self.pieces = WordCache(lambda ws: [self.exact(w) for w in ws], limit)
+        self.pieces = WordCache(lambda ws: [(ws, [self.exact(w) for w in ws])])
 
     def word(self, w: str) -> int:
         found = self.words.get(w)
         if found is None:
             symbols = self.v.symbols(w.encode())
             found = len(symbols) - merge_by_heap(symbols, self.v)
-            if len(self.words) >= self.limit:
+            if len(self.words) >= MOST_WORDS:
                 self.words.clear()
-            if len(w) <= 64:
+            if len(w) <= SHORT_WORD:
                 self.words[w] = found
         return found
 
@@ -205,8 +204,7 @@ class Counter:
 
     def count_all(self, texts: list[str]) -> Iterator[int]:
         cut = [t.split(" ") for t in texts]
-        self.pieces.learn(set().union(*cut))
-        get = self.pieces.__getitem__
+        get = self.pieces.learn(set().union(*cut))
         for text, pieces in zip(texts, cut, strict=True):
             try:
                 yield sum(map(get, pieces))
@@ -214,17 +212,6 @@ class Counter:
                 yield self.exact(text)
 
 
-@lru_cache(maxsize=2)
-def encoder(path: str) -> Encoder:
-    """One per Python worker and file; the path must be readable on the executors, as installed packages are."""
-    return Encoder(path)
-
-
-@lru_cache(maxsize=2)
-def counter(path: str) -> Counter:
-    return Counter(path)
-
-
 def token_counts(docs: DataFrame, vocabulary: str, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
     """doc_id, n_bytes, n_tokens of every text, by heap-and-linked-list merging.
 
@@ -233,7 +220,7 @@ def token_counts(docs: DataFrame, vocabulary: str, doc_id: str = "doc_id", text:
     """
 
     def run(batches):
-        count = counter(vocabulary)
+        count = per_worker(Counter, vocabulary)
         for batch, texts in slices(batches):
             yield pa.RecordBatch.from_arrays(
                 [
@@ -254,7 +241,7 @@ def encode(docs: DataFrame, vocabulary: str, doc_id: str = "doc_id", text: str =
     """
 
     def run(batches):
-        codec = encoder(vocabulary)
+        codec = per_worker(Encoder, vocabulary)
         for batch, texts in slices(batches):
             ids = list(codec.encode_all(texts))
             flat = np.frombuffer(b"".join(ids), "<i4")
@@ -277,7 +264,7 @@ def encode_digests(docs: DataFrame, vocabulary: str, doc_id: str = "doc_id", tex
     from hashlib import sha256
 
     def run(batches):
-        codec = encoder(vocabulary)
+        codec = per_worker(Encoder, vocabulary)
         for batch, texts in slices(batches):
             rows = [
                 (len(i) // 4, sha256(i).hexdigest(), sha256(codec.decode(i).encode()).hexdigest())

@@ -2,15 +2,13 @@
 
 from __future__ import annotations
 
-from contextlib import contextmanager
-
 import numpy as np
 import pyarrow as pa
 from pyspark import TaskContext
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from slotlens.llm.common import crc_remainder, materialise, slices
+from slotlens.llm.common import crc_remainder, forget, materialise, slices
 
 #: The start of the clustering: words exchanged one by one and groups of all others by their ending; classes; sweeps over that table.
 HEADS, ENDINGS, CLASSES, SWEEPS = 1500, 500, 48, 4
@@ -199,31 +197,6 @@ def moves(grid: np.ndarray, own: np.ndarray, word: np.ndarray, code: np.ndarray,
     return out
 
 
-@contextmanager
-def _tidy(spark: SparkSession):
-    """Shuffle files of a finished write go at once: every step here reads the written table, not the shuffle."""
-    name = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
-    old = spark.conf.get(name, None)
-    spark.conf.set(name, "true")
-    try:
-        yield
-    finally:
-        spark.conf.unset(name) if old is None else spark.conf.set(name, old)
-
-
-def _settled(df: DataFrame) -> DataFrame:
-    with _tidy(df.sparkSession):
-        return materialise(df)
-
-
-def _forget(df: DataFrame) -> None:
-    """Deletes a table of ``materialise`` that no later step reads."""
-    jvm = df.sparkSession._jvm
-    for folder in {f.rsplit("/", 1)[0] for f in df.inputFiles()}:
-        path = jvm.org.apache.hadoop.fs.Path(folder)
-        path.getFileSystem(df.sparkSession._jsparkSession.sessionState().newHadoopConf()).delete(path, True)
-
-
 def _grid(sums: DataFrame, size: int) -> np.ndarray:
     """Sums of (pair, n) rows as a square table."""
     table = sums.groupBy("pair").agg(F.sum("n").alias("n")).toArrow()
@@ -285,7 +258,7 @@ def sweep(texts: DataFrame, lists: DataFrame, classes: int) -> tuple[DataFrame,
             counts += np.bincount(own[self_] * (classes + 1), n[self_], len(counts))
         yield from _pair_table(counts).to_batches()
 
-    seen = _settled(texts.groupBy("block").cogroup(lists.groupBy("block")).applyInArrow(look, f"{LISTS}, around binary"))
+    seen = materialise(texts.groupBy("block").cogroup(lists.groupBy("block")).applyInArrow(look, f"{LISTS}, around binary"))
     grid = _grid(seen.select("cls", "around").mapInArrow(add, "pair long, n long"), classes)
 
     def exchange_all(batches):
@@ -316,8 +289,8 @@ def sweep(texts: DataFrame, lists: DataFrame, classes: int) -> tuple[DataFrame,
             yield from move(pa.Table.from_batches(held))
 
     by_word = seen.repartition("word_key").sortWithinPartitions("word_key")
-    new = _settled(by_word.mapInArrow(exchange_all, LISTS))
-    _forget(seen)
+    new = materialise(by_word.mapInArrow(exchange_all, LISTS))
+    forget(seen)
     return new, likelihood(grid)
 
 
@@ -352,7 +325,7 @@ def classed(texts: DataFrame, lists: DataFrame, of_item: np.ndarray, first_endin
         )
 
     schema = "doc_id long, held_out boolean, n_tokens long, n_known long, base_score double, share double, classes binary"
-    seen = _settled(texts.groupBy("block").cogroup(lists.groupBy("block")).applyInArrow(look_up, schema))
+    seen = materialise(texts.groupBy("block").cogroup(lists.groupBy("block")).applyInArrow(look_up, schema))
 
     def add(batches):
         counts = np.zeros(classes * classes)
@@ -381,10 +354,10 @@ def score(docs: DataFrame, heads: int = HEADS, endings: int = ENDINGS, classes:
     rows, at most one row a block for the commonest word; a sweep sends the classes to the blocks and the counts
     back. Only tables of classes and of the start's items come to the driver.
     """
-    parts = _settled(blocks(docs, doc_id, text))
+    parts = materialise(blocks(docs, doc_id, text))
     words = parts.where("word is not null").select("block", "word", "number", "n_train")
     by_word = Window.partitionBy("word")
-    counted = _settled(
+    counted = materialise(
         words.select(
             "block",
             "word",
@@ -411,18 +384,17 @@ def score(docs: DataFrame, heads: int = HEADS, endings: int = ENDINGS, classes:
         )
 
     texts = parts.where("word is null").select("block", "doc_id", "held_out", "numbers")
-    lists = _settled(
+    lists = materialise(
         named(counted).select("block", "number", F.xxhash64("word").alias("word_key"), "c", "first", "item", F.lit(0).alias("cls"))
     )
-    _forget(counted)
+    forget(counted)
 
     def start(left: pa.Table, right: pa.Table) -> pa.Table:
         a = _by_number(right, "item", np.int64)[_run_of(left)]
         return _pair_table(np.bincount(np.concatenate([[0], a])[:-1] * items + a, minlength=items * items))
 
     # Bounded by the square of the item count, whatever the corpus.
-    with _tidy(spark):
-        pairs = _grid(texts.groupBy("block").cogroup(lists.groupBy("block")).applyInArrow(start, "pair long, n long"), items)
+    pairs = _grid(texts.groupBy("block").cogroup(lists.groupBy("block")).applyInArrow(start, "pair long, n long"), items)
     of_item = exchange(pairs, 0, classes)
     lists = lists.withColumn("cls", F.get(F.lit(of_item.astype(np.int32).tolist()), F.col("item")))
 

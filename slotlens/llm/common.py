@@ -2,29 +2,50 @@
 
 from __future__ import annotations
 
+import gc
 import tempfile
 import uuid
 from collections.abc import Callable, Iterator
+from contextlib import contextmanager
 
 import pyarrow as pa
 import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+#: Bytes of memoised pieces in one Python worker.
+CACHE_BYTES = 128 << 20
+#: Rows of a few longs each that may be broadcast.
+BROADCAST_ROWS = 500_000
+
 
 def shared_dir(spark: SparkSession) -> str:
-    """Folder that driver and executors share; an own temporary one only where none is configured."""
+    """Folder that driver and executors share; an own temporary one only where none is set and all runs in one process."""
     found = spark.conf.get("spark.checkpoint.dir", None)
     if found:
         return found
     current = spark.sparkContext._jsc.sc().getCheckpointDir()
     if current.isDefined():
         return current.get()
+    if not spark.sparkContext.master.startswith("local"):
+        raise RuntimeError("set spark.checkpoint.dir to a folder that driver and executors share")
     own = f"file://{tempfile.mkdtemp(prefix='slotlens-')}"
     spark.sparkContext.setCheckpointDir(own)
     return own
 
 
+@contextmanager
+def _tidy(spark: SparkSession):
+    """Shuffle files of a finished write go at once: every later step reads the written table, not the shuffle."""
+    name = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+    old = spark.conf.get(name, None)
+    spark.conf.set(name, "true")
+    try:
+        yield
+    finally:
+        spark.conf.unset(name) if old is None else spark.conf.set(name, old)
+
+
 def materialise(df: DataFrame) -> DataFrame:
     """Write once to the shared folder and read back: cuts lineage and survives lost executors.
 
@@ -32,10 +53,25 @@ def materialise(df: DataFrame) -> DataFrame:
     """
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/slotlens/{uuid.uuid4().hex}"
-    df.write.option("compression", "zstd").parquet(path)
+    with _tidy(spark):
+        df.write.option("compression", "zstd").parquet(path)
     return spark.read.schema(df.schema).parquet(path)
 
 
+def forget(*tables: DataFrame) -> None:
+    """Deletes tables of ``materialise`` that no later step reads."""
+    for df in tables:
+        jvm = df.sparkSession._jvm
+        for folder in {f.rsplit("/", 1)[0] for f in df.inputFiles()}:
+            path = jvm.org.apache.hadoop.fs.Path(folder)
+            path.getFileSystem(df.sparkSession._jsparkSession.sessionState().newHadoopConf()).delete(path, True)
+
+
+def small(df: DataFrame, rows: int | None = None) -> DataFrame:
+    """``df`` marked for broadcast if its rows, counted here or known to the caller, are few; else as it is."""
+    return F.broadcast(df) if (df.count() if rows is None else rows) <= BROADCAST_ROWS else df
+
+
 def text_rows(docs: DataFrame, *more: str, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
     """(doc_id, text, more...) with a null text read as empty; every other column is left behind."""
     return docs.select(
@@ -79,22 +115,52 @@ def literal_table(spark: SparkSession, columns: dict[str, tuple[str, list]]) ->
     return spark.range(1, numPartitions=1).select(F.inline(zipped))
 
 
-class WordCache(dict):
-    """Bounded memo of pieces between single spaces.
+class WordCache:
+    """Memo of pieces between single spaces, bounded by bytes, in two generations.
 
-    ``many`` maps new pieces to values in one call. A piece that is empty, or that touches
-    white space at an edge, depends on its neighbours: ``NotLocal`` then sends the whole
-    text to the caller's exact route.
+    When the young generation has half of the budget it becomes the old one, whose entries come back as they are
+    met again: hot pieces stay, rare ones go. ``many`` takes new pieces and yields them with their values, in runs. A
+    piece that is empty or that touches white space at an edge depends on its neighbours and is never held: the
+    caller's lookup then raises KeyError, and the whole text takes the exact route.
     """
 
-    def __init__(self, many: Callable[[list[str]], list], limit: int = 300_000):
-        super().__init__()
-        self.many, self.limit = many, limit
-
-    def learn(self, pieces: set[str]) -> None:
-        new = {w for w in pieces if w not in self}
-        if len(self) + len(new) > self.limit:
-            self.clear()
-            new = pieces
-        new = [w for w in new if w and not w[0].isspace() and not w[-1].isspace()]
-        self.update(zip(new, self.many(new), strict=True))
+    def __init__(self, many: Callable[[list[str]], Iterator[tuple[list, list]]], budget: int = CACHE_BYTES):
+        self.many, self.budget = many, budget
+        self.young, self.old, self.held = {}, {}, 0
+
+    def learn(self, pieces: set[str]) -> Callable[[str], object]:
+        """Lookup that holds all of the pieces until the next call."""
+        if self.held > self.budget // 2:
+            self.young, self.old, self.held = {}, self.young, 0
+        young, old = self.young, self.old
+        new = pieces.difference(young)
+        if old and new:
+            fresh = new.difference(old)
+            again = list(new - fresh)
+            young.update(zip(again, map(old.__getitem__, again), strict=True))
+            self.held += _weight(again)
+            new = fresh
+        new = [w for w in new if w and w.strip() == w]
+        for keys, values in self.many(new):
+            young.update(zip(keys, values, strict=True))
+        self.held += _weight(new)
+        return young.__getitem__
+
+
+def _weight(words: list[str]) -> int:
+    """Bytes of a dictionary's entries with these keys, values of about their size included."""
+    return 130 * len(words) + 4 * sum(map(len, words))
+
+
+_held: dict[tuple, object] = {}
+
+
+def per_worker(kind: Callable, *arguments):
+    """One object for all tasks of a Python worker. Only the last kind asked for is held, so that the caches of one
+    operator are gone before the next one builds its own."""
+    key = (kind, *arguments)
+    if key not in _held:
+        _held.clear()
+        gc.collect()
+        _held[key] = kind(*arguments)
+    return _held[key]

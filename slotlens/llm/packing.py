@@ -4,32 +4,37 @@ from __future__ import annotations
 
 import os
 import zlib
-from functools import lru_cache
+from collections.abc import Iterator
+from itertools import pairwise
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from slotlens.llm.common import WordCache, materialise, slices, text_rows
+from slotlens.llm.common import WordCache, materialise, per_worker, slices, text_rows
 
 SEQUENCE, END_ID = 1024, 2
 #: Pieces packed together in one task: enough for waste below a percent, small enough for any worker.
 PER_GROUP = 40_000
+#: Fixed value: what the vocabulary writes for a space.
+SPACE = "\u0120"
 
 
 class LibraryIds:
     """Ids by the tokenizers library; pieces between single spaces are looked up once per worker."""
 
-    def __init__(self, path: str, limit: int = 700_000):
+    def __init__(self, path: str):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
         self.library = Tokenizer.from_file(path)
         self.library.no_truncation()
         self.library.no_padding()
-        self.rest = WordCache(self.after_space, limit)
-        self.tab = self.library.encode("\t", add_special_tokens=False).ids
+        self.rest = WordCache(self.after_space)
+        self.starts = np.zeros(self.library.get_vocab_size(), bool)
+        for token, i in self.library.get_vocab().items():
+            self.starts[i] = token.startswith(SPACE)
 
     def batch(self, texts: list[str]) -> list[bytes]:
         out = []
@@ -38,43 +43,39 @@ class LibraryIds:
             out += [np.array(e.ids, "<u4").tobytes() for e in found]
         return out
 
-    def after_space(self, words: list[str]) -> list[bytes]:
-        """Ids of each word with a space before it. Words go many to a call, a tab before each: a tab before a space is
-        a token of its own, so the ids between tabs are those of one word. Words that hold a tab go alone."""
-        found: dict[str, bytes] = {}
-        plain = [w for w in words if "\t" not in w] if len(self.tab) == 1 else []
-        for at in range(0, len(plain), 512):
-            part = plain[at : at + 512]
-            ids = np.array(self.library.encode_batch_fast(["\t ".join(["", *part])], add_special_tokens=False)[0].ids, "<u4")
-            cut = np.flatnonzero(ids == self.tab[0])
-            ends = [*(4 * cut[1:]).tolist(), 4 * len(ids)]
+    def after_space(self, words: list[str]) -> Iterator[tuple[list[str], list[bytes]]]:
+        """Ids of each word with a space before it. Words go many to a call, joined by spaces: none has a space or an
+        edge of white space, so each space begins a token, and only such tokens begin a word. Words that may hold a
+        special string go alone, as does a run in which the count does not come out."""
+        rest = [w for w in words if "<" in w]
+        plain = [w for w in words if "<" not in w] if rest else words
+        for at in range(0, len(plain), 128):
+            part = plain[at : at + 128]
+            ids = np.array(self.library.encode_batch_fast([" " + " ".join(part)], add_special_tokens=False)[0].ids, "<u4")
+            cut = (4 * np.flatnonzero(self.starts[ids])).tolist()
+            if len(cut) != len(part):
+                rest += part
+                continue
             raw = ids.tobytes()
-            if len(cut) == len(part):
-                found |= {w: raw[4 * a + 4 : b] for w, a, b in zip(part, cut.tolist(), ends, strict=True)}
-        rest = [w for w in words if w not in found]
-        found |= zip(rest, self.batch([" " + w for w in rest]), strict=True)
-        return [found[w] for w in words]
+            cut.append(len(raw))
+            yield part, [raw[a:b] for a, b in pairwise(cut)]
+        yield rest, self.batch([" " + w for w in rest])
 
     def of(self, texts: list[str]) -> list[bytes]:
         cut = [t.split(" ") for t in texts]
-        self.rest.learn(set().union(*(c[1:] for c in cut)))
-        get, out, whole = self.rest.__getitem__, [], []
-        for k, (head, *tail) in enumerate(cut):
+        heads = [c.pop(0) for c in cut]
+        get, out, whole = self.rest.learn(set().union(*cut)), [], []
+        for k, tail in enumerate(cut):
             try:
-                if head and head[-1].isspace():
+                if heads[k] and heads[k][-1].isspace():
                     raise KeyError
                 out.append(b"".join(map(get, tail)))
             except KeyError:  # a piece that depends on its neighbours: the whole text goes to the library
                 out.append(None)
                 whole.append(k)
-        heads = self.batch([c[0] for c in cut])
+        first = self.batch(heads)
         full = dict(zip(whole, self.batch([texts[k] for k in whole]), strict=True))
-        return [full[k] if x is None else heads[k] + x for k, x in enumerate(out)]
-
-
-@lru_cache(maxsize=2)
-def library_ids(path: str) -> LibraryIds:
-    return LibraryIds(path)
+        return [full[k] if x is None else first[k] + x for k, x in enumerate(out)]
 
 
 def pieces(
@@ -92,7 +93,7 @@ def pieces(
     """
 
     def run(batches):
-        ids_of = library_ids(vocabulary)
+        ids_of = per_worker(LibraryIds, vocabulary)
         end = np.array([end_id], "<u4").tobytes()
         for batch, texts in slices(batches):
             who, number, start, n, crc, ids = [], [], [], [], [], []
