@@ -183,19 +183,70 @@ def test_near_copies_equal_brute_force(request, which):
     assert near_copies.one_of_each(df).count() == len(groups)
 
 
-def test_large_candidate_groups_are_dealt_into_blocks(spark, monkeypatch):
+@pytest.mark.parametrize("wide", [4, 0])
+def test_large_candidate_groups_are_dealt_into_blocks(spark, monkeypatch, wide):
     base = [f"w{i}" for i in range(120)]
     texts = [" ".join([*base[:i], f"x{i}", *base[i + 1 :]]) for i in range(0, 60)] + [" ".join(base)] * 30
+    texts += [" ".join([*base[:60], *(f"y{i}{k}" for k in range(60))]) for i in range(12)]
     df = spark.createDataFrame(list(enumerate(texts)), "doc_id bigint, text string")
     whole = sorted(map(tuple, near_copies.join(df).select("doc_id", "class_id", "n_links").collect()))
     monkeypatch.setattr(near_copies, "BLOCK", 9)
+    monkeypatch.setattr(near_copies, "WIDE", wide)
     assert sorted(map(tuple, near_copies.join(df).select("doc_id", "class_id", "n_links").collect())) == whole
 
 
-def test_prefix_is_shortened_until_the_target():
-    assert near_copies.prefix_length(0.8, 16, 6, 0.9999) == 3
-    assert near_copies.prefix_length(0.8, 16, 6, 0.5) > 3
-    assert near_copies.prefix_length(0.8, 2, 6, 0.999999) == 1
+def test_prefixes_are_shortened_until_the_target():
+    assert near_copies.shortest_prefix(0.8, 24, 8, 0.9999) == 5
+    assert near_copies.shortest_prefix(0.8, 24, 8, 0.5) == 8
+    assert near_copies.shortest_prefix(0.8, 2, 8, 0.999999) == 1
+    rng = np.random.default_rng(8)
+
+    def family(n, changed):
+        core = rng.integers(0, 1 << 63, 400, np.uint64)
+        return [np.unique(np.concatenate([core[changed:], rng.integers(0, 1 << 63, changed, np.uint64)])) for _ in range(n)]
+
+    sketch = near_copies.Sketcher()
+    seen = []
+    real = near_copies.Likeness.of
+    near_copies.Likeness.of = lambda self, a, b: seen.append(len(a)) or real(self, a, b)
+    try:
+        for changed in (2, 40):  # likeness about .99, then about .82
+            sets = family(60, changed)
+            paths = np.stack([sketch.paths(s) for s in sets])
+            left, right = near_copies.links(sets, paths, 0.8, 5, 0.9999)
+            want = [(i, j) for i in range(60) for j in range(i + 1, 60) if len(np.intersect1d(sets[i], sets[j])) / len(np.union1d(sets[i], sets[j])) >= 0.8]
+            assert len(left) >= 0.99 * len(want) and set(zip(left.tolist(), right.tolist(), strict=True)) <= set(want)
+            seen.append(None)
+    finally:
+        near_copies.Likeness.of = real
+    # Pairs that are nearly equal end the search at the full depth; pairs near the threshold shorten it.
+    assert seen.index(None) == 1 and len(seen) - 1 - seen.index(None) > 2
+
+
+@pytest.mark.parametrize("size", [1, 3, 30, 3000])
+def test_paths_agree_as_often_as_the_sets_are_alike(size):
+    rng = np.random.default_rng(size)
+    sketch, agree, alike = near_copies.Sketcher(), 0.0, 0.0
+    for _ in range(60):
+        core = rng.integers(0, 1 << 63, 4 * size, np.uint64)
+        a, b = (np.unique(np.concatenate([core, rng.integers(0, 1 << 63, size, np.uint64)])) for _ in "ab")
+        agree += (sketch.paths(a) == sketch.paths(b)).mean() / 60
+        alike += len(np.intersect1d(a, b)) / len(np.union1d(a, b)) / 60
+    assert abs(agree - alike) < 0.05
+
+
+def test_components_of_paths_and_hot_stars(spark, monkeypatch):
+    from slotlens.llm import components
+
+    chain = [(i, i + 1) for i in range(300)]
+    star = [(1000, 1000 + i) for i in range(1, 400)]
+    df = spark.createDataFrame(chain + star, "u bigint, v bigint")
+    want = {i: 0 for i in range(301)} | {i: 1000 for i in range(1000, 1400)}
+    for rows in (500_000, 10):
+        monkeypatch.setattr(components, "BROADCAST_ROWS", rows)
+        assert {r.node: r.component for r in components.components(df).collect()} == want
+    with pytest.raises(RuntimeError):
+        components.components(df, most_rounds=1)
 
 
 @pytest.mark.parametrize("which", ["docs", "odd_docs"])
