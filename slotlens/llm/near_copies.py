@@ -12,18 +12,16 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from slotlens.llm.common import WordCache, forget, materialise, per_worker, slices, small
+from slotlens.llm.common import forget, materialise, per_worker, slices, small
 from slotlens.llm.components import components
 
 SHINGLE, LEAST_LIKENESS = 5, 0.8
 #: Trees of the forest, levels of each, and the recall at which prefixes are no longer shortened.
 TREES, DEPTH, TARGET = 24, 8, 0.9999
 #: Distinct sets, and bytes of them, in one block of a verification task.
-BLOCK, BLOCK_BYTES = 2000, 8 << 20
+BLOCK, BLOCK_BYTES = 512, 4 << 20
 #: A candidate component of more blocks than this is verified prefix by prefix.
-WIDE = 4
-#: Bytes of memoised word hashes in a worker.
-WORD_BYTES = 64 << 20
+WIDE = 8
 
 
 def shares_prefix(likeness, length: int, trees: int = TREES):
@@ -36,6 +34,25 @@ def shortest_prefix(threshold: float = LEAST_LIKENESS, trees: int = TREES, depth
     return next((d for d in range(depth, 1, -1) if shares_prefix(threshold, d, trees) >= target), 1)
 
 
+#: White space, by code point; none lies beyond the last entry.
+BLANK = np.array([chr(c).isspace() for c in range(0x3001)] + [False])
+#: Characters hashed at once; a longer text is cut between words.
+RUN = 1 << 19
+BASE = 0x9E3779B97F4A7C15
+
+
+def _powers(base: int, n: int) -> np.ndarray:
+    out = np.full(n, base, np.uint64)
+    out[0] = 1
+    return np.multiply.accumulate(out)
+
+
+def _mix(h: np.ndarray, shift: int) -> np.ndarray:
+    h *= np.uint64(0xBF58476D1CE4E5B9)
+    h ^= h >> np.uint64(shift)
+    return h
+
+
 class Sketcher:
     """Shingle sets and their paths in the trees of the forest."""
 
@@ -46,29 +63,55 @@ class Sketcher:
         self.edges = (np.arange(bins, dtype=np.float64) * (2.0**64 / bins)).astype(np.uint64)
         rng = np.random.default_rng(20_240_501)
         self.turn = np.stack([rng.permutation(bins) for _ in range(bins)])
-        self.known = WordCache(self.hashes, WORD_BYTES)
-
-    @staticmethod
-    def hashes(words: list[str]) -> Iterator[tuple[list[str], list[int]]]:
-        joined = b"".join(blake2b(w.encode(), digest_size=8).digest() for w in words)
-        yield words, np.frombuffer(joined, "<u8").tolist()
+        self.up, self.down = _powers(BASE, RUN + 1), _powers(pow(BASE, -1, 1 << 64), RUN + 1)
+
+    def words(self, points: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """64-bit hash of each run between white space, and where it starts: a polynomial of its code points."""
+        if len(points) >= len(self.up):  # one word longer than a run
+            self.up, self.down = _powers(BASE, len(points) + 1), _powers(pow(BASE, -1, 1 << 64), len(points) + 1)
+        blank = BLANK[np.minimum(points, len(BLANK) - 1)]
+        edge = np.flatnonzero(np.diff(blank, prepend=True, append=True))
+        starts, ends = edge[::2], edge[1::2]
+        sums = np.empty(len(points) + 1, np.uint64)
+        sums[0] = 0
+        np.cumsum(_mix(points + np.uint64(BASE), 32) * self.up[: len(points)], out=sums[1:])
+        return _mix(_mix((sums[ends] - sums[starts]) * self.down[starts], 31), 29), starts
+
+    def runs(self, points: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+        """``words`` over runs of bounded length, cut at white space."""
+        at = 0
+        while at < len(points):
+            end = at + RUN
+            if end < len(points):
+                gaps = np.flatnonzero(BLANK[np.minimum(points[at:end], len(BLANK) - 1)])
+                if len(gaps):
+                    end = at + int(gaps[-1]) + 1
+                else:
+                    while end < len(points) and not BLANK[min(int(points[end]), len(BLANK) - 1)]:
+                        end += 1
+            w, starts = self.words(points[at:end])
+            yield w, starts + at
+            at = end
 
     def sets(self, texts: list[str]) -> list[np.ndarray]:
         """Sorted distinct 64-bit hashes of the word runs; fewer words than a run make one run, none an empty set."""
-        cut = [t.split() for t in texts]
-        get = self.known.learn(set().union(*cut))
-        return [self.shingles(np.fromiter(map(get, c), np.uint64, len(c))) for c in cut]
-
-    def shingles(self, w: np.ndarray) -> np.ndarray:
-        k = min(self.shingle, len(w))
-        if not k:
-            return w
-        n = len(w) - k + 1
-        h = np.full(n, k, np.uint64)
-        for i in range(k):
-            h = (h ^ w[i : i + n]) * np.uint64(0x9E3779B97F4A7C15)
-            h ^= h >> np.uint64(29)
-        return np.unique(h)
+        points = np.frombuffer("\n".join(texts).encode("utf-32-le"), np.uint32)
+        found = list(self.runs(points)) or [(np.empty(0, np.uint64), np.empty(0, np.int64))]
+        w, starts = (np.concatenate(x) for x in zip(*found, strict=True))
+        bounds = np.searchsorted(starts, np.cumsum([0, *(len(t) + 1 for t in texts)]))
+        grams, k = self.grams(w, self.shingle), self.shingle
+        return [
+            np.unique(grams[a : b - k + 1]) if b - a >= k else self.grams(w[a:b], b - a) for a, b in pairwise(bounds.tolist())
+        ]
+
+    @staticmethod
+    def grams(w: np.ndarray, k: int) -> np.ndarray:
+        n = len(w) - k + 1 if k else 0
+        h = np.full(max(n, 0), k, np.uint64)
+        for i in range(k if n > 0 else 0):
+            h ^= w[i : i + n]
+            _mix(h, 29)
+        return h
 
     def paths(self, s: np.ndarray) -> np.ndarray:
         """trees x depth 16-bit minimum hashes: the path of the set in each tree, as bytes that sort like the path.
@@ -98,7 +141,7 @@ def sketches(docs: DataFrame, shingle: int, trees: int, depth: int, doc_id: str,
     def run(batches: Iterator[pa.RecordBatch]):
         sketch = per_worker(Sketcher, shingle, trees, depth)
         row = TaskContext.get().partitionId() << 36
-        for batch, texts in slices(batches):
+        for batch, texts in slices(batches, RUN):
             sets = sketch.sets(texts)
             raw = [s.astype("<u8").tobytes() for s in sets]
             yield pa.RecordBatch.from_arrays(

@@ -235,6 +235,26 @@ def test_paths_agree_as_often_as_the_sets_are_alike(size):
     assert abs(agree - alike) < 0.05
 
 
+def test_shingles_of_odd_and_long_texts_equal_python(monkeypatch):
+    texts = ["", " ", "one", "a b c d e", "a b c d e f\u00a0g\u3000h\x1ci\u2028", "x\ty\r\nz  q  ", "😀 ☃ é e\u0301 ñ Ñ", "w" * 40, " ".join(f"w{i}" for i in range(99))]
+    texts += ["a b c d e", "a b c d f", "b c d e a", "ab c d e", "a bc d e"]
+
+    def grams(t):
+        w = t.split()
+        k = min(5, len(w))
+        return {tuple(w[i : i + k]) for i in range(len(w) - k + 1)} if k else set()
+
+    want = [grams(t) for t in texts]
+    first = near_copies.Sketcher().sets(texts)
+    monkeypatch.setattr(near_copies, "RUN", 16)
+    for sets in (first, near_copies.Sketcher().sets(texts)):
+        assert [len(s) for s in sets] == [len(g) for g in want]
+        for i, a in enumerate(sets):
+            assert a.tolist() == first[i].tolist() and (np.diff(a.astype(object)) > 0).all()
+            for j, b in enumerate(sets):
+                assert len(np.intersect1d(a, b)) == len(want[i] & want[j])
+
+
 def test_components_of_paths_and_hot_stars(spark, monkeypatch):
     from slotlens.llm import components
 
