@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from slotlens.llm.common import materialise
+from slotlens.llm.common import materialise, small
 
 #: Kinds in their order, pattern, group that holds the value, least length of that group.
 KINDS = {
@@ -26,11 +26,12 @@ KINDS = {
 BASE = ("assign", "access", "hex")
 #: One quick look that every text with a span passes.
 ANY = r"(?i:password|passwd|secret|token|api_?key)|AKIA|[0-9a-f]{24}|[0-9A-F]{32}|eyJ|-----BEGIN"
-#: A value seen with so many owners is a widely copied example rather than somebody's credential.
-COPIED_AT = 5
+#: A value of so many owners, none of whom holds more than half of its repositories, is a widely copied example.
+COPIED_AT = 3
+#: A value looks live if its characters carry so many bits each and it has no placeholder's words.
+LIVE_BITS = 1.99
+PLACEHOLDER = r"(?i)example|changeme|placeholder|dummy|redacted|your[_-]|x{5}|0{5}|12345"
 MASK = "<secret>"
-#: Live value hashes (about 100 bytes each) that may be broadcast.
-BROADCAST_VALUES = 200_000
 
 
 def _shorter(kind: str) -> str:
@@ -81,51 +82,83 @@ def _spans(rows: DataFrame, kind: str) -> DataFrame:
     return out.withColumn(kind, good).drop("_gaps", "_hits", "_values", "_sizes", "_width", "_runs")
 
 
-def find(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", owner: str = "source", repo: tuple[str, ...] = ("source", "lang")) -> DataFrame:
-    """doc_id, text_hash, owner, repo and spans: array of (at, kind_no, end, value_hash), ordered by start, then kind.
+def looks_live(value: Column) -> Column:
+    """Enough entropy over its characters, and none of the words and runs that placeholders have."""
+    n = F.length(value).cast("double")
 
-    Offsets count code points, ends are exclusive. Values leave this step only as SHA-256 digests. Null text is
-    empty; a null owner or repository counts as one more owner.
+    def bits(c: Column) -> Column:
+        p = (n - F.length(F.replace(value, c, F.lit("")))) / n
+        return -p * F.log2(p)
+
+    entropy = F.aggregate(F.array_distinct(F.split(value, "")), F.lit(0.0), lambda a, c: a + bits(c))
+    return (entropy >= LIVE_BITS) & ~value.rlike(PLACEHOLDER)
+
+
+def find(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", owner: str = "source", repo: str = "doc_id") -> DataFrame:
+    """doc_id, text_hash, owner, repo and spans: array of (at, kind_no, end, value_hash, looks), ordered by start, then kind.
+
+    Offsets count code points, ends are exclusive. Values leave this step only as SHA-256 digests, with whether they
+    look live. Null text is empty; a null owner or repository counts as one more. The tables name no repositories:
+    a document stands for one, its source for the owner. Other columns are left behind.
     """
     body = docs.select(
         F.col(doc_id).cast("long").alias("doc_id"),
         F.coalesce(F.col(text), F.lit("")).alias("text"),
         F.coalesce(F.col(owner).cast("string"), F.lit("")).alias("owner"),
-        F.concat_ws("/", *(F.coalesce(F.col(r).cast("string"), F.lit("")) for r in repo)).alias("repo"),
+        F.coalesce(F.col(repo).cast("string"), F.lit("")).alias("repo"),
     ).withColumn("_any", F.col("text").rlike(ANY))
     for kind in KINDS:
         body = _spans(body, kind)
     none = F.array().cast("array<struct<at:int,kind_no:int,end:int,value:string>>")
     hashed = F.transform(
         F.array_sort(F.concat(*(F.coalesce(kind, none) for kind in KINDS))),
-        lambda s: F.struct(s["at"], s["kind_no"], s["end"], F.sha2(s["value"], 256).alias("value_hash")),
+        lambda s: F.struct(
+            s["at"], s["kind_no"], s["end"], F.sha2(s["value"], 256).alias("value_hash"), looks_live(s["value"]).alias("looks")
+        ),
     )
     return body.select("doc_id", F.xxhash64("text").alias("text_hash"), "owner", "repo", hashed.alias("spans"))
 
 
 def ownership(found: DataFrame) -> DataFrame:
-    """value_hash, n_owners, n_repos over the whole corpus; aggregated by owner and repository first, so copies collapse early."""
+    """value_hash, n_owners, n_repos (owner and repository pairs) and most_repos (of one owner) over the whole corpus.
+
+    Aggregated by owner and repository first, so copies collapse before they meet.
+    """
     each = found.select("owner", "repo", F.explode(F.array_distinct(F.transform("spans", lambda s: s["value_hash"]))).alias("value_hash"))
     by_owner = each.groupBy("value_hash", "owner", "repo").count().groupBy("value_hash", "owner").agg(F.count("*").alias("repos"))
-    return by_owner.groupBy("value_hash").agg(F.count("*").alias("n_owners"), F.sum("repos").alias("n_repos"))
+    return by_owner.groupBy("value_hash").agg(
+        F.count("*").alias("n_owners"), F.sum("repos").alias("n_repos"), F.max("repos").alias("most_repos")
+    )
 
 
 def judged(found: DataFrame, copied_at: int = COPIED_AT) -> DataFrame:
-    """Per (doc_id, text_hash) with spans: live value hashes, n_live and n_copied spans.
+    """Per (doc_id, text_hash) with spans: live value hashes, counts of live, copied and placeholder spans, n_owners, n_repos.
 
-    Only rows with spans move. Values shared by many rows first collapse to one row a document text; the table of
-    widely copied values is the small side, and a join that one value dominates is left to the adaptive skew split.
+    Copied: of ``copied_at`` owners or more, none with more than half of the value's repositories. Live: not copied, and
+    it looks live. Placeholder: the rest. n_owners and n_repos are the largest among the row's values. Only rows with
+    spans move; repeats of a document collapse first, and of the values only those seen in several repositories are
+    the other side, broadcast while they are few; beyond that the adaptive split takes a value that dominates.
     """
-    copied = ownership(found).where(F.col("n_owners") >= copied_at).select(F.col("value_hash").alias("copied_hash"))
+    shared = materialise(ownership(found).where("n_repos > 1"))
+    shared = small(shared).withColumnRenamed("value_hash", "shared_hash")
     spans = found.where(F.size("spans") > 0).select("doc_id", "text_hash", "spans").distinct()
-    each = spans.select("doc_id", "text_hash", F.explode("spans").alias("s")).select("doc_id", "text_hash", "s.value_hash")
-    told = each.join(copied, F.col("value_hash") == F.col("copied_hash"), "left")
-    live = F.when(F.col("copied_hash").isNull(), F.col("value_hash"))
+    each = spans.select("doc_id", "text_hash", F.explode("spans").alias("s")).select("doc_id", "text_hash", "s.value_hash", "s.looks")
+    told = each.join(shared, F.col("value_hash") == F.col("shared_hash"), "left")
+    is_copied = F.coalesce((F.col("n_owners") >= copied_at) & (2 * F.col("most_repos") <= F.col("n_repos")), F.lit(False))
+    live = F.when(~is_copied & F.col("looks"), F.col("value_hash"))
     return told.groupBy("doc_id", "text_hash").agg(
-        F.collect_set(live).alias("live"), F.count(live).alias("n_live"), F.count("copied_hash").alias("n_copied")
+        F.collect_set(live).alias("live"),
+        F.count(live).alias("n_live"),
+        F.count(F.when(is_copied, 1)).alias("n_copied"),
+        F.count(F.when(~is_copied & ~F.col("looks"), 1)).alias("n_placeholder"),
+        F.max(F.coalesce("n_owners", F.lit(1))).cast("long").alias("n_owners"),
+        F.max(F.coalesce("n_repos", F.lit(1))).cast("long").alias("n_repos"),
     )
 
 
+VERDICT = ["n_live", "n_copied", "n_placeholder", "n_owners", "n_repos"]
+
+
 def _text_of(spans: Column) -> Column:
     names = F.array(*map(F.lit, KINDS))
     return F.array_join(
@@ -134,16 +167,17 @@ def _text_of(spans: Column) -> Column:
 
 
 def report(docs: DataFrame, copied_at: int = COPIED_AT, **columns) -> DataFrame:
-    """One row per document: counts of the base kinds, digest of the base spans, all spans, live and copied counts."""
+    """One row per document: counts of the base kinds, digest of the base spans, all spans, and the verdict of ``judged``.
+
+    Rows without spans have zeros. Repeated rows repeat; an empty table gives an empty result.
+    """
     found = materialise(find(docs, **columns))
 
     def of(kind: str) -> Column:
         return F.size(F.filter("spans", lambda s: s["kind_no"] == list(KINDS).index(kind))).cast("long")
 
     base = F.filter("spans", lambda s: s["kind_no"] < len(BASE))
-    verdict = judged(found, copied_at).select(
-        F.col("doc_id").alias("_id"), F.col("text_hash").alias("_hash"), "n_live", "n_copied"
-    )
+    verdict = judged(found, copied_at).select(F.col("doc_id").alias("_id"), F.col("text_hash").alias("_hash"), *VERDICT)
     same = F.col("doc_id").eqNullSafe(F.col("_id")) & (F.col("text_hash") == F.col("_hash"))
     shape = [
         F.col("doc_id"),
@@ -151,10 +185,9 @@ def report(docs: DataFrame, copied_at: int = COPIED_AT, **columns) -> DataFrame:
         F.sha2(_text_of(base), 256).alias("base_sha256"),
         _text_of(F.col("spans")).alias("spans"),
     ]
-    none = F.lit(0).cast("long")
     # Rows without spans take no part in the join: they'd only travel.
-    bare = found.where(F.size("spans") == 0).select(*shape, none.alias("n_live"), none.alias("n_copied"))
-    full = found.where(F.size("spans") > 0).join(verdict, same).select(*shape, "n_live", "n_copied")
+    bare = found.where(F.size("spans") == 0).select(*shape, *(F.lit(0).cast("long").alias(v) for v in VERDICT))
+    full = found.where(F.size("spans") > 0).join(verdict, same).select(*shape, *VERDICT)
     return bare.unionByName(full)
 
 
@@ -176,21 +209,29 @@ def _masked(text: Column, kind: str, live: Column) -> Column:
     return F.array_join(F.transform(zipped, rewrite), "")
 
 
-def redact(docs: DataFrame, copied_at: int = COPIED_AT, **columns) -> DataFrame:
-    """``docs`` with live values masked in the text (and n_chars, where there is one, counted again); no row goes."""
-    verdict = judged(materialise(find(docs, **columns)), copied_at)
-    verdict = materialise(verdict.where(F.col("n_live") > 0).select(F.col("doc_id").alias("_id"), "text_hash", "live"))
-    if (verdict.agg(F.sum(F.size("live"))).first()[0] or 0) <= BROADCAST_VALUES:
-        verdict = F.broadcast(verdict)
-    body = F.coalesce(F.col("text"), F.lit(""))
-    same = F.col("doc_id").eqNullSafe(F.col("_id")) & (F.xxhash64(body) == F.col("text_hash"))
-    joined = docs.join(verdict, same, "left")
+def redact(docs: DataFrame, copied_at: int = COPIED_AT, doc_id: str = "doc_id", text: str = "text", **columns) -> DataFrame:
+    """``docs`` with live values masked in the text (and n_chars, where there is one, counted again); no row goes.
+
+    All other columns stay as they are, whatever their names; a null text stays null. Repeated rows are all masked.
+    """
+    verdict = judged(materialise(find(docs, doc_id, text, **columns)), copied_at)
+    verdict = materialise(verdict.where(F.col("n_live") > 0).select("doc_id", "text_hash", "live"))
+    names = docs.columns
+    body = F.coalesce(F.col(text), F.lit(""))
+    rows = docs.select(F.struct(*names).alias("_row"), F.col(doc_id).cast("long").alias("_id"), F.xxhash64(body).alias("_hash"))
+    # At most a few hashes of 64 characters a row.
+    few = verdict.agg(F.sum(F.size("live"))).first()[0] or 0
+    joined = rows.join(small(verdict, few), F.col("_id").eqNullSafe(F.col("doc_id")) & (F.col("_hash") == F.col("text_hash")), "left")
+    joined = joined.select("_row", "live", F.col("_row").getField(text).alias("_text"))
     # Whole keys first: a value masked inside one would change it.
     for kind in sorted(KINDS, key=lambda k: k != "pem"):
-        joined = joined.withColumn("text", F.when(F.col("live").isNull(), F.col("text")).otherwise(_masked(body, kind, F.col("live"))))
-    if "n_chars" in docs.columns:
-        joined = joined.withColumn("n_chars", F.when(F.col("live").isNull(), F.col("n_chars")).otherwise(F.length(body).cast("long")))
-    return joined.select(*docs.columns)
+        masked = _masked(F.coalesce("_text", F.lit("")), kind, F.col("live"))
+        joined = joined.withColumn("_text", F.when(F.col("live").isNull(), F.col("_text")).otherwise(masked))
+    changed = {text: F.col("_text")}
+    if "n_chars" in names:
+        kept, kind = F.col("_row").getField("n_chars"), dict(docs.dtypes)["n_chars"]
+        changed["n_chars"] = F.when(F.col("live").isNull(), kept).otherwise(F.length("_text").cast(kind))
+    return joined.select(*(changed.get(c, F.col("_row").getField(c)).alias(c) for c in names))
 
 
 def _sql_spans(number: int, kind: str) -> str:
@@ -204,12 +245,16 @@ def _sql_spans(number: int, kind: str) -> str:
 
 
 #: DuckDB SQL for ``report`` over the documents.
-REPORT_SQL = f"""WITH d AS (SELECT row_number() OVER () AS rid, doc_id, coalesce(text, '') AS t, coalesce(source, '') AS owner FROM documents),
+REPORT_SQL = f"""WITH d AS (SELECT row_number() OVER () AS rid, doc_id, coalesce(text, '') AS t, coalesce(source, '') AS owner, coalesce(doc_id::VARCHAR, '') AS repo FROM documents),
 s AS ({" UNION ALL ".join(_sql_spans(i, k) for i, k in enumerate(KINDS))}),
-own AS (SELECT val, count(DISTINCT owner) AS owners FROM s JOIN d USING (rid) GROUP BY val),
+own AS (SELECT val, count(*) AS owners, sum(r)::BIGINT AS repos, count(*) >= {COPIED_AT} AND 2 * max(r) <= sum(r) AS copied,
+  list_aggregate(string_split(val, ''), 'entropy') >= {LIVE_BITS} AND NOT regexp_matches(val, '{PLACEHOLDER}') AS looks
+  FROM (SELECT val, owner, count(DISTINCT repo) AS r FROM s JOIN d USING (rid) GROUP BY val, owner) GROUP BY val),
 a AS (SELECT rid, count(*) FILTER (no = 0) AS n_assign, count(*) FILTER (no = 1) AS n_access, count(*) FILTER (no = 2) AS n_hex,
   string_agg(kind || ':' || start::BIGINT || ':' || (start + n)::BIGINT, ',' ORDER BY start, no) FILTER (no < 3) AS base,
   string_agg(kind || ':' || start::BIGINT || ':' || (start + n)::BIGINT, ',' ORDER BY start, no) AS spans,
-  count(*) FILTER (owners < {COPIED_AT}) AS n_live, count(*) FILTER (owners >= {COPIED_AT}) AS n_copied FROM s JOIN own USING (val) GROUP BY rid)
+  count(*) FILTER (NOT copied AND looks) AS n_live, count(*) FILTER (copied) AS n_copied, count(*) FILTER (NOT copied AND NOT looks) AS n_placeholder,
+  max(owners) AS n_owners, max(repos) AS n_repos FROM s JOIN own USING (val) GROUP BY rid)
 SELECT doc_id, coalesce(n_assign, 0) AS n_assign, coalesce(n_access, 0) AS n_access, coalesce(n_hex, 0) AS n_hex, sha256(coalesce(base, '')) AS base_sha256,
-  coalesce(spans, '') AS spans, coalesce(n_live, 0) AS n_live, coalesce(n_copied, 0) AS n_copied FROM d LEFT JOIN a USING (rid)"""
+  coalesce(spans, '') AS spans, coalesce(n_live, 0) AS n_live, coalesce(n_copied, 0) AS n_copied, coalesce(n_placeholder, 0) AS n_placeholder,
+  coalesce(n_owners, 0) AS n_owners, coalesce(n_repos, 0) AS n_repos FROM d LEFT JOIN a USING (rid)"""

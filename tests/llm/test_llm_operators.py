@@ -117,13 +117,41 @@ def test_secret_spans_equal_python(docs, odd_docs):
     assert got == want
 
 
-def test_widely_copied_values_are_not_live(spark):
-    rows = [(i, 'token = "aaaaaaaaaaaa1"', "en", f"s{i}") for i in range(6)] + [(9, 'token = "bbbbbbbbbbbb2"', "en", "s9")]
-    df = spark.createDataFrame(rows, "doc_id bigint, text string, lang string, source string")
-    told = {r.doc_id: (r.n_live, r.n_copied) for r in secrets.report(df).collect()}
-    assert told[9] == (1, 0) and told[0] == (0, 1)
+def test_ownership_separates_copies_from_live_values(spark):
+    import duckdb
+
+    def line(v):
+        return f'token = "{v}"'
+
+    copied, own, shared, weak = "q8Zr4kT1mX7c", "h3Gv9sWq2LpN", "b5Yd0nRe6UjA", "aaaaaaaaaaaa1"
+    rows = [(i, line(copied), f"s{i % 6}") for i in range(12)]  # many owners, none with more than half
+    rows += [(20 + i, line(own), "s9") for i in range(9)]  # many repositories of one owner
+    rows += [(40 + i, line(shared), f"t{max(0, i - 7)}") for i in range(10)]  # three owners, one with most repositories
+    rows += [(60, line(weak), "s1"), (61, line("my-example-value7"), "s1"), (62, line(own) + " " + line(copied), "s9"), (63, "none", "s1"), (None, line(copied), None)]
+    df = spark.createDataFrame(rows, "doc_id bigint, text string, source string")
+    found = secrets.report(df)
+    told = {r.doc_id: (r.n_live, r.n_copied, r.n_placeholder, r.n_owners, r.n_repos) for r in found.collect()}
+    assert told[0] == (0, 1, 0, 8, 14) and told[20] == (1, 0, 0, 1, 10) and told[40] == (1, 0, 0, 3, 10)
+    assert told[60] == (0, 0, 1, 1, 1) == told[61] and told[62] == (1, 1, 0, 8, 14)
+    assert told[63] == (0, 0, 0, 0, 0) and told[None][:3] == (0, 1, 0)
+    con = duckdb.connect()
+    con.register("documents", df.toArrow())
+    table = con.sql(secrets.REPORT_SQL).to_arrow_table()
+    names = found.columns
+    assert Counter(zip(*(table.column(n).to_pylist() for n in names), strict=True)) == Counter(tuple(r) for r in found.select(*names).collect())
     text = {r.doc_id: r.text for r in secrets.redact(df).collect()}
-    assert text[9] == 'token = "<secret>"' and text[0] == rows[0][1]
+    assert text[20] == line("<secret>") and text[0] == line(copied) and text[60] == line(weak)
+    assert text[62] == line("<secret>") + " " + line(copied)
+
+
+def test_masking_keeps_columns_of_any_name(spark, odd_docs):
+    rows = [(1, 'token = "h3Gv9sWq2LpN"', "s1", 22, "x", 5, "y"), (2, None, None, None, None, None, None)]
+    df = spark.createDataFrame(rows, "doc_id int, text string, source string, n_chars int, live string, text_hash int, _text string")
+    out = secrets.redact(df)
+    assert out.dtypes == df.dtypes
+    assert sorted(map(tuple, out.collect())) == [(1, 'token = "<secret>"', "s1", 18, "x", 5, "y"), rows[1]]
+    assert secrets.redact(odd_docs).count() == 9 and secrets.redact(odd_docs.limit(0)).count() == 0
+    assert secrets.report(odd_docs.limit(0)).count() == 0
 
 
 def test_rules_tell_shouting_from_prose(spark):
