@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 
 from slotlens.llm.common import crc_remainder, forget, materialise, slices
 
-#: The start of the clustering: words exchanged one by one and groups of all others by their ending; classes; sweeps over that table.
+#: The start of the clustering: words exchanged one by one and groups of all others by their ending; least classes; sweeps over that table.
 HEADS, ENDINGS, CLASSES, SWEEPS = 1500, 500, 48, 4
 #: Parallel sweeps over all words that follow.
 WORD_SWEEPS = 2
@@ -84,6 +84,11 @@ def blocks(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataF
     return body.mapInArrow(run, schema)
 
 
+def class_count(words: int) -> int:
+    """Classes for a vocabulary: they grow with its fourth root, so that the table of class pairs grows with the square root."""
+    return max(CLASSES, round(1.2 * words**0.25))
+
+
 def exchange(pairs: np.ndarray, fixed: int, classes: int, sweeps: int = SWEEPS) -> np.ndarray:
     """Class of each item by exchange: each item in turn moves where the bigram likelihood gains most.
 
@@ -338,7 +343,7 @@ def classed(texts: DataFrame, lists: DataFrame, of_item: np.ndarray, first_endin
     return seen, _grid(seen.where("not held_out").select("classes").mapInArrow(add, "pair long, n long"), classes), total
 
 
-def score(docs: DataFrame, heads: int = HEADS, endings: int = ENDINGS, classes: int = CLASSES, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
+def score(docs: DataFrame, heads: int = HEADS, endings: int = ENDINGS, classes: int | None = None, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
     """doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score (log10) and perplexity of every text.
 
     Trains on the rows whose crc32(doc_id) mod 5 is not 1. Every word of the training rows has a class of its own
@@ -368,6 +373,7 @@ def score(docs: DataFrame, heads: int = HEADS, endings: int = ENDINGS, classes:
     )
     each = counted.where("first").select("word", "c")
     n, v = each.select(F.coalesce(F.sum("c"), F.lit(0)), F.count(F.when(F.col("c") > 0, 1))).first()
+    classes = classes or class_count(v)
     top = each.where((F.col("c") > 0) & (F.col("word") != F.lit(END))).orderBy(F.desc("c"), "word").limit(heads)
     head_words = [bytes(r.word) for r in top.collect()]
     spark = docs.sparkSession

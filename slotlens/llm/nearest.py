@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from dataclasses import dataclass
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
@@ -28,13 +29,38 @@ class Router:
     w2: np.ndarray
     b2: np.ndarray
 
-    def logits(self, x: np.ndarray) -> np.ndarray:
-        return np.maximum(x @ self.w1 + self.b1, 0) @ self.w2 + self.b2
+    def shares(self, x: np.ndarray) -> np.ndarray:
+        z = np.maximum(x @ self.w1 + self.b1, 0) @ self.w2 + self.b2
+        z = np.exp(z - z.max(axis=1, keepdims=True, initial=-np.inf))
+        return z / z.sum(axis=1, keepdims=True)
 
-    def best(self, x: np.ndarray, m: int) -> np.ndarray:
-        z = self.logits(unit(x))
-        order = np.argsort(-z, axis=1, kind="stable")
-        return order[:, :m].astype(np.int32)
+
+@dataclass(frozen=True)
+class Index:
+    """Where vectors are kept and where queries look: a router each, and the probability mass that a query probes.
+
+    Vectors go by direction and length, as long ones are near to more queries; queries by direction alone.
+    """
+
+    keep: Router
+    look: Router
+    longest: float
+    mass: float
+
+    def home(self, x: np.ndarray) -> np.ndarray:
+        return self.keep.shares(levelled(x, self.longest)).argmax(axis=1).astype(np.int32)
+
+    def probes(self, x: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Partitions from likely to unlikely, and how many of them lie within the mass."""
+        p = self.look.shares(unit(x))
+        order = np.argsort(-p, axis=1, kind="stable")
+        return order.astype(np.int32), (mass_before(p, order) <= self.mass).sum(axis=1).astype(np.int32)
+
+
+def mass_before(p: np.ndarray, order: np.ndarray) -> np.ndarray:
+    """Probability of all partitions that a query probes earlier, in its order."""
+    ranked = np.take_along_axis(p, order, axis=1)
+    return np.cumsum(ranked, axis=1) - ranked
 
 
 def unit(x: np.ndarray) -> np.ndarray:
@@ -42,6 +68,12 @@ def unit(x: np.ndarray) -> np.ndarray:
     return x / np.where(norm > 0, norm, 1)
 
 
+def levelled(x: np.ndarray, longest: float) -> np.ndarray:
+    """Unit vectors with one more component that makes up for what each lacks in length."""
+    x = x / longest
+    return np.hstack([x, np.sqrt(np.maximum(0, 1 - (x * x).sum(axis=1, keepdims=True)))])
+
+
 def neighbour_graph(x: np.ndarray, k: int) -> np.ndarray:
     """Indices of the k nearest other rows by inner product, by blocks of rows."""
     k = min(k, len(x) - 1)
@@ -95,12 +127,10 @@ def _fill(gain: np.ndarray, room: int) -> np.ndarray:
     return label
 
 
-def train_router(x: np.ndarray, graph: np.ndarray, label: np.ndarray, parts: int, rng: np.random.Generator) -> Router:
-    """Soft targets: the share of a vector's neighbours (and itself) in each part; Adam on the cross entropy."""
-    n, d = x.shape
-    target = np.zeros((n, parts), np.float32)
-    np.add.at(target, (np.repeat(np.arange(n), graph.shape[1]), label[graph].ravel()), 1)
-    np.add.at(target, (np.arange(n), label), 1)
+def train_router(x: np.ndarray, target: np.ndarray, rng: np.random.Generator) -> Router:
+    """Adam on the cross entropy with soft targets, a row of weights over the partitions for each vector."""
+    (n, d), parts = x.shape, target.shape[1]
+    target = target.astype(np.float32)
     target /= target.sum(axis=1, keepdims=True)
     p = [
         (rng.standard_normal((d, HIDDEN)) * (2 / d) ** 0.5).astype(np.float32) * 2,
@@ -126,25 +156,38 @@ def train_router(x: np.ndarray, graph: np.ndarray, label: np.ndarray, parts: int
     return Router(*p)
 
 
-def fit(vectors: np.ndarray, parts: int, k: int, recall: float, seed: int = 5) -> tuple[Router, int]:
-    """The router, and the least number of probes whose measured recall meets the aim.
+def votes(graph: np.ndarray, label: np.ndarray, parts: int) -> np.ndarray:
+    """How many of each vector's neighbours lie in each part."""
+    out = np.zeros((len(graph), parts))
+    np.add.at(out, (np.repeat(np.arange(len(graph)), graph.shape[1]), label[graph].ravel()), 1)
+    return out
+
+
+def fit(vectors: np.ndarray, parts: int, k: int, recall: float, seed: int = 5) -> Index:
+    """The routers, and the least probability mass to probe whose measured recall meets the aim.
 
-    A tenth of the vectors (2 000 at most) stays out of the training and plays the queries of that measurement,
-    against all fitted vectors; in the whole table neighbours are nearer still than in a sample of it.
+    Neighbours are those of the largest inner product throughout. A tenth of the vectors (2 000 at most) stays out of
+    the training and plays the queries of that measurement, against all fitted vectors; in the whole table
+    neighbours are nearer still than in a sample of it.
     """
     rng = np.random.default_rng(seed)
-    x = unit(vectors)
-    asked = min(2000, len(x) // 10)
-    kept = x[asked:]
+    longest = float(np.linalg.norm(vectors, axis=1).max())
+    asked = max(1, min(2000, len(vectors) // 10))
+    kept = vectors[asked:]
+    level = levelled(kept, longest)
     graph = neighbour_graph(kept, GRAPH)
-    router = train_router(kept, graph, balanced_partition(kept, graph, parts, rng), parts, rng)
-    best = router.best(x, parts)
-    turn = np.empty((asked, parts), np.int64)
-    np.put_along_axis(turn, best[:asked].astype(np.int64), np.arange(parts)[None], axis=1)
-    true = neighbour_graph(x, k)[:asked]
-    needed = np.take_along_axis(turn, best[true][:, :, 0].astype(np.int64), axis=1)
-    share = np.cumsum(np.bincount(needed.ravel(), minlength=parts)) / needed.size
-    return router, int(np.searchsorted(share, recall) + 1)
+    label = balanced_partition(level, graph, parts, rng)
+    own = votes(graph, label, parts)
+    own[np.arange(len(kept)), label] += 1
+    keep = train_router(level, own, rng)
+    home = keep.shares(levelled(vectors, longest)).argmax(axis=1)
+    look = train_router(unit(kept), votes(graph, home[asked:], parts), rng)
+    p = look.shares(unit(vectors[:asked]))
+    order = np.argsort(-p, axis=1, kind="stable")
+    before = np.empty_like(p)
+    np.put_along_axis(before, order, mass_before(p, order), axis=1)
+    needed = np.sort(np.take_along_axis(before, home[neighbour_graph(vectors, k)[:asked]], axis=1).ravel())
+    return Index(keep, look, longest, float(needed[min(len(needed), int(np.ceil(recall * len(needed)))) - 1]))
 
 
 def usable(rows: DataFrame, vec_id: str = "vec_id", embedding: str = "embedding") -> DataFrame:
@@ -157,6 +200,11 @@ def usable(rows: DataFrame, vec_id: str = "vec_id", embedding: str = "embedding"
     )
 
 
+def partitions(n: int, k: int) -> int:
+    """One a block of vectors between 16 and 256 (the model stays small); fewer below that, of four lists' worth each."""
+    return max(1, min(256, max(n // BLOCK, min(16, n // (4 * k)))))
+
+
 def search(
     rows: DataFrame,
     query_every: int = 20,
@@ -168,21 +216,23 @@ def search(
 ) -> DataFrame:
     """query_id, rank, vec_id, score: each query's k nearest other vectors by inner product, best first, ties to smaller id.
 
-    Queries are the rows whose id is divisible by ``query_every``. Equal vectors collapse to one, which keeps the
-    k + 1 least of its ids: no later one can enter a list of k, so a hot vector loses nothing. Distinct vectors are
-    indexed in the partition that the router gives first; a query is scored exactly against as many of its likeliest
-    partitions as the fit found to reach ``recall``, block by block, and keeps k of each block. A query whose probed partitions hold fewer than k
-    vectors is scored against all. Vectors of another length than most are left out with the unusable ones.
-    Few vectors (up to four lists' worth) take a single partition, which makes the search exact.
+    Queries are the rows whose id is divisible by ``query_every``. Null, zero and non-finite vectors and null ids take no
+    part; vectors of different lengths have no inner product, so that each length is an index of its own. Equal
+    vectors collapse to one, which keeps the k + 1 least of its ids: no later one can enter a list of k, so a hot
+    vector loses nothing. Distinct vectors are indexed in the partition that the router gives; a query is scored exactly
+    against its likeliest partitions, as many as hold the probability that the fit found to reach ``recall``, block
+    by block, and keeps k of each block. A query whose probed partitions hold fewer than k vectors is scored against
+    all. An empty table gives an empty result; repeated ids count as candidates each.
     """
-    spark = rows.sparkSession
     good = materialise(usable(rows, vec_id, embedding).withColumn("key", F.xxhash64("vector")))
-    common = good.groupBy(F.size("vector").alias("n")).count().orderBy(F.desc("count"), "n").first()
-    schema = "query_id long, rank int, vec_id long, score double"
-    if common is None:
-        return spark.createDataFrame([], schema)
-    good = good.where(F.size("vector") == common.n)
+    lengths = sorted(r.n for r in good.select(F.size("vector").alias("n")).distinct().collect())
+    if not lengths:
+        return rows.sparkSession.createDataFrame([], "query_id long, rank int, vec_id long, score double")
+    found = [_search(good.where(F.size("vector") == n), n, query_every, k, recall, fit_rows) for n in lengths]
+    return reduce(DataFrame.unionByName, found)
 
+
+def _search(good: DataFrame, length: int, query_every: int, k: int, recall: float, fit_rows: int) -> DataFrame:
     # The least ids of each vector: first inside a salt, then over salts, so that no task sorts a whole hot group.
     salted = Window.partitionBy("key", "vector", F.pmod(F.xxhash64("vec_id"), F.lit(64))).orderBy("vec_id")
     over = Window.partitionBy("key", "vector").orderBy("vec_id")
@@ -190,39 +240,38 @@ def search(
     few = few.withColumn("r", F.row_number().over(over)).where(F.col("r") <= k + 1)
     distinct = materialise(few.groupBy("key", "vector").agg(F.sort_array(F.collect_list("vec_id")).alias("ids")))
     n = distinct.count()
-    sample = distinct.select("key", "vector").orderBy("key", "vector").limit(fit_rows).toArrow()
-    x = np.array(sample.column("vector").to_pylist(), float)
-    # Partitions of about a block each, 16 at least; the model stays small, so 256 at most.
-    parts = max(16, min(256, n // BLOCK))
-    if n <= 4 * parts * k:
-        parts = probes = 1
-        router = Router(np.zeros((common.n, 1)), np.zeros(1), np.zeros((1, 1)), np.zeros(1))
+    parts = partitions(n, k)
+    if parts == 1:  # too few to part: one home for all
+        flat = Router(np.zeros((length + 1, 1)), np.zeros(1), np.zeros((1, 1)), np.zeros(1))
+        index_ = Index(flat, Router(flat.w1[1:], flat.b1, flat.w2, flat.b2), 1.0, 1.0)
     else:
-        router, probes = fit(x, parts, k, recall)
+        sample = distinct.select("key", "vector").orderBy("key", "vector").limit(fit_rows).toArrow()
+        index_ = fit(np.array(sample.column("vector").to_pylist(), float), parts, k, recall)
     blocks = max(1, -(-n // (parts * BLOCK)))
 
-    def route(m: int):
-        def run(batches):
-            for batch in batches:
-                v = batch.column("vector")
-                flat = v.flatten().to_numpy(zero_copy_only=False).reshape(len(v), -1)
-                best = router.best(flat, m) if len(v) else np.empty((0, m), np.int32)
-                yield pa.RecordBatch.from_arrays(
-                    [*batch.columns, pa.array(list(best), pa.list_(pa.int32()))], [*batch.schema.names, "best"]
-                )
+    def matrix(batch: pa.RecordBatch) -> np.ndarray:
+        return batch.column("vector").flatten().to_numpy(zero_copy_only=False).reshape(len(batch), length)
+
+    def settle(batches):
+        for batch in batches:
+            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(index_.home(matrix(batch)))], [*batch.schema.names, "part"])
 
-        return run
+    def ask(batches):
+        for batch in batches:
+            best, few = index_.probes(matrix(batch))
+            yield pa.RecordBatch.from_arrays(
+                [*batch.columns, pa.array(list(best), pa.list_(pa.int32())), pa.array(few)], [*batch.schema.names, "best", "few"]
+            )
 
     block = F.pmod(F.col("key"), F.lit(blocks)).cast("int")
-    index = distinct.mapInArrow(route(1), "key long, vector array<double>, ids array<long>, best array<int>").select(
-        F.get("best", F.lit(0)).alias("part"), block.alias("block"), "ids", "vector"
+    index = materialise(
+        distinct.mapInArrow(settle, "key long, vector array<double>, ids array<long>, part int").select("part", block.alias("block"), "ids", "vector")
     )
-    index = materialise(index)
     held = {r.part: r["count"] for r in index.groupBy("part").count().collect()}
     asked = good.where(F.pmod("vec_id", F.lit(query_every)) == 0).select("vec_id", "vector").distinct()
-    asked = asked.mapInArrow(route(parts), "vec_id long, vector array<double>, best array<int>")
+    asked = asked.mapInArrow(ask, "vec_id long, vector array<double>, best array<int>, few int")
     sizes = F.array(*(F.lit(held.get(p, 0)) for p in range(parts)))
-    chosen = F.slice("best", 1, probes)
+    chosen = F.slice("best", F.lit(1), F.col("few"))
     enough = F.aggregate(chosen, F.lit(0), lambda a, p: a + F.get(sizes, p)) > k
     asked = asked.select("vec_id", "vector", F.explode(F.when(enough, chosen).otherwise(F.col("best"))).alias("part"))
     asked = asked.select("part", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))).alias("block"), "vec_id", "vector")

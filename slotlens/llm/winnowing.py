@@ -6,10 +6,10 @@ from hashlib import sha256
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from slotlens.llm.common import count_below, text_rows
+from slotlens.llm.common import materialise, text_rows
 
 #: Grams and windows of 8 at every length of text: any common passage of 15 characters is sure to share a fingerprint.
 GRAM, WINDOW = 8, 8
@@ -17,8 +17,8 @@ GRAM, WINDOW = 8, 8
 RUN = 1 << 20
 
 BASE = np.uint64(0x9E3779B97F4A7C15)
-#: Documents per block of the pass that pairs each text with the next one.
-BLOCK_BYTES = 8 << 20
+#: Bytes of text per block of the pass that pairs each text with the next one, and keys drawn per block.
+BLOCK_BYTES, DRAWS = 8 << 20, 32
 
 
 def _powers(n: int) -> np.ndarray:
@@ -115,37 +115,70 @@ def fingerprints(
     )
 
 
-def with_next(rows: DataFrame, blocks: int) -> DataFrame:
-    """Deals (doc_id, text) into blocks of neighbouring ids; each block also gets the head of the block after it.
+def _cuts(keys: DataFrame, blocks: int, total: int) -> tuple[list, DataFrame]:
+    """Bounds of about equal bytes: a short list of coarse ones, and a table (coarse, cuts) of the fine ones between them.
 
-    Ranges follow approximate quantiles of the ids, so a block holds about an equal number of rows; the heads
-    are one row a block (an id, a hash and two block numbers), which is what gets broadcast.
+    Keys are drawn in proportion to bytes by a fixed hash of the key, ``DRAWS`` a block. Only every so many of them
+    come to the driver, about sqrt(blocks) for the coarse bounds.
     """
-    spark = rows.sparkSession
-    rows = rows.withColumn("tie", F.xxhash64("text"))
-    block = F.lit(0)
-    if blocks > 1:
-        shares = [i / blocks for i in range(1, blocks)]
-        found = rows.select(F.percentile_approx("doc_id", shares, min(100 * blocks, 1_000_000))).first()[0]
-        block = count_below(F.col("doc_id"), sorted(set(found or [])))
-    block = F.when(F.col("doc_id").isNull(), -1).otherwise(block)
-    rows = rows.withColumn("block", block)
-    heads = [
-        (r.block, r.head.doc_id, r.head.tie)
-        for r in rows.groupBy("block").agg(F.max(F.struct("doc_id", "tie")).alias("head")).collect()
-    ]
-    heads.sort(reverse=True)
+    chance = F.pmod(F.xxhash64(F.lit(8), "known", "id", "tie"), F.lit(1 << 30)) / float(1 << 30)
+    times = F.floor(F.col("bytes") * (DRAWS * blocks / total) + chance).cast("int")
+    drawn = materialise(keys.select("key", F.explode(F.array_repeat(F.lit(0), times))).select("key"))
+    coarse = int(blocks**0.5)
+    few = drawn.where(F.pmod(F.xxhash64(F.lit(9), "key"), F.lit(max(1, DRAWS * blocks // (100 * coarse)))) == 0)
+    few = sorted(tuple(r.key) for r in few.collect())
+    bounds = sorted({few[i * len(few) // coarse] for i in range(1, coarse)}) if few else []
+    held = F.sort_array(F.collect_list("key"))
+    table = drawn.groupBy(_below(bounds).alias("coarse")).agg(held.alias("keys"))
+    cuts = F.array_distinct(F.filter("keys", lambda _, i: (i > 0) & (i % DRAWS == 0)))
+    return bounds, materialise(table.select("coarse", cuts.alias("cuts")))
+
+
+def _below(bounds: list[tuple[int, int, int]]):
+    """How many of the bounds lie below the key."""
+    if not bounds:
+        return F.lit(0)
+    names = ("known", "id", "tie")
+    kinds = ("int", "long", "long")
+    literal = [F.struct(*(F.lit(x).cast(t).alias(n) for x, t, n in zip(b, kinds, names, strict=True))) for b in bounds]
+    return F.size(F.filter(F.array(*literal), lambda c: c < F.col("key")))
+
+
+def with_next(rows: DataFrame) -> DataFrame:
+    """Deals (doc_id, text) into blocks of neighbouring keys, (coarse, fine); each also gets the head of the block after it.
+
+    A key is (whether there is an id, the id, a hash of the text): null ids and repeated ids spread like others, and
+    only rows that repeat both id and text stay together. Blocks have about ``BLOCK_BYTES`` each. The heads are one key
+    a block: they find their block's borrower in a small table, which is all that is broadcast beside the cuts.
+    """
+    tie = F.xxhash64("text")
+    rows = rows.withColumn("known", F.col("doc_id").isNotNull().cast("int")).withColumn("tie", tie)
+    rows = rows.withColumn("key", F.struct("known", F.coalesce("doc_id", F.lit(0).cast("long")).alias("id"), "tie"))
+    keys = materialise(rows.select("key", "key.*", (F.octet_length("text") + 1).alias("bytes")))
+    total = keys.agg(F.sum("bytes")).first()[0] or 0
+    blocks = max(1, -(-total // BLOCK_BYTES))
+    if blocks == 1:
+        place = [F.lit(0).alias("coarse"), F.lit(0).alias("fine")]
+    else:
+        bounds, cuts = _cuts(keys, blocks, total)
+        fine = F.coalesce(F.size(F.filter("cuts", lambda c: c < F.col("key"))), F.lit(0))
+        place = ["coarse", fine.alias("fine")]
+
+        def dealt(df: DataFrame) -> DataFrame:
+            named = df.withColumn("coarse", _below(bounds))
+            return named.join(F.broadcast(cuts), "coarse", "left")  # about one key a block
+
+        keys, rows = dealt(keys), dealt(rows)
+    block = F.struct("coarse", "fine")
+    heads = materialise(keys.select("key", *place).groupBy("coarse", "fine").agg(F.max("key").alias("head")))
+    upward = Window.orderBy("coarse", "fine")
     # After the last block comes the first: its head is the next document of the very last one.
-    guests = [(heads[(k + 1) % len(heads)], heads[k][0], k + 1 == len(heads)) for k in range(len(heads))]
-    guests = [(h[0], h[1], h[2], to, last) for h, to, last in guests]
-    table = spark.createDataFrame(guests, "g_block int, g_id long, g_tie long, to_block int, wraps boolean")
-    own = rows.select("block", "doc_id", "tie", "text", F.lit(False).alias("guest"))
-    same = (
-        (F.col("block") == F.col("g_block")) & F.col("doc_id").eqNullSafe(F.col("g_id")) & (F.col("tie") == F.col("g_tie"))
-    )
-    lent = rows.join(F.broadcast(table), same).select(
-        F.col("to_block").alias("block"), "doc_id", "tie", "text", F.lit(True).alias("guest")
-    )
+    borrower = F.coalesce(F.lead(block).over(upward), F.first(block).over(upward))
+    guests = heads.select("head", borrower.alias("to"))
+    rows = rows.select("doc_id", "text", "key", *place)
+    own = rows.select("coarse", "fine", "key", "text", F.lit(False).alias("guest"))
+    lent = rows.join(F.broadcast(guests), F.col("key") == F.col("head")).dropDuplicates(["key", "to"])
+    lent = lent.select("to.coarse", "to.fine", "key", "text", F.lit(True).alias("guest"))
     return own.unionByName(lent)
 
 
@@ -156,40 +189,41 @@ def neighbour_edits(
 
     The next document is the one that follows in descending (doc_id, hash of the text), null ids last, the first
     after the last. Edited: the last floor(n / 2) code points give way to the first as many of the next text.
-    A single document is its own neighbour. Null text is empty; an empty table gives an empty result.
-    One shuffle of the texts, by ranges of the id; a block is bounded by bytes, so no task grows with the input.
+    A single document is its own neighbour. Null text is empty; an empty table gives an empty result; repeated rows
+    are each other's neighbours; other columns are left behind. positions and edited_positions are the grams' first
+    code points, one for each eight hexadecimal digits of the fingerprint. One shuffle of the texts, by ranges of the
+    key; a block is bounded by bytes, so no task grows with the input.
     """
     rows = text_rows(docs, doc_id=doc_id, text=text)
-    total = rows.select(F.sum(F.octet_length("text")).alias("b")).first().b or 0
-    blocks = max(1, -(-total // BLOCK_BYTES))
 
     def run(table: pa.Table) -> pa.Table:
         w = Winnower(gram, window)
-        ids, ties, guest = (table.column(c).to_pylist() for c in ("doc_id", "tie", "guest"))
-        low = -(1 << 63) - 1
-        order = sorted(range(len(ids)), key=lambda i: (guest[i], -(low if ids[i] is None else ids[i]), -ties[i]))
+        keys, guest = table.column("key").to_pylist(), table.column("guest").to_pylist()
+        order = sorted(range(len(keys)), key=lambda i: (guest[i], *(-keys[i][n] for n in ("known", "id", "tie"))))
         texts, out, later, later_print = table.column("text"), [], None, None
         # From the last to the first: the next text is then at hand, its fingerprint too.
         for i in reversed(order):
             raw = texts[i].as_py().encode("utf-32-le")
             points = np.frombuffer(raw, np.uint32)
-            mine = w.fingerprint(points)[0]
+            mine, at = w.fingerprint(points)
             if not guest[i]:
                 half = len(points) // 2
-                fill = later[:half]
-                edited = np.concatenate([points[: len(points) - half], fill])
-                theirs = w.fingerprint(edited)[0]
+                edited = np.concatenate([points[: len(points) - half], later[:half]])
+                theirs, there = w.fingerprint(edited)
                 digest = sha256(edited.tobytes().decode("utf-32-le").encode()).hexdigest()
-                out.append(
-                    (ids[i], len(points), digest, mine.astype(">u4").tobytes().hex(), theirs.astype(">u4").tobytes().hex(), likeness(mine, theirs), likeness(mine, later_print))
-                )
+                prints = (mine.astype(">u4").tobytes().hex(), theirs.astype(">u4").tobytes().hex())
+                near = (likeness(mine, theirs), likeness(mine, later_print))
+                who = keys[i]["id"] if keys[i]["known"] else None
+                out.append((who, len(points), digest, *prints, *near, at.astype(np.int32), there.astype(np.int32)))
             later, later_print = points, mine
-        columns = list(zip(*out, strict=True)) or [[]] * 7
+        columns = list(zip(*out, strict=True)) or [[]] * 9
         return pa.table([pa.array(c, t) for c, t in zip(columns, kinds, strict=True)], names)
 
-    names = ["doc_id", "n_chars", "edited_sha256", "fingerprint", "edited_fingerprint", "near_edited", "near_next"]
-    kinds = [pa.int64(), pa.int64(), pa.string(), pa.string(), pa.string(), pa.float64(), pa.float64()]
-    schema = "doc_id long, n_chars long, edited_sha256 string, fingerprint string, edited_fingerprint string, near_edited double, near_next double"
-    if not rows.take(1):
-        return rows.sparkSession.createDataFrame([], schema)
-    return with_next(rows, blocks).groupBy("block").applyInArrow(run, schema)
+    names = ["doc_id", "n_chars", "edited_sha256", "fingerprint", "edited_fingerprint", "near_edited", "near_next", "positions", "edited_positions"]
+    places = pa.list_(pa.int32())
+    kinds = [pa.int64(), pa.int64(), pa.string(), pa.string(), pa.string(), pa.float64(), pa.float64(), places, places]
+    schema = (
+        "doc_id long, n_chars long, edited_sha256 string, fingerprint string, edited_fingerprint string, "
+        "near_edited double, near_next double, positions array<int>, edited_positions array<int>"
+    )
+    return with_next(rows).groupBy("coarse", "fine").applyInArrow(run, schema)

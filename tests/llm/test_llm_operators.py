@@ -357,44 +357,98 @@ def test_edited_neighbours(docs, monkeypatch, block):
     monkeypatch.setattr(winnowing, "BLOCK_BYTES", block)
     got = {r.doc_id: r for r in winnowing.neighbour_edits(docs).collect()}
     rows = sorted(pairs_of(docs), reverse=True)
+    win = winnowing.Winnower()
+
+    def prints(text):
+        points = winnowing.points_of(text)
+        at = brute_winnow(points, winnowing.GRAM, winnowing.WINDOW) if len(points) else []
+        return win.hashes(points)[at].tolist() if at else [], at
+
+    def alike(a, b):
+        return len(set(a) & set(b)) / len(set(a) | set(b)) if a or b else 1.0
+
+    known = {i: prints(t) for i, t in rows}
     for k, (i, t) in enumerate(rows):
-        after = rows[(k + 1) % len(rows)][1]
+        j, after = rows[(k + 1) % len(rows)]
         half = len(t) // 2
         edited = t[: len(t) - half] + after[:half]
         assert got[i].edited_sha256 == hashlib.sha256(edited.encode()).hexdigest()
-        assert 0 <= got[i].near_next <= 1
+        mine, theirs = known[i], prints(edited)
+        assert got[i].fingerprint == "".join(f"{h:08x}" for h in mine[0]) and got[i].positions == mine[1]
+        assert got[i].edited_fingerprint == "".join(f"{h:08x}" for h in theirs[0]) and got[i].edited_positions == theirs[1]
+        assert abs(got[i].near_edited - alike(mine[0], theirs[0])) < 1e-12
+        assert abs(got[i].near_next - alike(mine[0], known[j][0])) < 1e-12
     assert np.mean([r.near_edited for r in got.values()]) > np.mean([r.near_next for r in got.values()])
 
 
+def test_hot_and_missing_ids_spread_over_blocks(spark, monkeypatch):
+    monkeypatch.setattr(winnowing, "BLOCK_BYTES", 400)
+    rows = [(None, f"nobody's text number {i} of many") for i in range(80)] + [(7, f"another text {i} under one id") for i in range(80)]
+    df = spark.createDataFrame([*rows, (9, None), (9, "")], "doc_id bigint, text string")
+    dealt = winnowing.with_next(winnowing.text_rows(df)).where("not guest").groupBy("coarse", "fine").count().collect()
+    assert len(dealt) > 10 and max(r["count"] for r in dealt) < 40
+    whole = winnowing.neighbour_edits(df).drop("positions", "edited_positions")
+    some = Counter(map(tuple, whole.collect()))
+    monkeypatch.setattr(winnowing, "BLOCK_BYTES", 1 << 23)
+    assert some == Counter(map(tuple, winnowing.neighbour_edits(df).drop("positions", "edited_positions").collect()))
+
+
 def test_odd_rows_have_fingerprints(odd_docs):
     assert winnowing.neighbour_edits(odd_docs).count() == 9
     assert winnowing.neighbour_edits(odd_docs.limit(0)).count() == 0
     assert winnowing.fingerprints(odd_docs).count() == 9
 
 
-def test_search_recall_and_order(spark):
-    rng = np.random.default_rng(2)
-    x = rng.standard_normal((1500, 16)).astype(np.float32)
-    x[1000:1040] = x[0]
-    rows = [(i, v.tolist()) for i, v in enumerate(x)] + [(5000, None), (5020, [0.0] * 16), (5040, [float("nan")] * 16), (5060, [1.0] * 3)]
-    df = spark.createDataFrame(rows, "vec_id bigint, embedding array<float>")
+def recall_of(df, k=20, every=20):
+    """Found share of the true neighbours, after checks of order, ranks and scores."""
+    rows = [(r.vec_id, np.array([x for x in r.embedding], float)) for r in df.collect() if r.vec_id is not None and r.embedding is not None and None not in r.embedding]
+    rows = [(i, v) for i, v in rows if np.isfinite(v).all() and v.any()]
     got = {}
     for r in nearest.search(df).collect():
         got.setdefault(r.query_id, []).append((r.rank, r.vec_id, r.score))
-    assert set(got) == set(range(0, 1500, 20))
-    hit = 0
-    d = x.astype(float)
-    for q, found in got.items():
-        found.sort()
-        assert [f[0] for f in found] == list(range(1, 21))
-        s = d @ d[q]
-        s[q] = -np.inf
-        hit += len(set(np.lexsort((np.arange(len(s)), -s))[:20].tolist()) & {f[1] for f in found})
-        assert all(abs(f[2] - s[f[1]]) < 1e-9 for f in found)
-    assert hit / (20 * len(got)) >= 0.9
+    hit = all_ = 0
+    for q, v in rows:
+        if q % every:
+            continue
+        near = sorted(((-float(np.dot(v, w)), i) for i, w in rows if i != q and len(w) == len(v)))[:k]
+        found = sorted(got.get(q, []))
+        assert [f[0] for f in found] == list(range(1, len(near) + 1))
+        assert [(-s, i) for _, i, s in found] == sorted((-s, i) for _, i, s in found)
+        by_id = {i: w for i, w in rows}
+        assert all(abs(s - float(np.dot(v, by_id[i]))) < 1e-9 for _, i, s in found)
+        hit += len({i for _, i in near} & {f[1] for f in found})
+        all_ += len(near)
+    assert set(got) == {q for q, _ in rows if q % every == 0 and len(rows) > 1}
+    return hit / all_
+
+
+@pytest.mark.parametrize("lengths", ["one", "many"])
+def test_search_recall_and_order(spark, lengths):
+    rng = np.random.default_rng(2)
+    x = (rng.standard_normal((12, 16))[rng.integers(0, 12, 1500)] + 0.6 * rng.standard_normal((1500, 16))).astype(np.float32)
+    if lengths == "many":
+        x *= rng.lognormal(0, 0.7, (1500, 1)).astype(np.float32)
+    x[1000:1040] = x[0]
+    odd = [(5000, None), (5020, [0.0] * 16), (5040, [float("nan")] * 16), (5060, [float("inf")] + [0.0] * 15), (5080, [None] + [1.0] * 15), (None, [1.0] * 16)]
+    odd += [(6000 + 5 * i, [1.0 + i, float(i % 3), 2.0]) for i in range(9)]
+    rows = [(i, v.tolist()) for i, v in enumerate(x)] + odd
+    df = spark.createDataFrame(rows, "vec_id bigint, embedding array<float>")
+    assert nearest.partitions(1461, 20) > 1
+    assert recall_of(df) >= 0.9
     assert nearest.search(df.limit(0)).count() == 0
 
 
+def test_search_recall_on_the_given_vectors(spark, sf):
+    df = spark.read.parquet(f"{sf}/embeddings.parquet")
+    assert nearest.partitions(df.count(), 20) > 1
+    assert recall_of(df) >= 0.9
+
+
+def test_repeated_ids_of_a_vector_count_each(spark):
+    df = spark.createDataFrame([(20, [1.0, 0.0]), (1, [1.0, 1.0]), (1, [1.0, 1.0]), (2, [0.5, 0.0])], "vec_id bigint, embedding array<float>")
+    assert [(r.rank, r.vec_id, r.score) for r in nearest.search(df).orderBy("rank").collect()] == [(1, 1, 1.0), (2, 1, 1.0), (3, 2, 0.5)]
+
+
 def test_class_model_base_and_gain(docs, odd_docs):
     df = docs.select("doc_id", "text").unionByName(odd_docs.where("doc_id is not null").select("doc_id", "text"))
     train, texts = Counter(), []
@@ -414,6 +468,64 @@ def test_class_model_base_and_gain(docs, odd_docs):
     assert all(math.isfinite(r.score) for r in rows)
 
 
+def test_score_equals_a_plain_recomputation(docs, odd_docs, monkeypatch):
+    """From the classes that the sweeps chose, everything else counted again in plain Python."""
+    from pyspark.sql import functions as F
+
+    df = docs.select("doc_id", "text").unionByName(odd_docs.select("doc_id", "text"))
+    kept, real = {}, class_lm.classed
+
+    def spy(texts, lists, of_item, first_ending, classes, n, v):
+        kept.update(lists=lists, of_item=of_item, first=first_ending, classes=classes)
+        return real(texts, lists, of_item, first_ending, classes, n, v)
+
+    monkeypatch.setattr(class_lm, "classed", spy)
+    rows = class_lm.score(df).collect()
+    texts = [(i, [w for w in class_lm.tokens_of(t)] + [b"\n"]) for i, t in pairs_of(df)]
+    train = [w for i, w in texts if zlib.crc32(b"" if i is None else str(i).encode()) % 5 != 1]
+    words = sorted({w for _, t in texts for w in t})
+    keyed = df.sparkSession.createDataFrame([(bytearray(w),) for w in words], "word binary").select("word", F.xxhash64("word").alias("k"))
+    key = {bytes(r.word): r.k for r in keyed.collect()}
+    told = {r.word_key: (r.cls, r.item) for r in kept["lists"].select("word_key", "cls", "item").distinct().collect()}
+    count = Counter(w for t in train for w in t)
+    votes = {}
+    for w in count:
+        cls, item = told[key[w]]
+        if item >= kept["first"]:
+            votes.setdefault(item, Counter())[cls] += 1
+
+    def class_of(w):
+        cls, item = told[key[w]]
+        if count[w]:
+            return cls
+        return min(votes[item], key=lambda c: (-votes[item][c], c)) if item in votes else int(kept["of_item"][item])
+
+    k = kept["classes"]
+    size, members, follow = Counter(), Counter(), Counter()
+    for w, c in count.items():
+        size[class_of(w)] += c
+        members[class_of(w)] += 1
+    for t in train:
+        for a, b in zip([b"\n", *t], t, strict=False):
+            follow[class_of(a), class_of(b)] += 1
+    outgoing = Counter()
+    for (a, _), c in follow.items():
+        outgoing[a] += c
+    share = {c: (size[c] + 0.5) / (sum(size.values()) + 0.5 * k) for c in range(k)}
+
+    def logp(a, b, w):
+        move = (follow[a, b] + class_lm.PRIOR * share[b]) / (outgoing[a] + class_lm.PRIOR)
+        return math.log10(move) + math.log10((count[w] + 0.5) / (size[b] + 0.5 * (members[b] + 1)))
+
+    want = Counter()
+    for i, t in texts:
+        cls = [class_of(w) for w in t]
+        want[i, round(sum(logp(a, b, w) for a, b, w in zip([class_of(b"\n"), *cls], cls, t, strict=False)), 4)] += 1
+    assert Counter((r.doc_id, round(r.score, 4)) for r in rows) == want
+    assert class_lm.score(df.limit(0)).count() == 0
+    assert class_lm.class_count(400_000) == 48 < class_lm.class_count(10**9)
+
+
 def test_exchange_separates_two_languages():
     pairs = np.zeros((9, 9))
     for group in ((1, 2, 3, 4), (5, 6, 7, 8)):
