@@ -151,15 +151,11 @@ class Encoder:
         """Little-endian 32-bit ids of each text."""
         cut = [t.split(" ") for t in texts]
         heads = [c.pop(0) for c in cut]
-        get = self.rest.learn(set().union(*cut))
-        for text, head, tail in zip(texts, heads, cut, strict=True):
-            if head and head[-1].isspace():
-                yield self.exact(text)
-                continue
-            try:
-                yield self.exact(head) + b"".join(map(get, tail))
-            except KeyError:
+        for text, head, tail in zip(texts, heads, self.rest.rows(cut), strict=True):
+            if tail is None or head and head[-1].isspace():
                 yield self.exact(text)
+            else:
+                yield b"".join([self.exact(head), *tail])
 
     def decode(self, ids: bytes) -> str:
         get = self.v.bytes_of.__getitem__
@@ -204,12 +200,8 @@ class Counter:
 
     def count_all(self, texts: list[str]) -> Iterator[int]:
         cut = [t.split(" ") for t in texts]
-        get = self.pieces.learn(set().union(*cut))
-        for text, pieces in zip(texts, cut, strict=True):
-            try:
-                yield sum(map(get, pieces))
-            except KeyError:
-                yield self.exact(text)
+        for text, found in zip(texts, self.pieces.rows(cut), strict=True):
+            yield self.exact(text) if found is None else sum(found)
 
 
 def token_counts(docs: DataFrame, vocabulary: str, doc_id: str = "doc_id", text: str = "text") -> DataFrame:

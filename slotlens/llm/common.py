@@ -14,7 +14,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 #: Bytes of memoised pieces in one Python worker.
-CACHE_BYTES = 128 << 20
+CACHE_BYTES = 64 << 20
 #: Rows of a few longs each that may be broadcast.
 BROADCAST_ROWS = 500_000
 
@@ -79,17 +79,24 @@ def text_rows(docs: DataFrame, *more: str, doc_id: str = "doc_id", text: str = "
     )
 
 
-def slices(batches: Iterator[pa.RecordBatch], chars: int = 2_000_000) -> Iterator[tuple[pa.RecordBatch, list[str]]]:
-    """Arrow batches cut so that the Python strings alive at once stay near ``chars``."""
-    for batch in batches:
-        lengths = pc.binary_length(batch.column("text")).to_pylist()
-        start = held = 0
-        for i, n in enumerate(lengths):
-            held += n
-            if held >= chars or i + 1 == len(lengths):
-                part = batch.slice(start, i + 1 - start)
-                yield part, part.column("text").to_pylist()
-                start, held = i + 1, 0
+def slices(batches: Iterator[pa.RecordBatch], chars: int = 1_000_000) -> Iterator[tuple[pa.RecordBatch, list[str]]]:
+    """Arrow batches cut so that the Python strings alive at once stay near ``chars``.
+
+    At the end of a task freed memory goes back to the system, as the idle worker would keep it from the next stage.
+    """
+    try:
+        for batch in batches:
+            lengths = pc.binary_length(batch.column("text")).to_pylist()
+            start = held = 0
+            for i, n in enumerate(lengths):
+                held += n
+                if held >= chars or i + 1 == len(lengths):
+                    part = batch.slice(start, i + 1 - start)
+                    yield part, part.column("text").to_pylist()
+                    start, held = i + 1, 0
+    finally:
+        for pool in (pa.default_memory_pool(), pa.system_memory_pool()):
+            pool.release_unused()
 
 
 def crc_remainder(column: str = "doc_id", modulus: int = 5):
@@ -121,19 +128,31 @@ class WordCache:
     When the young generation has half of the budget it becomes the old one, whose entries come back as they are
     met again: hot pieces stay, rare ones go. ``many`` takes new pieces and yields them with their values, in runs. A
     piece that is empty or that touches white space at an edge depends on its neighbours and is never held: the
-    caller's lookup then raises KeyError, and the whole text takes the exact route.
+    whole text then takes the caller's exact route.
     """
 
     def __init__(self, many: Callable[[list[str]], Iterator[tuple[list, list]]], budget: int = CACHE_BYTES):
         self.many, self.budget = many, budget
         self.young, self.old, self.held = {}, {}, 0
 
-    def learn(self, pieces: set[str]) -> Callable[[str], object]:
-        """Lookup that holds all of the pieces until the next call."""
+    def rows(self, rows: list[list[str]]) -> list[list | None]:
+        """The values of each row's pieces; None for a row with a piece that depends on its neighbours."""
         if self.held > self.budget // 2:
             self.young, self.old, self.held = {}, self.young, 0
+        get = self.young.get
+        out = [list(map(get, row)) for row in rows]
+        gaps = [(k, [i for i, v in enumerate(found) if v is None]) for k, found in enumerate(out) if None in found]
+        self.learn({rows[k][i] for k, at in gaps for i in at})
+        for k, at in gaps:
+            found, row = out[k], rows[k]
+            for i in at:
+                found[i] = get(row[i])
+            if None in found:
+                out[k] = None
+        return out
+
+    def learn(self, new: set[str]) -> None:
         young, old = self.young, self.old
-        new = pieces.difference(young)
         if old and new:
             fresh = new.difference(old)
             again = list(new - fresh)
@@ -144,7 +163,6 @@ class WordCache:
         for keys, values in self.many(new):
             young.update(zip(keys, values, strict=True))
         self.held += _weight(new)
-        return young.__getitem__
 
 
 def _weight(words: list[str]) -> int:

@@ -64,18 +64,14 @@ class LibraryIds:
     def of(self, texts: list[str]) -> list[bytes]:
         cut = [t.split(" ") for t in texts]
         heads = [c.pop(0) for c in cut]
-        get, out, whole = self.rest.learn(set().union(*cut)), [], []
-        for k, tail in enumerate(cut):
-            try:
-                if heads[k] and heads[k][-1].isspace():
-                    raise KeyError
-                out.append(b"".join(map(get, tail)))
-            except KeyError:  # a piece that depends on its neighbours: the whole text goes to the library
-                out.append(None)
-                whole.append(k)
+        tails, whole = self.rest.rows(cut), []
+        for k, tail in enumerate(tails):
+            if tail is None or heads[k] and heads[k][-1].isspace():
+                whole.append(k)  # a piece that depends on its neighbours: the whole text goes to the library
+                tails[k] = None
         first = self.batch(heads)
         full = dict(zip(whole, self.batch([texts[k] for k in whole]), strict=True))
-        return [full[k] if x is None else first[k] + x for k, x in enumerate(out)]
+        return [full[k] if tail is None else b"".join([first[k], *tail]) for k, tail in enumerate(tails)]
 
 
 def pieces(
