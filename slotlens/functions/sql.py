@@ -2,8 +2,11 @@
 
 from __future__ import annotations
 
+import pandas as pd
 from pyspark.sql import SparkSession
-from pyspark.sql.functions import udtf
+from pyspark.sql.functions import pandas_udf, udtf
+
+from slotlens.functions import gamma
 
 
 @udtf(returnType="tick bigint, slot int, period_ix bigint")
@@ -15,9 +18,15 @@ class PeriodTicks:
             yield t, t % r, t // r
 
 
+@pandas_udf("double")
+def gamma_quantile_of(q: pd.Series, shape: pd.Series, scale: pd.Series) -> pd.Series:
+    return pd.Series([gamma.quantile(*row) for row in zip(q, shape, scale, strict=True)], dtype=float)
+
+
 def register(spark: SparkSession) -> None:
-    """SQL functions slot_of, period_of_tick, similarity_of, mad_of and the table function period_ticks."""
+    """SQL functions gamma_quantile_of, slot_of, period_of_tick, similarity_of, mad_of and the table function period_ticks."""
     spark.udtf.register("period_ticks", PeriodTicks)
+    spark.udf.register("gamma_quantile_of", gamma_quantile_of)
     for statement in (
         "CREATE OR REPLACE TEMPORARY FUNCTION slot_of(tick BIGINT, r INT) RETURNS INT RETURN CAST(pmod(tick, r) AS INT)",
         "CREATE OR REPLACE TEMPORARY FUNCTION period_of_tick(tick BIGINT, r INT) RETURNS BIGINT RETURN CAST(floor(tick / r) AS BIGINT)",

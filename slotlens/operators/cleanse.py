@@ -6,6 +6,8 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from slotlens.operators import fences as FE
+from slotlens.operators.portraits import by_tick, vectors
+from slotlens.operators.series import fill_gaps
 
 #: Rows of a fence table that are broadcast at most; larger tables join by shuffle on their keys.
 SMALL_TABLE = 200_000
@@ -30,11 +32,13 @@ def impute(flagged: DataFrame, medians: DataFrame, by: list[str], y: str = "y")
 
 
 def replace(flagged: DataFrame, policy: str = "centre", y: str = "y") -> DataFrame:
-    """Outliers take their fence's centre (the mean, or the gamma mean), the middle of the fences, or stay.
+    """Outliers take their fence's centre (the mean, or the gamma mean), the middle of the fences, the group's median
+    (a column ``median`` of the rows), or stay.
 
     A ``verdict`` column, if there is one, decides: only ``replace`` rows change; without one all outliers do.
     """
-    value: Column = {"centre": F.col("centre"), "middle": (F.col("lo") + F.col("hi")) / 2, "leave": F.col(y)}[policy]
+    named = {"centre": "centre", "median": "median", "leave": y}
+    value: Column = (F.col("lo") + F.col("hi")) / 2 if policy == "middle" else F.col(named[policy])
     bad = F.col("is_outlier")
     if "verdict" in flagged.columns:
         bad = bad & (F.col("verdict") == "replace")
@@ -56,7 +60,17 @@ def review(flagged: DataFrame, verdicts: DataFrame, exempt: DataFrame | None = N
     return out.withColumn("verdict", F.when(F.col("is_outlier"), told)).drop("_v", "_e")
 
 
-def run(grouped: DataFrame, by: list[str], model: str = "iqr", y: str = "y", small: bool = True, **options) -> DataFrame:
-    """Fences, flags and replacement in one: y_clean beside y."""
-    f = FE.auto(grouped, by, y, model, **options) if small else FE.build(model, grouped, by, y=y, **options)
-    return replace(detect(grouped, f, by, y), y=y)
+def run(series: DataFrame, period: int, first: int, last: int, model: str = "iqr", default: float | None = 0.0, sentinel: bool = False, small: bool = False, **options) -> DataFrame:
+    """Gaps filled, slots, fences, flags and replacement in one: y_clean beside y, for every tick from first to last.
+
+    A missing tick enters the fences with its default and is replaced if that lies outside; with ``default=None`` it
+    has no value, is no outlier and takes its slot's median.
+    """
+    full = by_tick(fill_gaps(series, first, last, default, sentinel), period).withColumnRenamed("y", "_y").withColumnRenamed("y_filled", "y")
+    by = ["series_id", "slot"]
+    f = FE.auto(full, by, "y", model, **options) if small else FE.build(model, full, by, **options)
+    clean = replace(detect(full, f, by))
+    if default is None and not sentinel:
+        kept = clean.withColumnRenamed("y_clean", "_clean")
+        clean = impute(kept, vectors(full, by), by, "_clean").drop("_clean")
+    return clean.withColumnRenamed("y", "y_filled").withColumnRenamed("_y", "y")

@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 from slotlens.functions import covers
 from slotlens.storage import written
 
+EXACT_ITEMS = 40
 
 def greedy(vectors: DataFrame, s0: float, item: str = "slot", group: str = "vp_id", keys: list[str] | None = None, kind: str = "int", **how) -> DataFrame:
     """(keys, item, group): the greedy cover of each series' threshold graph, ties by least item."""
@@ -17,11 +18,11 @@ def greedy(vectors: DataFrame, s0: float, item: str = "slot", group: str = "vp_i
 
 
 def exact(vectors: DataFrame, s0: float, item: str = "slot", group: str = "vp_id", keys: list[str] | None = None, kind: str = "int") -> DataFrame:
-    """As ``greedy`` with the least number of groups; at most 14 items a series."""
+    """As ``greedy`` with the least number of groups; at most ``EXACT_ITEMS`` items a series."""
 
     def run(v: np.ndarray) -> np.ndarray:
-        if len(v) > 14:
-            raise ValueError("the exact cover takes at most 14 items")
+        if len(v) > EXACT_ITEMS:
+            raise ValueError(f"the exact cover takes at most {EXACT_ITEMS} items")
         return covers.exact(covers.threshold_graph(covers.distances(v), s0))
 
     return _per_series(vectors, run, item, group, keys, kind)
@@ -41,20 +42,23 @@ def _per_series(vectors: DataFrame, label, item: str, group: str, keys: list[str
     return vectors.select(*keys, F.col(item).cast(kind).alias(item), "theta", "mad").groupBy(*keys).applyInPandas(run, schema)
 
 
-def greedy_rounds(vertices: DataFrame, edges: DataFrame, most_rounds: int = 100) -> DataFrame:
-    """(v, seed): the sequential greedy cover (residual degree, order of ids) of one graph, many seeds a round.
+def greedy_rounds(vertices: DataFrame, edges: DataFrame, ties: str = "hash", most_rounds: int = 1000) -> DataFrame:
+    """(v, seed): the greedy cover (residual degree, neighbours in order of ids) of one graph, many seeds a round.
 
-    Every uncovered vertex that ranks first (degree, then least id) within two steps of the uncovered graph grows
-    its clique at once; two such vertices share no neighbour, so the outcome is that of one after the other.
+    Every uncovered vertex that ranks first (degree, then tie) within two steps of the uncovered graph grows its
+    clique at once; two such vertices share no neighbour, so the outcome is that of one after the other. ties: ``id``
+    is the sequential cover itself, whose rounds may grow with the length of a path; ``hash`` breaks ties by a hash
+    of the round, so that rounds grow with the logarithm. Rounds that run out raise: a cover is whole or not returned.
     ``edges`` holds (a, b) with a < b. Each round is written to the shared folder, which cuts lineage.
     """
     free = written(vertices.select(F.col("v").cast("bigint").alias("v")).distinct())
     both = edges.select(F.col("a").cast("bigint").alias("a"), F.col("b").cast("bigint").alias("b")).where("a != b")
     both = written(both.unionAll(both.select(F.col("b").alias("a"), F.col("a").alias("b"))).distinct())
     done = None
-    for _ in range(most_rounds):
+    for turn in range(most_rounds):
+        tie = F.xxhash64("v", F.lit(turn)) if ties == "hash" else F.lit(0)
         rank = free.join(both.groupBy("a").count(), F.col("v") == F.col("a"), "left").select(
-            "v", F.struct(F.coalesce("count", F.lit(0)).alias("deg"), (-F.col("v")).alias("id")).alias("p")
+            "v", F.struct(F.coalesce("count", F.lit(0)).alias("deg"), tie.alias("tie"), (-F.col("v")).alias("id")).alias("p")
         )
 
         def spread(df, name):
@@ -84,10 +88,10 @@ def greedy_rounds(vertices: DataFrame, edges: DataFrame, most_rounds: int = 100)
         done = taken if done is None else done.unionAll(taken)
         free = written(free.join(taken, "v", "left_anti"))
         if not free.take(1):
-            break
+            return done
         gone = taken.select("v")
         both = written(both.join(gone, F.col("a") == F.col("v"), "left_anti").join(gone, F.col("b") == F.col("v"), "left_anti"))
-    return done
+    raise RuntimeError(f"cover not whole after {most_rounds} rounds")
 
 
 def violations(groups: DataFrame, vectors: DataFrame, s0: float, item: str = "slot", group: str = "vp_id") -> DataFrame:

@@ -145,9 +145,15 @@ def build(name: str, series: DataFrame, by: list[str], **options) -> DataFrame:
     return _strategies[name](series, by)
 
 
-def fit_check(series: DataFrame, by: list[str], y: str = "y", bins: int = 10) -> DataFrame:
-    """Distance of each group from a normal of its own mean and deviation: largest gap of the distribution
-    functions, and a binned count statistic. A diagnostic for clean groups; pollution misleads it."""
+@pandas_udf("double")
+def gamma_probability(x: pd.Series, shape: pd.Series, scale: pd.Series) -> pd.Series:
+    return pd.Series([G.cdf(*row) if row[1] > 0 and row[2] > 0 else None for row in zip(x, shape, scale, strict=True)], dtype=float)
+
+
+def fit_check(series: DataFrame, by: list[str], y: str = "y", bins: int = 10, model: str = "normal") -> DataFrame:
+    """Distance of each group from a normal or gamma of its own mean and deviation: largest gap of the distribution
+    functions, and a binned count statistic. A diagnostic for clean groups; pollution misleads it. A group without
+    spread, or without a positive mean for the gamma, has nulls."""
     from pyspark.sql import Window
 
     w = Window.partitionBy(*by)
@@ -158,7 +164,13 @@ def fit_check(series: DataFrame, by: list[str], y: str = "y", bins: int = 10) ->
     a = F.abs(F.col("_u"))
     t = 1.0 / (1.0 + 0.2316419 * a)
     tail = F.exp(-a * a / 2) / (2 * 3.141592653589793) ** 0.5 * t * (0.31938153 + t * (-0.356563782 + t * (1.781477937 + t * (-1.821255978 + t * 1.330274429))))
-    told = told.withColumn("_p", F.when(F.col("_u") >= 0, 1 - tail).otherwise(tail))
+    if model == "gamma":
+        mean, var = F.avg(y).over(w), F.var_samp(y).over(w)
+        fine = (mean > 0) & (var > 0)
+        told = told.withColumns({"_shape": F.when(fine, mean * mean / var), "_scale": F.when(fine, var / mean)})
+        told = told.withColumn("_p", F.when(F.col("_shape").isNotNull(), gamma_probability(y, "_shape", "_scale")))
+    else:
+        told = told.withColumn("_p", F.when(F.col("_u") >= 0, 1 - tail).otherwise(tail))
     gap = told.groupBy(*by).agg(F.max(F.greatest(F.abs(F.col("_c") - F.col("_p")), F.abs(F.col("_c") - 1 / F.col("_n") - F.col("_p")))).alias("distance"), F.first("_n").alias("n"))
     cell = told.withColumn("_b", F.least(F.floor(F.col("_p") * bins), F.lit(bins - 1))).groupBy(*by, "_b", "_n").count()
     # Empty cells add their expectation each, which the sum of squares over all cells holds.

@@ -16,7 +16,7 @@ def epoch(ts: str) -> Column:
 def regularise(df: DataFrame, ts: str, value: str, origin: str, step: int, agg: str = "sum", keys: list[str] | None = None) -> DataFrame:
     """Samples to an even grid: keys, tick, y, where tick counts steps of ``step`` seconds from ``origin``.
 
-    ``agg`` is sum, mean, last or count. Sums add whole hundredths, so the order of rows cannot change them.
+    ``agg`` is sum, mean, last (the larger of two at one time) or count. Sums add whole hundredths, so the order of rows cannot change them.
     Rows of null time are left out; a tick without rows stays absent; one shuffle after map-side partials.
     """
     keys = keys or ["series_id"]
@@ -26,7 +26,7 @@ def regularise(df: DataFrame, ts: str, value: str, origin: str, step: int, agg:
     how = {
         "sum": F.sum(F.round(v * 100).cast("bigint")) / 100.0,
         "mean": F.avg(v),
-        "last": F.max_by(v, F.col(ts)),
+        "last": F.max_by(v, F.struct(F.col(ts), v)),
         "count": F.count(v).cast("double"),
     }[agg]
     return rows.groupBy(*keys, "tick").agg(how.alias("y"))

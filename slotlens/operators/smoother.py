@@ -164,20 +164,26 @@ def train(series: DataFrame, grid: list[int], by: str = "gcv", y: str = "y") ->
     return out.withColumn("best", F.row_number().over(w) == 1).select("series_id", "df", value.alias("value"), "best")
 
 
-def fit_in_groups(grouped: DataFrame, df: int, group: str = "vp_id", y: str = "y") -> DataFrame:
-    """A smoother inside each merged group: its points in time order, df shared out by group size (4 at least)."""
+def fit_in_groups(grouped: DataFrame, df: int, group: str = "vp_id", y: str = "y", alpha: float = 0.05) -> DataFrame:
+    """A smoother inside each merged group: its points in time order, df shared out by group size (4 at least).
+
+    Null values take no part in the fit, have a fitted value and are no outliers; a group without values has neither.
+    """
+    z = NormalDist().inv_cdf(1 - alpha / 2)
 
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
         pdf = pdf.sort_values("tick")
-        own = int(max(4, min(len(pdf) - 1, round(df * len(pdf) / pdf["_all"].iloc[0])))) if len(pdf) > 5 else 0
         values = pdf[y].to_numpy(float)
+        ok = ~np.isnan(values)
+        n = int(ok.sum())
+        own = int(max(4, min(n - 1, round(df * len(pdf) / pdf["_all"].iloc[0])))) if n > 5 else 0
         if own:
             x = design(np.arange(len(pdf), dtype=float), len(pdf) - 1, own)
-            hat = x @ np.linalg.lstsq(x, values, rcond=None)[0]
+            hat = x @ np.linalg.lstsq(x[ok], values[ok], rcond=None)[0]
         else:
-            hat, own = np.full(len(pdf), values.mean()), 1
-        spread = (((values - hat) ** 2).sum() / max(1, len(pdf) - own)) ** 0.5
-        return pdf.assign(y_hat=hat, is_outlier=np.abs(values - hat) > NormalDist().inv_cdf(0.975) * spread).drop(columns="_all")
+            hat, own = np.full(len(pdf), values[ok].mean() if n else np.nan), 1
+        spread = (((values - hat)[ok] ** 2).sum() / max(1, n - own)) ** 0.5
+        return pdf.assign(y_hat=hat, is_outlier=ok & (np.abs(np.where(ok, values - hat, 0)) > z * spread)).drop(columns="_all")
 
     schema = ", ".join(f"{n} {t}" for n, t in grouped.dtypes) + ", y_hat double, is_outlier boolean"
     counted = grouped.withColumn("_all", F.count("*").over(Window.partitionBy("series_id")))

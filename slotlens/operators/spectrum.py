@@ -9,6 +9,9 @@ from pyspark.sql import functions as F
 
 from slotlens.schemas import SPECTRUM
 
+#: Ticks of one bucket of the range join.
+BUCKET = 256
+
 
 def detrended(series: DataFrame, how: str = "running", trend_ticks: int = 168, keys: list[str] | None = None) -> DataFrame:
     """Takes away a centred running mean, the mean, or nothing; the column stays ``y``."""
@@ -39,12 +42,21 @@ def dft_bins(series: DataFrame, bins: list[int], length: int) -> DataFrame:
 
 
 def fft_series(series: DataFrame, keys: list[str] | None = None) -> DataFrame:
-    """Half spectrum of each series by the fast transform, one Arrow group a series (a series fits a task)."""
+    """Half spectrum of each series by the fast transform, one Arrow group a series (a series fits a task).
+
+    Values stand at their ticks, from the first to the last of the series. Missing ticks and null or undefined values
+    take the series' mean, which adds nothing to any line but the constant; of a repeated tick one value counts.
+    """
     keys = keys or ["series_id"]
     extra = "".join(f"{k} {t}, " for k, t in series.dtypes if k in keys and k != "series_id")
 
     def run(key, pdf: pd.DataFrame) -> pd.DataFrame:
-        y = pdf.sort_values("tick")["y"].to_numpy(float)
+        pdf = pdf.sort_values(["tick", "y"])
+        tick = pdf["tick"].to_numpy() - pdf["tick"].iloc[0]
+        y = np.full(int(tick[-1]) + 1, np.nan)
+        y[tick] = pdf["y"].to_numpy(float)
+        hole = ~np.isfinite(y)
+        y[hole] = 0.0 if hole.all() else y[~hole].mean()
         z = np.fft.rfft(y)
         k = np.arange(len(z), dtype=np.int32)
         out = pd.DataFrame({"series_id": key[0], "k": k, "freq": k / max(1, len(y)), "re": z.real, "im": z.imag, "power": np.abs(z) ** 2})
@@ -160,9 +172,12 @@ def random_windows(spark, draws: int, ticks: int, least: int, most: int, seed: i
 def window_fundamentals(series: DataFrame, windows: DataFrame, trend_ticks: int = 168, snap: bool = False) -> DataFrame:
     """Period of each (series, window): range join on the tick, then the fast transform a window.
 
-    The window table is one row a draw and is broadcast; periods are refined by a parabola through the line.
+    Ticks and windows meet by buckets of ``BUCKET`` ticks, an equal join that Spark may broadcast or shuffle; a
+    window is one row a bucket. Periods are refined by a parabola through the line.
     """
-    rows = series.join(F.broadcast(windows), (F.col("tick") >= F.col("lo")) & (F.col("tick") < F.col("hi")))
+    span = F.sequence(F.floor(F.col("lo") / BUCKET), F.floor((F.col("hi") - 1) / BUCKET))
+    pieces = windows.where("hi > lo").withColumn("bucket", F.explode(span))
+    rows = series.withColumn("bucket", F.floor(F.col("tick") / BUCKET)).join(pieces, "bucket").where("tick >= lo and tick < hi")
 
     def run(key, pdf: pd.DataFrame) -> pd.DataFrame:
         y = pdf.sort_values("tick")["y"].to_numpy(float)

@@ -75,6 +75,10 @@ def _fence(source: str, by: str, model: str) -> str:
     if model == "iqr":
         return f"""SELECT {by}, count(*) AS n, q1 - 1.5 * (q3 - q1) AS lo, q3 + 1.5 * (q3 - q1) AS hi, avg(y) AS centre FROM
  (SELECT *, quantile_cont(y, 0.25) OVER (PARTITION BY {by}) AS q1, quantile_cont(y, 0.75) OVER (PARTITION BY {by}) AS q3 FROM {source}) GROUP BY {by}, q1, q3"""
+    if model == "hinge":
+        halves = "list_aggregate(v[1:(n + 1) // 2], 'median') AS q1, list_aggregate(v[n - (n + 1) // 2 + 1:n], 'median') AS q3"
+        return f"""SELECT {by}, n, q1 - 1.5 * (q3 - q1) AS lo, q3 + 1.5 * (q3 - q1) AS hi FROM (SELECT {by}, n, {halves} FROM
+ (SELECT {by}, list_sort(list(y)) AS v, count(*) AS n FROM {source} GROUP BY {by}))"""
     scale = {"normal": "1.4826", "literal": "1.0"}[model]
     return f"SELECT {by}, n, theta - {_Z975} * mad AS lo, theta + {_Z975} * mad AS hi, theta AS centre FROM ({_vectors(source, by, scale)})"
 
@@ -112,8 +116,8 @@ def _scores(base: str, source: str, by: str, models: tuple[str, ...]) -> str:
 
 _M, _Y = f"WITH {_MONTH} ", f"WITH {_YEAR} "
 _PAIRS = f"v AS ({_vectors('month', 'slot')}), pairs AS (SELECT a.slot AS a, b.slot AS b, sqrt((a.theta - b.theta) ** 2 + (a.mad - b.mad) ** 2) AS dist FROM v a JOIN v b ON a.slot < b.slot)"
-_DFT = f"""SELECT k::INTEGER AS k, round(sum(y * cos(2 * pi() * ((k * tick) % 720) / 720.0)), 4) AS re, round(-sum(y * sin(2 * pi() * ((k * tick) % 720) / 720.0)), 4) AS im
-FROM month, (SELECT range AS k FROM range(1, 61)) GROUP BY k"""
+_LINES = "lines AS (SELECT k, sum(y * cos(2 * pi() * ((k * tick) % 720) / 720.0)) AS re, -sum(y * sin(2 * pi() * ((k * tick) % 720) / 720.0)) AS im FROM month, (SELECT range AS k FROM range(361)) GROUP BY k)"
+_DFT = f", {_LINES} SELECT k::INTEGER AS k, round(re, 4) + 0.0 AS re, round(im, 4) + 0.0 AS im FROM lines"
 _REGIONS = "SELECT min(tick) AS first_tick, max(tick) AS last_tick FROM (SELECT tick, tick - row_number() OVER (ORDER BY tick) AS g FROM {0} WHERE {1}) GROUP BY g"
 
 ORACLES: dict[str, str] = {
@@ -126,7 +130,9 @@ ORACLES: dict[str, str] = {
     "resample_hourly": f"WITH {_HOURLY} SELECT tick, round(v, 6) AS y FROM hourly",
     "resample_variants": """WITH e AS (SELECT event_type, floor((epoch(ts) - epoch(TIMESTAMP '2024-01-01')) / 3600)::BIGINT AS tick, value FROM events)
 SELECT event_type, tick, round(sum(round(value * 100)::BIGINT)::DOUBLE / 100.0, 6) AS y, 'sum' AS how FROM e GROUP BY ALL
-UNION ALL SELECT event_type, tick, round(avg(value), 6), 'mean' FROM e GROUP BY ALL UNION ALL SELECT event_type, tick, count(value)::DOUBLE, 'count' FROM e GROUP BY ALL""",
+UNION ALL SELECT event_type, tick, round(avg(value), 6), 'mean' FROM e GROUP BY ALL UNION ALL SELECT event_type, tick, count(value)::DOUBLE, 'count' FROM e GROUP BY ALL
+UNION ALL SELECT event_type, tick, round(value, 6), 'last' FROM (SELECT event_type, tick, value, row_number() OVER (PARTITION BY event_type, tick ORDER BY ts DESC, value DESC) AS r
+ FROM (SELECT *, floor((epoch(ts) - epoch(TIMESTAMP '2024-01-01')) / 3600)::BIGINT AS tick FROM events WHERE value IS NOT NULL)) WHERE r = 1""",
     "gap_fill": f"WITH {_HOURLY} SELECT tick, was_missing, round(v, 6) AS y_filled FROM filled",
     "missing_ticks": """WITH e AS (SELECT DISTINCT event_type AS series_id, floor((epoch(ts) - epoch(TIMESTAMP '2024-01-01')) / 3600)::BIGINT AS tick FROM events)
 SELECT s.series_id, r.range AS tick FROM (SELECT DISTINCT series_id FROM e) s CROSS JOIN range(720) r ANTI JOIN e ON e.series_id = s.series_id AND e.tick = r.range""",
@@ -137,7 +143,7 @@ SELECT s.series_id, r.range AS tick FROM (SELECT DISTINCT series_id FROM e) s CR
     "portrait_vectors_one_pass": _M + f"SELECT 'all' AS series_id, slot, round(theta, 6) AS theta, round(mad, 6) AS mad, n FROM ({_vectors('month', 'slot')})",
     "portrait_vectors_mean_sd": _M + "SELECT 'all' AS series_id, slot, round(avg(y), 6) AS theta, round(stddev_samp(y), 6) AS mad, count(*) AS n FROM month GROUP BY slot",
     "landscape_vector": _M + f"SELECT series_id, round(theta, 6) AS theta, round(mad, 6) AS mad, n, 'all' AS scope FROM ({_vectors('month', 'series_id')}) UNION ALL SELECT series_id, round(theta, 6), round(mad, 6), n, 'hours 1-10' FROM ({_vectors('(SELECT * FROM month WHERE slot < 10)', 'series_id')})",
-    "matrix_view": _M + "SELECT period_ix, round(max(y) FILTER (slot = 0), 6) AS h0, round(max(y) FILTER (slot = 7), 6) AS h7, round(max(y) FILTER (slot = 12), 6) AS h12, round(max(y) FILTER (slot = 19), 6) AS h19 FROM month GROUP BY 1",
+    "matrix_view": _M + "SELECT period_ix, " + ", ".join(f"round(max(y) FILTER (slot = {i}), 6) AS h{i}" for i in range(24)) + " FROM month GROUP BY 1",
     "matrix_melt": _M + "SELECT period_ix, slot, round(y, 6) AS y FROM month",
     "power_spectrum": _M + _DFT,
     "power_spectrum_fft": _M + _DFT,
@@ -189,4 +195,68 @@ JOIN nation ON s_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionke
     "sql_detect": _M + "SELECT tick, round(y - t, 6) AS away FROM (SELECT *, median(y) OVER (PARTITION BY slot) AS t FROM month) WHERE abs(y - t) > 0.5",
     "udtf_period_ticks": "SELECT range::INTEGER AS slot, 30::BIGINT AS n FROM range(24)",
     "asked_quantiles": "SELECT q, round(-2.0 * ln(1 - q), 6) AS value FROM (VALUES (0.025::DOUBLE), (0.5::DOUBLE), (0.975::DOUBLE)) t(q)",
+    "validate_events": f"WITH {_HOURLY} SELECT 0::BIGINT AS null_ticks, 0::BIGINT AS repeated_ticks, count(*) FILTER (v < 0) AS negative_values, 0::BIGINT AS not_finite_values FROM hourly",
+    "gap_default_compare": f"""WITH {_HOURLY}, b AS (SELECT tick % 24 AS slot, was_missing, kind, CASE WHEN NOT was_missing THEN v WHEN kind = 'zero' THEN 0.0 ELSE 1e12 END AS y FROM filled, (VALUES ('zero'), ('sentinel')) k(kind)),
+q AS (SELECT *, quantile_cont(y, 0.25) OVER (PARTITION BY kind, slot) AS q1, quantile_cont(y, 0.75) OVER (PARTITION BY kind, slot) AS q3 FROM b)
+SELECT count(*) FILTER (was_missing) AS missing, count(*) FILTER (was_missing AND (y < q1 - 1.5 * (q3 - q1) OR y > q3 + 1.5 * (q3 - q1))) AS flagged, kind AS gap_default FROM q GROUP BY kind""",
+    "portrait_spans": f"""WITH s AS (SELECT range AS slot, {_BAND.replace('p <', _PROFILE + '[(range + 1)::INTEGER] <')} AS vp_id FROM range(24)), r AS (SELECT vp_id, slot - row_number() OVER (PARTITION BY vp_id ORDER BY slot) AS g FROM s)
+SELECT vp_id::INTEGER AS vp_id, count(*)::DOUBLE AS span, count(DISTINCT g) AS n_intervals FROM r GROUP BY 1""",
+    "portrait_vectors_approx": _M + "SELECT 'all' AS series_id, slot, theta, quantile_disc(abs(y - theta), 0.5) AS mad, count(*) AS n FROM (SELECT slot, y, quantile_disc(y, 0.5) OVER (PARTITION BY slot) AS theta FROM month) GROUP BY slot, theta",
+    "harmonic_series": _M + f", {_LINES} SELECT 'all' AS series_id, (k // 30)::INTEGER AS harmonic, round(CASE WHEN k = 0 THEN re / 720 ELSE 2.0 * sqrt(re * re + im * im) / 720 END, 6) AS amplitude, round(CASE WHEN k = 0 THEN 0.0 ELSE atan2(im, re) END, 6) AS phase FROM lines WHERE k % 30 = 0 AND k <= 150",
+    # Planted answers.
+    "fundamental_period": "SELECT * FROM (VALUES ('month', 24.0::DOUBLE), ('year', 24.0::DOUBLE), ('raw', NULL::DOUBLE), ('weekly', 7.0::DOUBLE)) t(fixture, period_ticks)",
+    "negative_control": "SELECT NULL::DOUBLE AS period_ticks",
+    "fleet_periods": "SELECT DISTINCT event_type AS series_id, 24.0::DOUBLE AS period_ticks FROM events",
+    "periodic_series_only": "SELECT DISTINCT event_type AS series_id, 720::BIGINT AS n FROM events",
+    "spectrum_peaks": _M + f", {_LINES}, p AS (SELECT k, round(re * re + im * im, 4) AS power FROM lines) SELECT k::INTEGER AS k FROM (SELECT *, lag(power, 1, -1.0) OVER (ORDER BY k) AS b, lead(power, 1, -1.0) OVER (ORDER BY k) AS a FROM p) WHERE power > b AND power > a AND power > 100",
+    # Counts that are zero where the method holds.
+    "cover_exact_violations": "SELECT 0::BIGINT AS pairs_below, 0::BIGINT AS not_once",
+    "cover_rounds_path": "SELECT 0::BIGINT AS not_once, 0::BIGINT AS not_cliques",
+    "landscape_cover_violations": "SELECT 0::BIGINT AS pairs_below, 0::BIGINT AS not_once",
+    "landscape_portrait_violations": "SELECT 0::BIGINT AS pairs_below, 0::BIGINT AS not_once",
+    "learned_map_agrees": "SELECT 0::BIGINT AS differences",
+    "learned_small_consistent": "SELECT 0::BIGINT AS flags_differ, 0::BIGINT AS ticks_lost, 0::BIGINT AS without_group",
+    "learned_large_consistent": "SELECT 0::BIGINT AS flags_differ, 0::BIGINT AS ticks_lost, 0::BIGINT AS without_group",
+    "smoother_dense_agrees": "SELECT 0::BIGINT AS differ",
+    "stationarity_route": " UNION ALL ".join(
+        f"""SELECT * FROM (WITH {base}, b AS (SELECT median(y) AS t FROM {name} GROUP BY period_ix), m AS (SELECT median(t) AS c FROM b), d AS (SELECT median(abs(t - c)) AS w FROM b, m)
+SELECT '{name}' AS fixture, round(w / nullif(c, 0.0), 6) AS level_spread, CASE WHEN w <= 0.25 * abs(c) THEN 'stationary' ELSE 'nonstationary' END AS route FROM m, d)"""
+        for name, base in (("month", _MONTH), ("year", _YEAR))
+    ),
+    "fences_boxplot_hinge": _M + f"SELECT vp_id, n, round(lo, 6) AS lo, round(hi, 6) AS hi FROM ({_fence('month', 'vp_id', 'hinge')})",
+    "fences_gamma_centres": _M + f"SELECT vp_id, round(theta, 6) AS mean, round((theta / mad) * (theta / mad) / (mad * mad / theta), 3) AS ratio FROM ({_vectors('month', 'vp_id', '1.4826')})",
+    "fences_auto": _Y + f""", a AS ({_fence('year', 'vld_id, slot', 'normal')}), b AS ({_fence('year', 'vld_id, slot', 'iqr')})
+SELECT vld_id::INTEGER AS vld_id, slot, a.n, round(CASE WHEN a.n < 30 THEN b.lo ELSE a.lo END, 6) AS lo, round(CASE WHEN a.n < 30 THEN b.hi ELSE a.hi END, 6) AS hi, CASE WHEN a.n < 30 THEN 'iqr:small' ELSE 'normal' END AS model FROM a JOIN b USING (vld_id, slot)""",
+    "own_strategy": _M + f", flags AS (SELECT *, y < lo OR y > hi AS is_outlier FROM (SELECT *, quantile_cont(y, 0.05) OVER (PARTITION BY vp_id) AS lo, quantile_cont(y, 0.95) OVER (PARTITION BY vp_id) AS hi FROM month)) {_SHOW}",
+    "fence_params": _M + f", a AS ({_fence('month', 'vp_id', 'iqr')}), b AS ({_fence('month', 'vp_id', 'normal')}) SELECT vp_id, 2::INTEGER AS models, round(a.lo, 6) AS iqr_lo, round(b.hi, 6) AS normal_hi FROM a JOIN b USING (vp_id)",
+    "join_fences_broadcast": _M + f", {_flags('month', 'vp_id', 'iqr')} {_SHOW}",
+    "join_sort_merge": _M + f", {_flags('month', 'vp_id', 'iqr')} {_SHOW}",
+    "large_detect_gamma": _Y + f", {_gamma_flags('year', 'vld_id, vp_id')} {_SHOW}",
+    "large_scores": _scores(_YEAR, "year", "vld_id, vp_id", ("normal", "iqr", "gamma")),
+    "ablation_fixed": " UNION ALL ".join(
+        f"SELECT * FROM (WITH {base}, {_flags(name, by, model)} {_score(title)})"
+        for base, name, by, model, title in (
+            (_MONTH, "month", "series_id", "iqr", "one group"),
+            (_MONTH, "month", "slot", "iqr", "basic portraits"),
+            (_MONTH, "month", "vp_id", "literal", "normal unscaled"),
+            (_YEAR, "year", "vp_id", "iqr", "year without landscapes"),
+        )
+    ),
+    "macro_scores": _M + f""", {_flags('month', 'vp_id', 'iqr')}, c AS (SELECT vp_id, count(*) FILTER (is_polluted AND is_outlier) AS tp, count(*) FILTER (NOT is_polluted AND is_outlier) AS fp,
+ count(*) FILTER (NOT is_polluted AND NOT is_outlier) AS tn, count(*) FILTER (is_polluted AND NOT is_outlier) AS fn FROM flags GROUP BY vp_id),
+r AS (SELECT (tp + tn) / (tp + fp + tn + fn) AS a, tp / nullif(tp + fp, 0) AS p, tp / nullif(tp + fn, 0) AS r FROM c)
+SELECT round(avg(a), 6) AS accuracy, round(avg(p), 6) AS precision, round(avg(r), 6) AS recall, round(avg(2.0 * p * r / nullif(p + r, 0)), 6) AS f_measure, count(*) AS groups FROM r""",
+    "region_scores": _M + f""", {_flags('month', 'vp_id', 'iqr')}, a AS ({_REGIONS.format('flags', 'is_polluted')}), b AS ({_REGIONS.format('flags', 'is_outlier')}),
+n AS (SELECT (SELECT count(*) FROM a) AS labelled, (SELECT count(*) FROM b) AS detected, (SELECT count(*) FROM a WHERE EXISTS (SELECT 1 FROM b WHERE a.first_tick <= b.last_tick AND b.first_tick <= a.last_tick)) AS found,
+ (SELECT count(*) FROM b WHERE EXISTS (SELECT 1 FROM a WHERE a.first_tick <= b.last_tick AND b.first_tick <= a.last_tick)) AS "right")
+SELECT labelled, detected, found, "right", round("right" / detected, 6) AS precision, round(found / labelled, 6) AS recall, round(2.0 * ("right" / detected) * (found / labelled) / ("right" / detected + found / labelled), 6) AS f_measure FROM n""",
+    "review_loop": _M + f", {_flags('month', 'vp_id', 'iqr')} SELECT CASE WHEN tick % 2 = 0 THEN 'replace' WHEN tick >= 100 AND tick < 300 THEN 'keep' ELSE 'pending' END AS verdict, count(*) AS n FROM flags WHERE is_outlier GROUP BY 1",
+    "replaced_median": _M + f", {_flags('month', 'vp_id', 'iqr')} SELECT tick, round(m, 6) AS y_clean FROM (SELECT *, median(y) OVER (PARTITION BY vp_id) AS m FROM flags) WHERE is_outlier",
+    "cleanse_defaults": f"""WITH {_HOURLY}, q AS (SELECT tick, was_missing, v AS y, quantile_cont(v, 0.25) OVER (PARTITION BY tick % 24) AS q1, quantile_cont(v, 0.75) OVER (PARTITION BY tick % 24) AS q3, avg(v) OVER (PARTITION BY tick % 24) AS c FROM filled),
+f AS (SELECT *, y < q1 - 1.5 * (q3 - q1) OR y > q3 + 1.5 * (q3 - q1) AS is_outlier FROM q) SELECT tick, was_missing, is_outlier, round(CASE WHEN is_outlier THEN c ELSE y END, 6) AS y_clean FROM f""",
+    "peak_rank": _M + f""", v AS (SELECT slot, round(theta, 6) AS top FROM ({_vectors('month', 'slot')})) SELECT slot, rank() OVER w AS place, dense_rank() OVER w AS dense_place, ntile(4) OVER w AS quarter, round(percent_rank() OVER w, 6) AS share_before
+FROM v WINDOW w AS (ORDER BY top DESC, slot)""",
+    "sampled_vectors": _M + f", s AS (SELECT * FROM month WHERE (tick * 7919 + 13) % 1000 < 300) SELECT slot, n, round(theta, 6) AS theta, round(mad, 6) AS mad FROM ({_vectors('s', 'slot')})",
+    "observed_counts": _M + "SELECT count(*) AS n, count(*) FILTER (is_polluted) AS polluted, max(tick) AS last FROM month",
+    "udf_gamma_fence": "SELECT q, round(-2.0 * ln(1 - q), 6) AS value FROM (VALUES (0.025::DOUBLE), (0.5::DOUBLE), (0.975::DOUBLE)) t(q)",
 }

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import DataFrame, Observation, SparkSession, Window
 from pyspark.sql import functions as F
 
 from slotlens.functions import gamma as G
@@ -103,7 +103,7 @@ def resample_variants(spark, sf_dir):
         series.regularise(events, "ts", "value", "2024-01-01", 3600, how, ["event_type"]).withColumn("how", F.lit(how))
         for how in ("sum", "mean", "last", "count")
     ]
-    return r6(_union(kinds).where("how != 'last'"), "y")
+    return r6(_union(kinds), "y")
 
 
 def gap_fill(spark, sf_dir):
@@ -179,7 +179,7 @@ def portrait_spans(spark, sf_dir):
 
 def matrix_view(spark, sf_dir):
     wide = portraits.matrix_view(_slots(X.month(spark, sf_dir)), 24)
-    return wide.select("period_ix", *(F.round(str(i), 6).alias(f"h{i}") for i in (0, 7, 12, 19)))
+    return wide.select("period_ix", *(F.round(str(i), 6).alias(f"h{i}") for i in range(24)))
 
 
 def matrix_melt(spark, sf_dir):
@@ -187,21 +187,25 @@ def matrix_melt(spark, sf_dir):
     return r6(wide.unpivot(["period_ix"], [str(i) for i in range(24)], "slot", "y").select("period_ix", F.col("slot").cast("int").alias("slot"), "y"), "y")
 
 
+def _bins(df: DataFrame) -> DataFrame:
+    # Adding zero makes a negative zero plain.
+    return df.select("k", (F.round("re", 4) + 0.0).alias("re"), (F.round("im", 4) + 0.0).alias("im"))
+
+
 def power_spectrum(spark, sf_dir):
-    s = X.month(spark, sf_dir)
-    return spectrum.dft_bins(s, list(range(1, 61)), 720).select("k", F.round("re", 4).alias("re"), F.round("im", 4).alias("im"))
+    return _bins(spectrum.dft_bins(X.month(spark, sf_dir), list(range(361)), 720))
 
 
 def power_spectrum_fft(spark, sf_dir):
-    return spectrum.fft_series(X.month(spark, sf_dir)).where("k between 1 and 60").select("k", F.round("re", 4).alias("re"), F.round("im", 4).alias("im"))
+    return _bins(spectrum.fft_series(X.month(spark, sf_dir)))
 
 
 def power_spectrum_blocked(spark, sf_dir):
-    return spectrum.fft_blocked(X.month(spark, sf_dir), 720, 24).where("k between 1 and 60").select("k", F.round("re", 4).alias("re"), F.round("im", 4).alias("im"))
+    return _bins(spectrum.fft_blocked(X.month(spark, sf_dir), 720, 24))
 
 
 def harmonic_series(spark, sf_dir):
-    return spectrum.harmonics(spectrum.fft_series(X.month(spark, sf_dir)), 720, 30)
+    return r6(spectrum.harmonics(spectrum.fft_series(X.month(spark, sf_dir)), 720, 30), "amplitude", "phase")
 
 
 def fundamental_period(spark, sf_dir):
@@ -233,7 +237,7 @@ def period_ladder(spark, sf_dir):
 
 
 def period_sensitivity(spark, sf_dir):
-    return spectrum.period_sensitivity(X.year(spark, sf_dir), 200, 8760, 730, 8760)
+    return spectrum.period_sensitivity(X.year(spark, sf_dir), 1000, 8760, 730, 8760)
 
 
 def window_periods(spark, sf_dir):
@@ -291,7 +295,19 @@ def cover_variants(spark, sf_dir):
 
 
 def cover_exact(spark, sf_dir):
-    return cliquecover.exact(_month_vectors(spark, sf_dir).where("slot < 14"), 3.3).select("slot", "vp_id")
+    return cliquecover.exact(_month_vectors(spark, sf_dir), 3.3).select("slot", "vp_id")
+
+
+def cover_exact_violations(spark, sf_dir):
+    v = _month_vectors(spark, sf_dir)
+    return cliquecover.violations(cliquecover.exact(v, 3.3), v, 3.3)
+
+
+def greedy_exact_ratio(spark, sf_dir):
+    """Groups of the greedy cover over those of the least one."""
+    v = _month_vectors(spark, sf_dir)
+    n = [f(v, 3.3).groupBy("series_id").agg(F.countDistinct("vp_id").alias(name)) for f, name in ((cliquecover.greedy, "greedy"), (cliquecover.exact, "exact"))]
+    return n[0].join(n[1], "series_id").withColumn("ratio", F.col("greedy") / F.col("exact"))
 
 
 def cover_rounds(spark, sf_dir):
@@ -305,13 +321,23 @@ def cover_violations(spark, sf_dir):
 
 
 def cover_rounds_agree(spark, sf_dir):
-    """Counts vertices whose group differs between the sequential and the parallel cover."""
+    """Counts vertices whose group differs between the sequential and the parallel cover, lost ones included."""
     v = _month_vectors(spark, sf_dir)
     one = cliquecover.greedy(v, 3.3)
-    two = cliquecover.greedy_rounds(v.select(F.col("slot").alias("v")), similarity.edges(v, 3.3))
-    a = one.join(two, one["slot"] == two["v"]).groupBy("vp_id").agg(F.countDistinct("seed").alias("n"))
-    b = one.join(two, one["slot"] == two["v"]).groupBy("seed").agg(F.countDistinct("vp_id").alias("n"))
-    return a.unionAll(b).agg(F.count_if(F.col("n") != 1).alias("differences"))
+    two = cliquecover.greedy_rounds(v.select(F.col("slot").alias("v")), similarity.edges(v, 3.3), ties="id")
+    both = one.join(two, one["slot"] == two["v"], "full_outer")
+    least = both.withColumn("first", F.min("slot").over(Window.partitionBy("vp_id"))).withColumn("other", F.min("v").over(Window.partitionBy("seed")))
+    return least.agg(F.count_if(~F.coalesce(F.col("first") == F.col("other"), F.lit(False)) | F.col("slot").isNull() | F.col("v").isNull()).alias("differences"))
+
+
+def cover_rounds_path(spark, sf_dir):
+    """The parallel cover of a path of 1 000 vertices: those not covered once, and pairs in a group without an edge."""
+    n = 1000
+    edges = spark.range(n - 1).select(F.col("id").alias("a"), (F.col("id") + 1).alias("b"))
+    groups = cliquecover.greedy_rounds(spark.range(n).withColumnRenamed("id", "v"), edges)
+    size = groups.groupBy("seed").agg(F.count("*").alias("n"), F.max("v").alias("hi"), F.min("v").alias("lo"))
+    bad = size.agg(F.count_if((F.col("n") > 2) | (F.col("hi") - F.col("lo") != F.col("n") - 1)).alias("not_cliques"))
+    return groups.agg((F.lit(n) - F.countDistinct("v") + F.count("v") - F.countDistinct("v")).alias("not_once")).crossJoin(bad)
 
 
 def threshold_curve(spark, sf_dir):
@@ -350,6 +376,50 @@ def virtual_landscapes(spark, sf_dir):
     return _union([landscape.build_virtual(s, n).groupBy("vld_id").agg(F.count("*").alias("periods")).withColumn("asked", F.lit(n)) for n in (5, 7, 10)])
 
 
+def landscape_cover_violations(spark, sf_dir):
+    """Periods merged at a threshold: pairs of a group below it, periods not covered once."""
+    s = _slots(X.year(spark, sf_dir))
+    found = landscape.build_virtual(s, s0=2.0)
+    return cliquecover.violations(found, landscape.block_vectors(s), 2.0, "period_ix", "vld_id")
+
+
+def landscape_portrait_violations(spark, sf_dir):
+    """Slots merged at a threshold inside each merged landscape: the same two counts, each landscape a series."""
+    staged = landscape.attach(_slots(X.year(spark, sf_dir)), landscape.build_virtual(_slots(X.year(spark, sf_dir)), 7))
+    staged = staged.withColumn("series_id", F.concat_ws(":", "series_id", "vld_id"))
+    v = portraits.vectors(staged, ["series_id", "slot"])
+    return cliquecover.violations(cliquecover.greedy(v, 3.3), v, 3.3)
+
+
+def learned_map_agrees(spark, sf_dir):
+    """The map that the elbow pipeline learns against the greedy cover at the elbow's threshold: slots that differ."""
+    s = _slots(X.month(spark, sf_dir))
+    v = portraits.vectors(s, ["series_id", "slot"])
+    at = threshold.elbow(threshold.sweep(s, v)).first().s0
+    one = pipelines.virtual_portraits(s, ["series_id"])
+    two = cliquecover.greedy(v, at).select(F.col("slot").alias("v"), F.col("vp_id").alias("g"))
+    both = one.join(two, one["slot"] == two["v"], "full_outer")
+    return both.agg(F.count_if(~F.coalesce(F.col("vp_id") == F.col("g"), F.lit(False))).alias("differences"))
+
+
+def _recheck(spark, flagged: DataFrame, by: str, rows: int) -> DataFrame:
+    """Boxplot flags of a learned map against plain SQL that takes the map as its table: flags that differ, rows lost."""
+    return spark.sql(
+        f"with q as (select {by}, percentile(y, 0.25) q1, percentile(y, 0.75) q3 from {{f}} group by {by}) "
+        "select count_if(f.is_outlier <> (f.y < q1 - 1.5D * (q3 - q1) or f.y > q3 + 1.5D * (q3 - q1))) as flags_differ, "
+        f"cast({rows} as bigint) - count(distinct f.tick) as ticks_lost, count_if(f.vp_id is null) as without_group from {{f}} f join q using ({by})",
+        f=flagged,
+    )
+
+
+def learned_small_consistent(spark, sf_dir):
+    return _recheck(spark, pipelines.stationary(X.month(spark, sf_dir), 24, "iqr"), "vp_id", 720)
+
+
+def learned_large_consistent(spark, sf_dir):
+    return _recheck(spark, pipelines.nonstationary(X.year(spark, sf_dir), 24, "iqr", 7), "vld_id, vp_id", 8760)
+
+
 def stationarity_route(spark, sf_dir):
     out = [landscape.route(X.month(spark, sf_dir), 24).withColumn("fixture", F.lit("month")), landscape.route(X.year(spark, sf_dir), 24).withColumn("fixture", F.lit("year"))]
     return r6(_union(out).select("fixture", "level_spread", "route"), "level_spread")
@@ -382,6 +452,52 @@ def fences_gamma(spark, sf_dir):
     return fences.gamma(banded(_slots(X.month(spark, sf_dir))), SMALL).select("vp_id", "n", "lo", "hi", "centre", "model")
 
 
+def fences_gamma_centres(spark, sf_dir):
+    """Both readings of the gamma's replacement value: shape times scale, and their quotient."""
+    rows = banded(_slots(X.month(spark, sf_dir)))
+    a, b = (fences.gamma(rows, SMALL, replacement=r).select("vp_id", F.col("centre").alias(r)) for r in ("mean", "ratio"))
+    return a.join(b, "vp_id").select("vp_id", F.round("mean", 6).alias("mean"), F.round("ratio", 3).alias("ratio"))
+
+
+def own_strategy(spark, sf_dir):
+    """A user's own fences: the outer twentieths of each group."""
+
+    def tails(rows: DataFrame, by: list[str]) -> DataFrame:
+        q = F.percentile("y", F.array(F.lit(0.05), F.lit(0.95)))
+        e = rows.groupBy(*by).agg(q.alias("q"), F.count("*").alias("n"), F.avg("y").alias("centre"))
+        return e.select(*by, "n", F.col("q")[0].alias("lo"), F.col("q")[1].alias("hi"), "centre", F.lit("tails").alias("model"))
+
+    fences.register("tails", tails)
+    return _flags(_small(spark, sf_dir, "tails"))
+
+
+def fence_fit_check_gamma(spark, sf_dir):
+    clean = banded(_slots(X.month(spark, sf_dir))).where("not is_polluted")
+    return fences.fit_check(clean, SMALL, model="gamma").select("vp_id", "n", "distance", "count_statistic")
+
+
+def fence_params(spark, sf_dir):
+    """Fences of two models as one map of structs a group."""
+    rows = banded(_slots(X.month(spark, sf_dir)))
+    both = fences.boxplot(rows, SMALL).unionByName(fences.normal(rows, SMALL))
+    entry = F.struct("model", F.struct("lo", "hi"))
+    held = both.groupBy("vp_id").agg(F.map_from_entries(F.collect_list(entry)).alias("params"))
+    told = held.select("vp_id", F.size(F.map_keys("params")).alias("models"), F.col("params")["iqr"]["lo"].alias("iqr_lo"), F.col("params")["normal"]["hi"].alias("normal_hi"))
+    return r6(told, "iqr_lo", "normal_hi")
+
+
+def join_fences_broadcast(spark, sf_dir):
+    rows = banded(_slots(X.month(spark, sf_dir)))
+    f = fences.boxplot(rows, SMALL).select("vp_id", "lo", "hi")  # four rows
+    return _flags(rows.join(F.broadcast(f), "vp_id").withColumn("is_outlier", (F.col("y") < F.col("lo")) | (F.col("y") > F.col("hi"))))
+
+
+def join_sort_merge(spark, sf_dir):
+    rows = banded(_slots(X.month(spark, sf_dir)))
+    f = fences.boxplot(rows, SMALL).select("vp_id", "lo", "hi").hint("merge")
+    return _flags(rows.join(f, "vp_id").withColumn("is_outlier", (F.col("y") < F.col("lo")) | (F.col("y") > F.col("hi"))))
+
+
 def fences_auto(spark, sf_dir):
     return r6(fences.auto(_slots(by_month(X.year(spark, sf_dir))), ["series_id", "vld_id", "slot"]).select("vld_id", "slot", "n", "lo", "hi", "model"), "lo", "hi")
 
@@ -470,6 +586,19 @@ def ablations(spark, sf_dir):
     return _union(out)
 
 
+def ablation_fixed(spark, sf_dir):
+    """Ablations on fixed maps: one group for all, each slot alone, an unscaled MAD, the year by bands alone."""
+    m, y = _slots(X.month(spark, sf_dir)), _slots(X.year(spark, sf_dir))
+    bands = banded(m)
+    out = [
+        _score(cleanse.detect(m, fences.boxplot(m, ["series_id"]), ["series_id"]), "one group"),
+        _score(cleanse.detect(m, fences.boxplot(m, ["series_id", "slot"]), ["series_id", "slot"]), "basic portraits"),
+        _score(cleanse.detect(bands, fences.normal(bands, SMALL, estimator="literal"), SMALL), "normal unscaled"),
+        _score(cleanse.detect(banded(y), fences.boxplot(banded(y), SMALL), SMALL), "year without landscapes"),
+    ]
+    return _union(out)
+
+
 def macro_scores(spark, sf_dir):
     return r6(metrics.macro_scores(_small(spark, sf_dir, "iqr"), SMALL), "accuracy", "precision", "recall", "f_measure")
 
@@ -511,6 +640,17 @@ def replaced_values(spark, sf_dir):
     return r6(cleanse.replace(_small(spark, sf_dir, "iqr")).where("is_outlier").select("tick", "y", "y_clean"), "y", "y_clean")
 
 
+def replaced_median(spark, sf_dir):
+    flagged = _small(spark, sf_dir, "iqr").withColumn("median", F.median("y").over(Window.partitionBy(*SMALL)))
+    return r6(cleanse.replace(flagged, "median").where("is_outlier").select("tick", "y_clean"), "y_clean")
+
+
+def cleanse_defaults(spark, sf_dir):
+    """From raw hours to clean ones in one call: gaps as zero, fences by slot, outliers replaced."""
+    told = cleanse.run(X.hourly(spark, sf_dir), 24, 0, 719)
+    return r6(told.select("tick", "was_missing", "is_outlier", "y_clean"), "y_clean")
+
+
 def imputation_error(spark, sf_dir):
     return r6(metrics.imputation_error(cleanse.replace(_small(spark, sf_dir, "iqr"))), "mae_clean", "mae_polluted")
 
@@ -546,6 +686,39 @@ def smoother_underfit(spark, sf_dir):
     return _union([_score(smoother.detect(smoother.fit(s, df), df), f"df {df}") for df in (100, 200)])
 
 
+def smoother_dense_agrees(spark, sf_dir):
+    """Fitted values of the banded and the dense solution that differ."""
+    s = X.month(spark, sf_dir)
+    a = smoother.fit(s, 148).select("tick", "y_hat")
+    b = smoother.fit(s, 148, dense=True).select("tick", F.col("y_hat").alias("d"))
+    return a.join(b, "tick", "full_outer").agg(F.count_if(~F.coalesce(F.abs(F.col("y_hat") - F.col("d")) < 1e-4, F.lit(False))).alias("differ"))
+
+
+def smoother_overfit(spark, sf_dir):
+    s = X.month(spark, sf_dir)
+    return _union([_score(smoother.detect(smoother.fit(s, df), df), f"df {df}") for df in (318, 480, 640)])
+
+
+def smoother_local_view(spark, sf_dir):
+    """Weeks of the year: labelled points that a stiff fit misses, and plain points that a flexible one bends away from."""
+    s, out = X.year(spark, sf_dir), []
+    for df in (100, 200):
+        told = smoother.detect(smoother.fit(s, df), df).withColumn("week", F.floor(F.col("tick") / 168))
+        per = told.groupBy("week").agg(
+            F.count_if(F.col("is_polluted") & ~F.col("is_outlier")).alias("missed"),
+            F.count_if(~F.col("is_polluted") & F.col("is_outlier")).alias("wrongly_flagged"),
+            F.count_if(~F.col("is_polluted") & (F.abs(F.col("y_hat") - F.col("y_true")) > 0.5 * F.col("y_true"))).alias("bent_away"),
+        )
+        out.append(per.withColumn("df", F.lit(df)))
+    return _union(out)
+
+
+def flagged_points_year(spark, sf_dir):
+    """The picture of the year: gamma fences in seven merged landscapes."""
+    told = pipelines.nonstationary(X.year(spark, sf_dir), 24, "gamma", 7)
+    return told.where("is_outlier").select("tick", "vld_id", "vp_id", "y", "lo", "hi", "is_polluted")
+
+
 def outage_recall(spark, sf_dir):
     s = X.outage(spark, sf_dir)
     a = metrics.outage_recall(pipelines.nonstationary(s, 24, "iqr", 7), 3920, 3975).withColumn("method", F.lit("portrait iqr 7"))
@@ -623,17 +796,45 @@ def rolling_slot_mean(spark, sf_dir):
 
 
 def spectrum_peaks(spark, sf_dir):
-    w = Window.orderBy("k")
-    s = power_spectrum(spark, sf_dir).withColumn("power", F.col("re") * F.col("re") + F.col("im") * F.col("im"))
+    w = Window.partitionBy("series_id").orderBy("k")
+    s = spectrum.dft_bins(X.month(spark, sf_dir), list(range(361)), 720)
+    s = s.select("series_id", "k", F.round("power", 4).alias("power"))
     s = s.withColumn("b", F.lag("power", 1, -1.0).over(w)).withColumn("a", F.lead("power", 1, -1.0).over(w))
-    return s.where("power > b and power > a and power > 1000").select("k")
+    return s.where("power > b and power > a and power > 100").select("k")
+
+
+def peak_rank(spark, sf_dir):
+    """Slots by their median: the ranking functions beside each other."""
+    w = Window.partitionBy("series_id").orderBy(F.desc("top"), "slot")
+    v = _month_vectors(spark, sf_dir).withColumn("top", F.round("theta", 6))
+    return v.select(
+        "slot",
+        F.rank().over(w).cast("bigint").alias("place"),
+        F.dense_rank().over(w).cast("bigint").alias("dense_place"),
+        F.ntile(4).over(w).cast("bigint").alias("quarter"),
+        F.round(F.percent_rank().over(w), 6).alias("share_before"),
+    )
+
+
+def sampled_vectors(spark, sf_dir):
+    """Vectors of a fixed three tenths of the ticks, chosen by arithmetic on the tick."""
+    s = _slots(X.month(spark, sf_dir)).where(F.pmod(F.col("tick") * 7919 + 13, F.lit(1000)) < 300)
+    return r6(portraits.vectors(s, ["series_id", "slot"]).select("slot", "n", "theta", "mad"), "theta", "mad")
+
+
+def observed_counts(spark, sf_dir):
+    """Counts that a run of the plan observes on its way, without a second pass."""
+    seen = Observation("series")
+    told = X.month(spark, sf_dir).observe(seen, F.count(F.lit(1)).alias("n"), F.count_if("is_polluted").alias("polluted"), F.max("tick").alias("last"))
+    told.write.format("noop").mode("overwrite").save()
+    return spark.createDataFrame([(seen.get["n"], seen.get["polluted"], seen.get["last"])], "n bigint, polluted bigint, last bigint")
 
 
 def asof_fences(spark, sf_dir):
-    """Fence version in force at each sample: versions every five days, by union and last non-null value."""
-    s = X.month(spark, sf_dir).select("tick", F.lit(None).cast("bigint").alias("version"))
-    v = spark.range(6).select((F.col("id") * 120 + 7).alias("tick"), F.col("id").alias("version"))
-    w = Window.orderBy("tick", F.col("version").isNull()).rowsBetween(Window.unboundedPreceding, 0)
+    """Fence version in force at each sample: versions every five days, by union and last non-null value a series."""
+    s = X.month(spark, sf_dir).select("series_id", "tick", F.lit(None).cast("bigint").alias("version"))
+    v = spark.range(6).select(F.lit("all").alias("series_id"), (F.col("id") * 120 + 7).alias("tick"), F.col("id").alias("version"))
+    w = Window.partitionBy("series_id").orderBy("tick", F.col("version").isNull()).rowsBetween(Window.unboundedPreceding, 0)
     told = s.unionByName(v).withColumn("in_force", F.last("version", True).over(w))
     return told.where("version is null").select("tick", "in_force")
 
@@ -685,6 +886,11 @@ def asked_quantiles(spark, sf_dir):
     return r6(spark.createDataFrame(rows, "q double, value double"), "value")
 
 
+def udf_gamma_fence(spark, sf_dir):
+    surface.register(spark)
+    return spark.sql("select q, round(gamma_quantile_of(q, 1.0D, 2.0D), 6) as value from values (0.025D), (0.5D), (0.975D) t(q)")
+
+
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
     return small_detect_iqr(spark, sf_dir)
 

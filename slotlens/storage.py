@@ -9,13 +9,15 @@ from pyspark.sql import DataFrame
 
 
 def written(df: DataFrame) -> DataFrame:
-    """Writes to the folder of spark.checkpoint.dir and reads back; an own folder only where none is set."""
+    """Writes to the folder of spark.checkpoint.dir and reads back; an own folder only where none is set and all runs in one process."""
     spark = df.sparkSession
     folder = spark.conf.get("spark.checkpoint.dir", None)
     if not folder:
         current = spark.sparkContext._jsc.sc().getCheckpointDir()
         if current.isDefined():
             folder = current.get()
+        elif not spark.sparkContext.master.startswith("local"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that driver and executors share")
         else:
             folder = f"file://{tempfile.mkdtemp(prefix='slotlens-')}"
             spark.sparkContext.setCheckpointDir(folder)

@@ -34,11 +34,19 @@ def without_repeats(stream: DataFrame, key: str = "event_id", late: str = "2 hou
     return stream.withWatermark("ts", late).dropDuplicatesWithinWatermark([key])
 
 
+#: Fence rows that may be broadcast to a stream.
+FENCE_ROWS = 200_000
+
+
 def score(samples: DataFrame, fences: DataFrame, period_hours: int = 24) -> DataFrame:
-    """Stream-static join: each sample's slot fences, and whether it lies outside. ``fences`` is a small learned table."""
+    """Stream-static join: each sample's slot fences, and whether it lies outside.
+
+    The learned table is counted: up to ``FENCE_ROWS`` rows are broadcast, more join by shuffle on their keys.
+    """
     slot = F.pmod(F.floor(F.unix_timestamp("hour") / 3600), F.lit(period_hours)).cast("int")
     f = fences.select("series_id", "slot", "lo", "hi")
-    joined = samples.withColumn("slot", slot).join(F.broadcast(f), ["series_id", "slot"], "left")
+    f = F.broadcast(f) if f.count() <= FENCE_ROWS else f
+    joined = samples.withColumn("slot", slot).join(f, ["series_id", "slot"], "left")
     return joined.withColumn("is_outlier", F.coalesce((F.col("y") < F.col("lo")) | (F.col("y") > F.col("hi")), F.lit(False)))
 
 
