@@ -2,8 +2,11 @@
 
 from __future__ import annotations
 
+from dataclasses import dataclass
+
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark import TaskContext
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
@@ -37,8 +40,11 @@ def tokens_of(text: str) -> list[bytes]:
     return text.encode().lower().split()
 
 
+BLOCKS = "block long, doc_ids array<long>, held array<boolean>, sizes array<int>, numbers binary, word binary, number int, n_train long"
+
+
 def blocks(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
-    """Two kinds of rows: documents as numbers into their block's word list, and the words with training counts."""
+    """Two kinds of rows: a block of texts as numbers into its word list, one text after the other, and its words with training counts."""
 
     def run(batches):
         part, serial = TaskContext.get().partitionId(), 0
@@ -46,20 +52,24 @@ def blocks(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataF
 
         def flush():
             block = part << 24 | serial
-            ids = [r[2] for r in rows]
-            train = [i for i, r in zip(ids, rows, strict=True) if not r[1]]
-            counts = np.bincount(np.concatenate(train), minlength=len(numbering)) if train else np.zeros(len(numbering), int)
-            n, m = len(rows), len(numbering)
+            ids = np.concatenate([r[2] for r in rows])
+            out = np.array([r[1] for r in rows], bool)
+            sizes = np.array([len(r[2]) for r in rows], np.int32)
+            counts = np.bincount(ids[np.repeat(~out, sizes)], minlength=len(numbering))
+            m = len(numbering)
+            whole = [
+                pa.array([[r[0] for r in rows]], pa.list_(pa.int64())),
+                pa.array([out], pa.list_(pa.bool_())),
+                pa.array([sizes], pa.list_(pa.int32())),
+                pa.array([ids.tobytes()], pa.binary()),
+            ]
+            names = [f.split()[0] for f in BLOCKS.split(", ")]
+            yield pa.RecordBatch.from_arrays(
+                [pa.array([block]), *whole, *(pa.nulls(1, t) for t in (pa.binary(), pa.int32(), pa.int64()))], names
+            )
+            listed = [pa.array(list(numbering), pa.binary()), pa.array(np.arange(m, dtype=np.int32)), pa.array(counts.astype(np.int64))]
             yield from pa.table(
-                {
-                    "block": pa.array([block] * (n + m), pa.int64()),
-                    "doc_id": pa.array([r[0] for r in rows] + [None] * m, pa.int64()),
-                    "held_out": pa.array([r[1] for r in rows] + [None] * m, pa.bool_()),
-                    "numbers": pa.array([i.tobytes() for i in ids] + [None] * m, pa.binary()),
-                    "word": pa.array([None] * n + list(numbering), pa.binary()),
-                    "number": pa.array([None] * n + list(range(m)), pa.int32()),
-                    "n_train": pa.array([None] * n + counts.tolist(), pa.int64()),
-                }
+                [pa.array(np.full(m, block)), *(pa.nulls(m, x.type) for x in whole), *listed], names
             ).to_batches(max_chunksize=20_000)
 
         for batch, texts in slices(batches):
@@ -80,8 +90,7 @@ def blocks(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataF
         (crc_remainder(doc_id) == 1).alias("held_out"),
         F.coalesce(F.col(text), F.lit("")).alias("text"),
     )
-    schema = "block long, doc_id long, held_out boolean, numbers binary, word binary, number int, n_train long"
-    return body.mapInArrow(run, schema)
+    return body.mapInArrow(run, BLOCKS)
 
 
 def class_count(words: int) -> int:
@@ -202,83 +211,140 @@ def moves(grid: np.ndarray, own: np.ndarray, word: np.ndarray, code: np.ndarray,
     return out
 
 
-def _grid(sums: DataFrame, size: int) -> np.ndarray:
-    """Sums of (pair, n) rows as a square table."""
-    table = sums.groupBy("pair").agg(F.sum("n").alias("n")).toArrow()
-    out = np.zeros(size * size)
+def _sums(rows: DataFrame, size: int) -> np.ndarray:
+    """Sums of (pair, n) rows as one dense array."""
+    table = rows.groupBy("pair").agg(F.sum("n").alias("n")).toArrow()
+    out = np.zeros(size)
     out[table.column("pair").to_numpy()] = table.column("n").to_numpy()
-    return out.reshape(size, size)
+    return out
 
 
 def _pair_table(counts: np.ndarray) -> pa.Table:
     at = np.flatnonzero(counts)
-    return pa.table([pa.array(at), pa.array(counts.ravel()[at].astype(np.int64))], ["pair", "n"])
-
-
-def _run_of(texts: pa.Table) -> np.ndarray:
-    """The training texts of a block, one after the other."""
-    raw = [r.as_py() for r, h in zip(texts.column("numbers"), texts.column("held_out").to_pylist(), strict=True) if not h]
-    return np.frombuffer(b"".join(raw), "<u4")
-
-
-def _by_number(known: pa.Table, column: str, kind: type) -> np.ndarray:
-    number = known.column("number").to_numpy()
-    out = np.zeros(len(number), kind)
-    out[number] = known.column(column).to_numpy()
-    return out
-
+    return pa.table([pa.array(at), pa.array(counts[at].astype(np.int64))], ["pair", "n"])
+
+
+class Block:
+    """One row of ``Model.base``: the arrays of a block of texts and of its words."""
+
+    def __init__(self, table: pa.Table, of_item: np.ndarray | None = None):
+        self.table = table
+        self.block = table.column("block")[0].as_py()
+        self.numbers, self.sizes = self.get("numbers", "<u4"), table.column("sizes")[0].values.to_numpy()
+        self.held = np.array(table.column("held")[0].as_py(), bool)
+        self.keys, self.c, self.item = self.get("keys", "<i8"), self.get("c", "<i8"), self.get("item", "<i4")
+        flags = self.get("flags", "u1")
+        self.first, self.shared = flags & 1 > 0, flags & 2 > 0
+        # Until a sweep has chosen, a word has the class of its item.
+        if "cls" in table.column_names:
+            self.own = self.get("cls", "<u2").astype(np.int64)
+        elif of_item is not None:
+            self.own = of_item[self.item]
+
+    def get(self, column: str, kind: str) -> np.ndarray:
+        return np.frombuffer(self.table.column(column)[0].as_py(), kind)
+
+    def training(self) -> np.ndarray:
+        """The training texts, one after the other."""
+        return self.numbers[np.repeat(~self.held, self.sizes)]
+
+
+@dataclass(frozen=True)
+class Model:
+    """What was learned. ``base``: a row a block; ``chosen``: (block, cls) after the last sweep that was kept, or None."""
+
+    base: DataFrame
+    chosen: DataFrame | None
+    of_item: np.ndarray
+    first_ending: int
+    classes: int
+    tokens: int
+    distinct: int
+    grid: np.ndarray
+    size: np.ndarray
+    members: np.ndarray
+    votes: np.ndarray
+
+    def unseen(self) -> np.ndarray:
+        """Class of a word that training never met, by its item: that of most trained words of the ending."""
+        out = self.of_item.copy()
+        told = np.flatnonzero(self.votes.any(axis=1))
+        out[self.first_ending + told] = self.votes[told].argmax(axis=1)
+        return out
+
+
+def _rows(base: DataFrame, chosen: DataFrame | None) -> DataFrame:
+    return (base if chosen is None else base.join(chosen, "block")).groupBy("block")
+
+
+def sums(base: DataFrame, chosen: DataFrame | None, of_item: np.ndarray, first_ending: int, classes: int) -> tuple[np.ndarray, ...]:
+    """Over the training texts: pairs of classes; tokens and words of each class; words of each (ending, class)."""
+    endings = len(of_item) - first_ending
+
+    def add(table: pa.Table) -> pa.Table:
+        b = Block(table, of_item)
+        after = b.own[b.training()]
+        known = b.first & (b.c > 0)
+        cls, ending = b.own[known], b.item[known] - first_ending
+        some = ending >= 0
+        return _pair_table(
+            np.concatenate(
+                [
+                    np.bincount(np.concatenate([[0], after])[:-1] * classes + after, minlength=classes * classes),
+                    np.bincount(cls, b.c[known], classes),
+                    np.bincount(cls, minlength=classes),
+                    np.bincount(ending[some] * classes + cls[some], minlength=endings * classes),
+                ]
+            )
+        )
 
-LISTS = "block long, number int, word_key long, c long, first boolean, item int, cls int"
-KEPT = ["block", "number", "word_key", "c", "first", "item", "cls"]
+    cuts = np.cumsum([classes * classes, classes, classes])
+    found = _sums(_rows(base, chosen).applyInArrow(add, "pair long, n long"), cuts[-1] + endings * classes)
+    grid, size, members, votes = np.split(found, cuts)
+    return grid.reshape(classes, classes), size, members, votes.reshape(endings, classes)
 
 
-def sweep(texts: DataFrame, lists: DataFrame, classes: int) -> tuple[DataFrame, float]:
-    """One parallel exchange of every training word: the lists with new classes, and the likelihood before it.
+def sweep(base: DataFrame, chosen: DataFrame | None, of_item: np.ndarray, grid: np.ndarray) -> DataFrame:
+    """One parallel exchange of every training word: (block, cls) with the classes that its words choose.
 
-    A word's counts of classes around it are sparse, come from every block that holds the word and meet by the
-    word's 64-bit hash: one row a block at most.
+    ``grid`` counts the pairs of the present classes. The choice of a word that stands in one block is made there. For
+    all others the sparse counts of classes around them come from every block that holds them and meet by the word's
+    64-bit hash, one row a block at most; the choice goes back to the blocks. A block's other classes travel as one row.
     """
-
-    def look(left: pa.Table, right: pa.Table) -> pa.Table:
-        cls = _by_number(right, "cls", np.int64)
-        word, code, n = contexts(_run_of(left), cls, classes)
-        packed = np.stack([code, n], axis=1).astype("<u4")
-        ends = np.searchsorted(word, np.arange(len(cls) + 1)) * 8
-        buffers = [None, pa.py_buffer(ends.astype("<i4").tobytes()), pa.py_buffer(packed.tobytes())]
-        around = pa.Array.from_buffers(pa.binary(), len(cls), buffers)
-        return right.select(KEPT).sort_by("number").append_column("around", around)
-
-    def entries(batch) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-        raw = batch.column("around").to_pylist()
+    classes = len(grid)
+    chosen_here = pa.schema([("word_key", pa.int64()), ("block", pa.int64()), ("number", pa.int32()), ("cls", pa.int32()), ("around", pa.binary())])
+
+    def look(table: pa.Table) -> pa.Table:
+        b = Block(table, of_item)
+        word, code, n = contexts(b.training(), b.own, classes)
+        away = b.shared[word]
+        here = moves(grid, b.own, word[~away], code[~away], n[~away])
+        sent = np.flatnonzero(b.shared & (b.c > 0))
+        ends = np.concatenate([[0], np.bincount(word[away], minlength=len(b.own))[sent].cumsum()]) * 8
+        packed = np.stack([code[away], n[away]], axis=1).astype("<u4").tobytes()
+        around = pa.Array.from_buffers(pa.binary(), len(sent), [None, pa.py_buffer(ends.astype("<i4").tobytes()), pa.py_buffer(packed)])
+        own = pa.table([b.keys[sent], np.full(len(sent), b.block), sent.astype(np.int32), b.own[sent].astype(np.int32), around], schema=chosen_here)
+        rest = [[int(b.block * 0x9E3779B1)], [b.block], [-1], [0], [here.astype("<u2").tobytes()]]
+        return pa.concat_tables([own, pa.table([pa.array(x, f.type) for x, f in zip(rest, chosen_here, strict=True)], schema=chosen_here)])
+
+    def move(table: pa.Table) -> list[pa.RecordBatch]:
+        rest = table.filter(pc.less(table.column("number"), 0))
+        table = table.filter(pc.greater_equal(table.column("number"), 0)).combine_chunks()
+        raw = table.column("around").to_pylist()
         found = np.frombuffer(b"".join(raw), "<u4").reshape(-1, 2).astype(np.int64)
-        return np.repeat(np.arange(len(raw)), [len(r) // 8 for r in raw]), found[:, 0], found[:, 1]
-
-    def add(batches):
-        counts = np.zeros(classes * classes)
-        for batch in batches:
-            row, code, n = entries(batch)
-            own = batch.column("cls").to_numpy().astype(np.int64)[row]
-            after, self_ = code < classes, code == 2 * classes
-            counts += np.bincount(own[after] * classes + code[after], n[after], len(counts))
-            counts += np.bincount(own[self_] * (classes + 1), n[self_], len(counts))
-        yield from _pair_table(counts).to_batches()
-
-    seen = materialise(texts.groupBy("block").cogroup(lists.groupBy("block")).applyInArrow(look, f"{LISTS}, around binary"))
-    grid = _grid(seen.select("cls", "around").mapInArrow(add, "pair long, n long"), classes)
+        row = np.repeat(np.arange(len(raw)), [len(r) // 8 for r in raw])
+        _, first, word = np.unique(table.column("word_key").to_numpy(), return_index=True, return_inverse=True)
+        # The same code from several blocks is one count.
+        width = 2 * classes + 1
+        keys, at = np.unique(word[row] * width + found[:, 0], return_inverse=True)
+        n = np.bincount(at, found[:, 1], len(keys)) if len(keys) else np.zeros(0)
+        own = table.column("cls").to_numpy().astype(np.int64)[first]
+        new = moves(grid, own, keys // width, keys % width, n)[word]
+        told = table.select(["block", "number"]).append_column("cls", pa.array(new.astype(np.int32)))
+        told = told.append_column("around", pa.nulls(len(told), pa.binary()))
+        return pa.concat_tables([told, rest.select(told.column_names)]).to_batches(max_chunksize=20_000)
 
     def exchange_all(batches):
-        def move(table: pa.Table) -> list[pa.RecordBatch]:
-            table = table.combine_chunks()
-            _, first, word = np.unique(table.column("word_key").to_numpy(), return_index=True, return_inverse=True)
-            row, code, n = entries(table)
-            # The same code from several blocks is one count.
-            keys, at = np.unique(word[row] * (2 * classes + 1) + code, return_inverse=True)
-            n = np.bincount(at, n, len(keys)) if len(keys) else np.zeros(0)
-            own = table.column("cls").to_numpy().astype(np.int64)[first]
-            new = moves(grid, own, keys // (2 * classes + 1), keys % (2 * classes + 1), n)[word]
-            out = table.select(KEPT[:-1]).append_column("cls", pa.array(new.astype(np.int32)))
-            return out.to_batches(max_chunksize=20_000)
-
         held: list[pa.RecordBatch] = []
         for batch in batches:
             if not batch.num_rows:
@@ -293,147 +359,155 @@ def sweep(texts: DataFrame, lists: DataFrame, classes: int) -> tuple[DataFrame,
         if held:
             yield from move(pa.Table.from_batches(held))
 
-    by_word = seen.repartition("word_key").sortWithinPartitions("word_key")
-    new = materialise(by_word.mapInArrow(exchange_all, LISTS))
-    forget(seen)
-    return new, likelihood(grid)
-
-
-def classed(texts: DataFrame, lists: DataFrame, of_item: np.ndarray, first_ending: int, classes: int, n: int, v: int) -> tuple[DataFrame, np.ndarray, np.ndarray]:
-    """Texts as class numbers with their word-level figures, the table of class pairs and the tokens of each class."""
-    trained = lists.where(F.col("first") & (F.col("c") > 0))
-    total, members = np.zeros(classes), np.zeros(classes)
-    for r in trained.groupBy("cls").agg(F.sum("c").alias("n"), F.count("*").alias("v")).collect():
-        total[r.cls], members[r.cls] = r.n, r.v
-    votes = np.zeros((len(of_item), classes))
-    for r in trained.where(F.col("item") >= first_ending).groupBy("item", "cls").count().collect():
-        votes[r.item, r.cls] = r["count"]
-    unseen = np.where(votes.any(axis=1), votes.argmax(axis=1), of_item)
-    base_floor, floor = n + 0.5 * (v + 1), total + 0.5 * (members + 1)
-
-    def look_up(left: pa.Table, right: pa.Table) -> pa.Table:
-        c, cls = _by_number(right, "c", np.int64), _by_number(right, "cls", np.int64)
-        cls = np.where(c > 0, cls, unseen[_by_number(right, "item", np.int64)])
-        base, share = np.log10((c + 0.5) / base_floor), np.log10((c + 0.5) / floor[cls])
-        out = []
-        for raw in left.column("numbers"):
-            ids = np.frombuffer(raw.as_py(), "<u4")
-            out.append((len(ids), int((c[ids] > 0).sum()), float(base[ids].sum()), float(share[ids].sum()), cls[ids].astype("<u2").tobytes()))
-        columns = list(zip(*out, strict=True)) or [[]] * 5
-        return pa.table(
-            [
-                left.column("doc_id"),
-                left.column("held_out"),
-                *(pa.array(x, t) for x, t in zip(columns, (pa.int64(), pa.int64(), pa.float64(), pa.float64(), pa.binary()), strict=True)),
-            ],
-            ["doc_id", "held_out", "n_tokens", "n_known", "base_score", "share", "classes"],
-        )
-
-    schema = "doc_id long, held_out boolean, n_tokens long, n_known long, base_score double, share double, classes binary"
-    seen = materialise(texts.groupBy("block").cogroup(lists.groupBy("block")).applyInArrow(look_up, schema))
+    def settle(table: pa.Table) -> pa.Table:
+        number, cls = table.column("number").to_numpy(), table.column("cls").to_numpy()
+        whole = np.frombuffer(table.column("around")[int((number < 0).argmax())].as_py(), "<u2").copy()
+        whole[number[number >= 0]] = cls[number >= 0]
+        return pa.table({"block": table.column("block").slice(0, 1), "cls": pa.array([whole.tobytes()], pa.binary())})
 
-    def add(batches):
-        counts = np.zeros(classes * classes)
-        for batch in batches:
-            for raw in batch.column("classes"):
-                k = np.frombuffer(raw.as_py(), "<u2").astype(np.int64)
-                counts += np.bincount(np.concatenate([[0], k])[:-1] * classes + k, minlength=len(counts))
-        yield from _pair_table(counts).to_batches()
+    seen = _rows(base, chosen).applyInArrow(look, "word_key long, block long, number int, cls int, around binary")
+    by_word = seen.repartition("word_key").sortWithinPartitions("word_key")
+    told = by_word.mapInArrow(exchange_all, "block long, number int, cls int, around binary")
+    return materialise(told.groupBy("block").applyInArrow(settle, "block long, cls binary"))
 
-    return seen, _grid(seen.where("not held_out").select("classes").mapInArrow(add, "pair long, n long"), classes), total
 
+def learn(docs: DataFrame, heads: int = HEADS, endings: int = ENDINGS, classes: int | None = None, doc_id: str = "doc_id", text: str = "text") -> Model:
+    """Trains on the rows whose crc32(doc_id) mod 5 is not 1.
 
-def score(docs: DataFrame, heads: int = HEADS, endings: int = ENDINGS, classes: int | None = None, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
-    """doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score (log10) and perplexity of every text.
+    Every word of the training rows has a class of its own choice: a first exchange deals the ``heads`` most frequent
+    words one by one and all others by their ending (last two characters, in ``endings`` hash groups); from there
+    parallel sweeps move every word by its own sparse counts of classes before and after it. A sweep that does not
+    raise the likelihood is taken back. Only words never seen in training go by their ending: to the class that most
+    trained words of that ending group have. Ties in frequency go by word.
 
-    Trains on the rows whose crc32(doc_id) mod 5 is not 1. Every word of the training rows has a class of its own
-    choice: a first exchange deals the ``heads`` most frequent words one by one and all others by their ending (last
-    two characters, in ``endings`` hash groups); from there parallel sweeps move every word by its own sparse counts
-    of classes before and after it. A sweep that does not raise the likelihood is taken back. Only words never seen
-    in training go by their ending: to the class that most trained words of that ending group have. A text's
-    probability is the product of P(class | class before) and P(word | class), each class with room for one unseen word.
-    Ties in frequency go by word. Null text is empty and scores its end alone; repeated rows count again; with no
-    training row every known count is 0 and the scores stay finite.
-
-    Counts cover the whole corpus and grow with its vocabulary: words are summed in one shuffle of (block, word)
-    rows, at most one row a block for the commonest word; a sweep sends the classes to the blocks and the counts
-    back. Only tables of classes and of the start's items come to the driver.
+    Counts cover the whole corpus and grow with its vocabulary: words are summed in one shuffle of (block, word) rows,
+    at most one row a block for the commonest word, and packed into one row a block; a sweep sends the counts of words
+    that stand in several blocks and the classes back. Only tables of classes and of the start's items come to the driver.
     """
     parts = materialise(blocks(docs, doc_id, text))
-    words = parts.where("word is not null").select("block", "word", "number", "n_train")
     by_word = Window.partitionBy("word")
-    counted = materialise(
-        words.select(
-            "block",
-            "word",
-            "number",
-            F.sum("n_train").over(by_word).alias("c"),
-            (F.col("block") == F.min("block").over(by_word)).alias("first"),
-        )
+    words = parts.where("word is not null").select(
+        "block",
+        "word",
+        "number",
+        F.sum("n_train").over(by_word).alias("c"),
+        (F.col("block") == F.min("block").over(by_word)).alias("first"),
+        (F.min("block").over(by_word) < F.max("block").over(by_word)).alias("shared"),
     )
+    counted = materialise(words)
     each = counted.where("first").select("word", "c")
     n, v = each.select(F.coalesce(F.sum("c"), F.lit(0)), F.count(F.when(F.col("c") > 0, 1))).first()
     classes = classes or class_count(v)
     top = each.where((F.col("c") > 0) & (F.col("word") != F.lit(END))).orderBy(F.desc("c"), "word").limit(heads)
     head_words = [bytes(r.word) for r in top.collect()]
-    spark = docs.sparkSession
-    head = spark.createDataFrame(
+    head = docs.sparkSession.createDataFrame(
         [(END, 0), *((w, i + 1) for i, w in enumerate(head_words))], "head_word binary, head int"
     )
     first_ending = len(head_words) + 1
     items = first_ending + endings
     ending = F.pmod(F.xxhash64(F.substring(F.col("word").cast("string"), -2, 2)), F.lit(endings)).cast("int") + first_ending
+    named = counted.join(F.broadcast(head), F.col("word") == F.col("head_word"), "left").select(
+        "block",
+        "number",
+        F.xxhash64("word").alias("keys"),
+        "c",
+        F.coalesce("head", ending).alias("item"),
+        (F.col("first").cast("int") + 2 * F.col("shared").cast("int")).cast("byte").alias("flags"),
+    )
 
-    def named(df: DataFrame) -> DataFrame:
-        return df.join(F.broadcast(head), F.col("word") == F.col("head_word"), "left").withColumn(
-            "item", F.coalesce("head", ending)
-        )
+    def pack(table: pa.Table) -> pa.Table:
+        order = np.argsort(table.column("number").to_numpy(), kind="stable")
+        kinds = {"keys": "<i8", "c": "<i8", "item": "<i4", "flags": "u1"}
+        out = {k: pa.array([table.column(k).to_numpy()[order].astype(t).tobytes()], pa.binary()) for k, t in kinds.items()}
+        return pa.table({"block": table.column("block").slice(0, 1), **out})
 
-    texts = parts.where("word is null").select("block", "doc_id", "held_out", "numbers")
-    lists = materialise(
-        named(counted).select("block", "number", F.xxhash64("word").alias("word_key"), "c", "first", "item", F.lit(0).alias("cls"))
-    )
-    forget(counted)
+    packed = named.groupBy("block").applyInArrow(pack, "block long, keys binary, c binary, item binary, flags binary")
+    texts = parts.where("word is null").select("block", "doc_ids", "held", "sizes", "numbers")
+    base = materialise(texts.join(packed, "block"))
+    forget(parts, counted)
 
-    def start(left: pa.Table, right: pa.Table) -> pa.Table:
-        a = _by_number(right, "item", np.int64)[_run_of(left)]
+    def start(table: pa.Table) -> pa.Table:
+        b = Block(table)
+        a = b.item[b.training()].astype(np.int64)
         return _pair_table(np.bincount(np.concatenate([[0], a])[:-1] * items + a, minlength=items * items))
 
     # Bounded by the square of the item count, whatever the corpus.
-    pairs = _grid(texts.groupBy("block").cogroup(lists.groupBy("block")).applyInArrow(start, "pair long, n long"), items)
+    pairs = _sums(_rows(base, None).applyInArrow(start, "pair long, n long"), items * items).reshape(items, items)
     of_item = exchange(pairs, 0, classes)
-    lists = lists.withColumn("cls", F.get(F.lit(of_item.astype(np.int32).tolist()), F.col("item")))
-
-    kept, best = lists, -np.inf
+    onehot = np.eye(classes)[of_item]
+    grid, chosen, found = onehot.T @ pairs @ onehot, None, None
     for _ in range(WORD_SWEEPS):
-        new, before = sweep(texts, lists, classes)
-        if before <= best:
-            lists = kept
+        new = sweep(base, chosen, of_item, grid)
+        told = sums(base, new, of_item, first_ending, classes)
+        if likelihood(told[0]) <= likelihood(grid):
+            forget(new)
             break
-        kept, best, lists = lists, before, new
-    seen, grid, total = classed(texts, lists, of_item, first_ending, classes, n, v)
-    if likelihood(grid) < best:
-        seen, grid, total = classed(texts, kept, of_item, first_ending, classes, n, v)
-    share = (total + 0.5) / (total.sum() + 0.5 * classes)
-    follow = np.log10((grid + PRIOR * share) / (grid.sum(axis=1, keepdims=True) + PRIOR))
-
-    def finish(batches):
-        for batch in batches:
-            out = []
-            for raw in batch.column("classes"):
-                k = np.frombuffer(raw.as_py(), "<u2").astype(np.int64)
-                out.append(float(follow[np.concatenate([[0], k])[:-1], k].sum()))
-            score = pa.array(np.array(out) + batch.column("share").to_numpy())
-            names = ["doc_id", "held_out", "n_tokens", "n_known", "base_score"]
-            yield pa.RecordBatch.from_arrays([*(batch.column(x) for x in names), score], [*names, "score"])
-
-    scored = seen.mapInArrow(finish, "doc_id long, held_out boolean, n_tokens long, n_known long, base_score double, score double")
-    return scored.select(
+        if chosen is not None:
+            forget(chosen)
+        chosen, found, grid = new, told, told[0]
+    found = found or sums(base, None, of_item, first_ending, classes)
+    return Model(base, chosen, of_item, first_ending, classes, n, v, *found)
+
+
+def word_classes(model: Model) -> DataFrame:
+    """(word_key, c, item, cls) of every word of the corpus, one row a word; c is 0 where only held-out texts have it."""
+
+    of_item, unseen = model.of_item, model.unseen()
+
+    def run(table: pa.Table) -> pa.Table:
+        b = Block(table, of_item)
+        cls = np.where(b.c > 0, b.own, unseen[b.item])
+        columns = (b.keys, b.c, b.item, cls.astype(np.int32))
+        return pa.table([pa.array(x[b.first]) for x in columns], ["word_key", "c", "item", "cls"])
+
+    return _rows(model.base, model.chosen).applyInArrow(run, "word_key long, c long, item int, cls int")
+
+
+def score(docs: DataFrame, heads: int = HEADS, endings: int = ENDINGS, classes: int | None = None, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
+    """doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score (log10) and perplexity of every text.
+
+    Learns as ``learn`` says, then scores: a text's probability is the product of P(class | class before) and
+    P(word | class), each class with room for one unseen word. Null text is empty and scores its end alone; repeated
+    rows count again; null ids are training rows; other columns are left behind; with no training row every known
+    count is 0 and the scores stay finite; an empty table gives an empty result.
+    """
+    return scored(learn(docs, heads, endings, classes, doc_id, text))
+
+
+def scored(model: Model) -> DataFrame:
+    """As ``score``, for the texts that the model was learned with."""
+    of_item, unseen, floor = model.of_item, model.unseen(), model.size + 0.5 * (model.members + 1)
+    share = (model.size + 0.5) / (model.size.sum() + 0.5 * model.classes)
+    follow = np.log10((model.grid + PRIOR * share) / (model.grid.sum(axis=1, keepdims=True) + PRIOR))
+    base_floor = model.tokens + 0.5 * (model.distinct + 1)
+
+    def run(table: pa.Table) -> pa.Table:
+        b = Block(table, of_item)
+        cls = np.where(b.c > 0, b.own, unseen[b.item])
+        at = np.concatenate([[0], b.sizes.cumsum()[:-1]])
+        k = cls[b.numbers]
+        # Every text ends with the end's class, which so stands before the next one.
+        move = follow[np.concatenate([[0], k])[:-1], k]
+        per = np.log10((b.c + 0.5) / floor[cls])[b.numbers] + move
+        base = np.log10((b.c + 0.5) / base_floor)[b.numbers]
+        return pa.table(
+            {
+                "doc_id": pa.array(table.column("doc_ids")[0].values),
+                "held_out": pa.array(b.held),
+                "n_tokens": pa.array(b.sizes.astype(np.int64)),
+                "n_known": pa.array(np.add.reduceat((b.c > 0)[b.numbers].astype(np.int64), at)),
+                "base_score": pa.array(np.add.reduceat(base, at)),
+                "score": pa.array(np.add.reduceat(per, at)),
+            }
+        )
+
+    schema = "doc_id long, held_out boolean, n_tokens long, n_known long, base_score double, score double"
+    return _rows(model.base, model.chosen).applyInArrow(run, schema).select(
         "doc_id",
         "held_out",
         "n_tokens",
         "n_known",
-        F.lit(n).cast("long").alias("train_tokens"),
+        F.lit(model.tokens).cast("long").alias("train_tokens"),
         "base_score",
         "score",
         F.pow(F.lit(10.0), -F.col("score") / F.col("n_tokens")).alias("perplexity"),

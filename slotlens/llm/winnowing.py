@@ -18,7 +18,7 @@ RUN = 1 << 20
 
 BASE = np.uint64(0x9E3779B97F4A7C15)
 #: Bytes of text per block of the pass that pairs each text with the next one, and keys drawn per block.
-BLOCK_BYTES, DRAWS = 8 << 20, 32
+BLOCK_BYTES, DRAWS = 4 << 20, 32
 
 
 def _powers(n: int) -> np.ndarray:

@@ -473,34 +473,31 @@ def test_score_equals_a_plain_recomputation(docs, odd_docs, monkeypatch):
     from pyspark.sql import functions as F
 
     df = docs.select("doc_id", "text").unionByName(odd_docs.select("doc_id", "text"))
-    kept, real = {}, class_lm.classed
-
-    def spy(texts, lists, of_item, first_ending, classes, n, v):
-        kept.update(lists=lists, of_item=of_item, first=first_ending, classes=classes)
-        return real(texts, lists, of_item, first_ending, classes, n, v)
-
-    monkeypatch.setattr(class_lm, "classed", spy)
-    rows = class_lm.score(df).collect()
+    monkeypatch.setattr(class_lm, "BLOCK_BYTES", 60_000)
+    model = class_lm.learn(df)
+    assert model.base.count() > 2 and model.chosen is not None
+    rows = class_lm.scored(model).collect()
     texts = [(i, [w for w in class_lm.tokens_of(t)] + [b"\n"]) for i, t in pairs_of(df)]
     train = [w for i, w in texts if zlib.crc32(b"" if i is None else str(i).encode()) % 5 != 1]
     words = sorted({w for _, t in texts for w in t})
     keyed = df.sparkSession.createDataFrame([(bytearray(w),) for w in words], "word binary").select("word", F.xxhash64("word").alias("k"))
     key = {bytes(r.word): r.k for r in keyed.collect()}
-    told = {r.word_key: (r.cls, r.item) for r in kept["lists"].select("word_key", "cls", "item").distinct().collect()}
+    told = {r.word_key: (r.cls, r.item, r.c) for r in class_lm.word_classes(model).collect()}
     count = Counter(w for t in train for w in t)
+    assert {key[w]: count[w] for w in words} == {k: c for k, (_, _, c) in told.items()}
     votes = {}
     for w in count:
-        cls, item = told[key[w]]
-        if item >= kept["first"]:
+        cls, item, _ = told[key[w]]
+        if item >= model.first_ending:
             votes.setdefault(item, Counter())[cls] += 1
 
     def class_of(w):
-        cls, item = told[key[w]]
-        if count[w]:
-            return cls
-        return min(votes[item], key=lambda c: (-votes[item][c], c)) if item in votes else int(kept["of_item"][item])
+        cls, item, _ = told[key[w]]
+        if not count[w]:
+            assert cls == (min(votes[item], key=lambda c: (-votes[item][c], c)) if item in votes else int(model.of_item[item]))
+        return cls
 
-    k = kept["classes"]
+    k = model.classes
     size, members, follow = Counter(), Counter(), Counter()
     for w, c in count.items():
         size[class_of(w)] += c
