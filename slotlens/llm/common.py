@@ -35,7 +35,7 @@ def shared_dir(spark: SparkSession) -> str:
 
 
 @contextmanager
-def _tidy(spark: SparkSession):
+def tidy(spark: SparkSession):
     """Shuffle files of a finished write go at once: every later step reads the written table, not the shuffle."""
     name = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
     old = spark.conf.get(name, None)
@@ -53,7 +53,7 @@ def materialise(df: DataFrame) -> DataFrame:
     """
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/slotlens/{uuid.uuid4().hex}"
-    with _tidy(spark):
+    with tidy(spark):
         df.write.option("compression", "zstd").parquet(path)
     return spark.read.schema(df.schema).parquet(path)
 
