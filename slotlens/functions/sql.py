@@ -5,6 +5,7 @@ from __future__ import annotations
 import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql.functions import pandas_udf, udtf
+from pyspark.sql.types import DoubleType
 
 from slotlens.functions import gamma
 
@@ -18,7 +19,7 @@ class PeriodTicks:
             yield t, t % r, t // r
 
 
-@pandas_udf("double")
+@pandas_udf(DoubleType())
 def gamma_quantile_of(q: pd.Series, shape: pd.Series, scale: pd.Series) -> pd.Series:
     return pd.Series([gamma.quantile(*row) for row in zip(q, shape, scale, strict=True)], dtype=float)
 

@@ -9,6 +9,7 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.functions import pandas_udf
+from pyspark.sql.types import DoubleType
 
 from slotlens.functions import gamma as G
 from slotlens.operators.portraits import vectors
@@ -145,7 +146,7 @@ def build(name: str, series: DataFrame, by: list[str], **options) -> DataFrame:
     return _strategies[name](series, by)
 
 
-@pandas_udf("double")
+@pandas_udf(DoubleType())
 def gamma_probability(x: pd.Series, shape: pd.Series, scale: pd.Series) -> pd.Series:
     return pd.Series([G.cdf(*row) if row[1] > 0 and row[2] > 0 else None for row in zip(x, shape, scale, strict=True)], dtype=float)
 

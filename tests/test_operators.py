@@ -126,3 +126,64 @@ def test_series_layout_round_trip(spark, sf, tmp_path):
     assert tables.read_series(spark, str(tmp_path / "s")).count() == 720
     spark.dataSource.register(tables.MeterSource)
     assert spark.read.format("slot_meters").option("meters", 2).option("ticks", 5).load().count() == 10
+
+
+def test_parallel_cover_of_a_path_is_whole(spark):
+    n = 120
+    edges = spark.range(n - 1).select(F.col("id").alias("a"), (F.col("id") + 1).alias("b"))
+    vertices = spark.range(n).withColumnRenamed("id", "v")
+    rows = cliquecover.greedy_rounds(vertices, edges).collect()
+    assert sorted(r.v for r in rows) == list(range(n))
+    groups = {}
+    for r in rows:
+        groups.setdefault(r.seed, []).append(r.v)
+    assert all(len(g) == 1 or len(g) == 2 and abs(g[0] - g[1]) == 1 for g in groups.values())
+    with pytest.raises(RuntimeError):
+        cliquecover.greedy_rounds(vertices, edges, ties="id", most_rounds=2)
+
+
+def test_smoother_in_groups_skips_nulls(spark):
+    from slotlens.operators import smoother
+
+    values = [float(t % 5) for t in range(40)]
+    values[7], values[20] = None, 50.0
+    s = frame(spark, values).withColumn("vp_id", F.lit(0))
+    told = {r.tick: r for r in smoother.fit_in_groups(s, 8).collect()}
+    assert told[7].y_hat is not None and not told[7].is_outlier and told[20].is_outlier
+    assert smoother.fit_in_groups(s.withColumn("y", F.lit(None).cast("double")), 8).where("is_outlier").count() == 0
+
+
+def test_transform_places_values_at_their_ticks(spark):
+    y = [float(np.cos(2 * np.pi * t / 8)) for t in range(64)]
+    holes = frame(spark, y).where("tick not in (10, 11, 40)").withColumn("y", F.when(F.col("tick") != 30, F.col("y")))
+    power = {r.k: r.power for r in spectrum.fft_series(holes).collect()}
+    assert max(power, key=power.get) == 8 and len(power) == 33 and all(p == p for p in power.values())
+
+
+def test_exact_cover_of_all_slots_is_no_larger_than_greedy(spark, sf):
+    v = portraits.vectors(portraits.by_tick(X.month(spark, sf), 24), ["series_id", "slot"])
+    one, two = cliquecover.exact(v, 3.3), cliquecover.greedy(v, 3.3)
+    assert one.select("vp_id").distinct().count() <= two.select("vp_id").distinct().count() and one.count() == 24
+
+
+def test_gamma_fit_check_prefers_the_right_model(spark):
+    rng = np.random.default_rng(1)
+    s = frame(spark, rng.gamma(1.5, 2.0, 800).tolist())
+    wrong, right = (fences.fit_check(s, ["series_id"], model=m).first() for m in ("normal", "gamma"))
+    assert right.distance < wrong.distance and right.count_statistic < wrong.count_statistic
+
+
+def test_gaps_are_filled_found_and_repaired_in_one_call(spark):
+    s = frame(spark, [10.0 + (t % 2) for t in range(40)]).where("tick != 9")
+    told = {r.tick: r for r in cleanse.run(s, 2, 0, 39).collect()}
+    assert told[9].was_missing and told[9].is_outlier and told[9].y_clean > 10 and told[9].y is None
+    none = {r.tick: r for r in cleanse.run(s, 2, 0, 39, default=None).collect()}
+    assert none[9].y_clean == 11.0 and not none[9].is_outlier
+
+
+def test_meter_dumps_and_buckets(spark, tmp_path):
+    rows = spark.createDataFrame([("a", "2024-01-01 00:00:00", 1.5), ("b", "2024-01-01 01:00:00", 2.5)], "series_id string, ts string, y double")
+    rows.write.csv(str(tmp_path / "c"), header=True)
+    rows.write.json(str(tmp_path / "j"))
+    for read, folder in ((tables.read_meter_csv, "c"), (tables.read_meter_json, "j")):
+        assert sorted((r.series_id, r.y) for r in read(spark, str(tmp_path / folder)).collect()) == [("a", 1.5), ("b", 2.5)]
