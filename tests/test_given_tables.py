@@ -34,3 +34,25 @@ def test_asked_quantiles_follow_the_values_of_each_type(spark, sf, tmp_path):
             assert gamma.cdf(value, mean * mean / var, var / mean) == pytest.approx(q, abs=1e-5)
         else:
             assert value is None
+
+
+def test_portrait_spans_follow_the_medians_of_the_slots(spark, sf, tmp_path):
+    assert reads_events(queries.portrait_spans(spark, sf))
+    # Much more load in every hour 3 and 20 and less in 11, 14 and 15, with some spread among the days.
+    level = {3: 1000.0, 20: 1000.0, 11: 1.0, 14: 1.0, 15: 1.0}
+    rows = [("a", t, level.get(t % 24, 100.0) + t // 24 % 7 + t % 24 / 10) for t in range(720)]
+    folder = with_events(spark, tmp_path, rows)
+    medians = [statistics.median(r.y for r in rows) for rows in _by_slot(queries.w_month_series(spark, folder).collect())]
+    bands = [sum(round(m, 6) >= edge for edge in (1.0, 1.4, 1.7)) for m in medians]
+    want = {}
+    for slot, band in enumerate(bands):
+        span, runs = want.get(band, (0, 0))
+        want[band] = (span + 1, runs + (slot == 0 or bands[slot - 1] != band))
+    profile = [sum(p >= edge for edge in (100, 140, 170)) for p in queries.X.PROFILE]
+    assert bands != profile
+    found = {r.vp_id: (r.span, r.n_intervals) for r in queries.portrait_spans(spark, folder).collect()}
+    assert found == want
+
+
+def _by_slot(rows):
+    return [[r for r in rows if r.tick % 24 == slot] for slot in range(24)]
