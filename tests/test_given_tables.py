@@ -21,6 +21,10 @@ def reads_events(df):
     return bool(df.inputFiles()) and all("events.parquet" in f for f in df.inputFiles())
 
 
+def by_slot(rows):
+    return [[r.y for r in rows if r.tick % 24 == slot] for slot in range(24)]
+
+
 def test_asked_quantiles_follow_the_values_of_each_type(spark, sf, tmp_path):
     assert reads_events(queries.asked_quantiles(spark, sf))
     values = {"a": [1.0, 2.0, 6.0, 7.5], "b": [400.0, 401.0, 430.0, 390.0, 405.0], None: [0.5, 3.0]}
@@ -42,7 +46,7 @@ def test_portrait_spans_follow_the_medians_of_the_slots(spark, sf, tmp_path):
     level = {3: 1000.0, 20: 1000.0, 11: 1.0, 14: 1.0, 15: 1.0}
     rows = [("a", t, level.get(t % 24, 100.0) + t // 24 % 7 + t % 24 / 10) for t in range(720)]
     folder = with_events(spark, tmp_path, rows)
-    medians = [statistics.median(r.y for r in rows) for rows in _by_slot(queries.w_month_series(spark, folder).collect())]
+    medians = [statistics.median(ys) for ys in by_slot(queries.X.month(spark, folder).collect())]
     bands = [sum(round(m, 6) >= edge for edge in (1.0, 1.4, 1.7)) for m in medians]
     want = {}
     for slot, band in enumerate(bands):
@@ -54,5 +58,18 @@ def test_portrait_spans_follow_the_medians_of_the_slots(spark, sf, tmp_path):
     assert found == want
 
 
-def _by_slot(rows):
-    return [[r for r in rows if r.tick % 24 == slot] for slot in range(24)]
+def test_udf_gamma_fence_is_that_of_the_samples_of_each_slot(spark, sf, tmp_path):
+    assert reads_events(queries.udf_gamma_fence(spark, sf))
+    # Hour 3 is far beyond the clipping of the noise: a constant level without a gamma.
+    rows = [("a", t, 9000.0 if t % 24 == 3 else 100.0 + t * 7919 % 50) for t in range(720)]
+    folder = with_events(spark, tmp_path, rows)
+    found = {(r.slot, r.q): r.value for r in queries.udf_gamma_fence(spark, folder).collect()}
+    assert set(found) == {(slot, q) for slot in range(24) for q in (0.025, 0.5, 0.975)}
+    for slot, ys in enumerate(by_slot(queries.X.month(spark, folder).collect())):
+        theta = statistics.median(ys)
+        mad = 1.4826 * statistics.median(abs(y - theta) for y in ys)
+        for q in (0.025, 0.5, 0.975):
+            if slot == 3:
+                assert found[slot, q] is None
+            else:
+                assert gamma.cdf(found[slot, q], (theta / mad) ** 2, mad * mad / theta) == pytest.approx(q, abs=1e-4)
