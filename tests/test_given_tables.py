@@ -73,3 +73,19 @@ def test_udf_gamma_fence_is_that_of_the_samples_of_each_slot(spark, sf, tmp_path
                 assert found[slot, q] is None
             else:
                 assert gamma.cdf(found[slot, q], (theta / mad) ** 2, mad * mad / theta) == pytest.approx(q, abs=1e-4)
+
+
+def test_udtf_period_ticks_spans_the_days_of_each_type(spark, sf, tmp_path):
+    assert reads_events(queries.udtf_period_ticks(spark, sf))
+    # Days before the origin, a type without a name, repeated hours, null times and values.
+    hours = {"a": [-30, -29.5, -1, 0, 5, 5.25, 100], "b": [47, 48], None: [3, 75.5]}
+    rows = [(kind, h, None if h == 100 else 1.0) for kind, hs in hours.items() for h in hs]
+    rows += [("a", None, 1.0), ("never", None, 1.0)]
+    found = {(r.event_type, r.slot): (r.n, r.n_held) for r in queries.udtf_period_ticks(spark, with_events(spark, tmp_path, rows)).collect()}
+    want = {}
+    for kind, hs in hours.items():
+        held = {int(h // 1) for h in hs}
+        for tick in range(min(held) // 24 * 24, max(held) // 24 * 24 + 24):
+            n, k = want.get((kind, tick % 24), (0, 0))
+            want[kind, tick % 24] = (n + 1, k + (tick in held))
+    assert found == want
